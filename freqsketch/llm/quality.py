@@ -31,11 +31,11 @@ STEPS = 4
 #: Squared distance, in units of the squared distance that SUPPORT of the group's rows keep
 #: within, beyond which a row is rejected. Statistics have long tails even after they are
 #: transformed, so the limit is set by the group's own bulk, not by a chi-squared table.
-REJECT_RATIO = 12.0
+REJECT_RATIO = 32.0
 #: Distances are counted in bins of this width of their natural logarithm.
 BIN = 0.02
 #: Least standard deviation of a transformed statistic.
-FLOOR = 0.02
+FLOOR = 0.3
 
 FEATURES = ("f_words", "f_word_len", "f_symbols", "f_dup_lines", "f_repeat")
 STAT_COLUMNS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
