@@ -4,12 +4,18 @@ from __future__ import annotations
 
 from .mixing import op4_mix_sources
 from .quality import op8_robust_outliers
+from .repair import op6_pair_grammar
+from .secrets import op7_ownership_secrets
+from .separators import op10_separator_scan
 from .sharding import op9_byte_prefix_shards
 
 QUERIES = {
     "op4_mix_sources": op4_mix_sources,
+    "op6_pair_grammar": op6_pair_grammar,
+    "op7_ownership_secrets": op7_ownership_secrets,
     "op8_robust_outliers": op8_robust_outliers,
     "op9_byte_prefix_shards": op9_byte_prefix_shards,
+    "op10_separator_scan": op10_separator_scan,
 }
 
 ORACLES: dict[str, str] = {}
