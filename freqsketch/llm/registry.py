@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+from .minhash import op2_minhash_classes
 from .mixing import op4_mix_sources
+from .packing import op1_retrieval_packing
 from .quality import op8_robust_outliers
 from .repair import op6_pair_grammar
 from .secrets import op7_ownership_secrets
@@ -10,6 +12,8 @@ from .separators import op10_separator_scan
 from .sharding import op9_byte_prefix_shards
 
 QUERIES = {
+    "op1_retrieval_packing": op1_retrieval_packing,
+    "op2_minhash_classes": op2_minhash_classes,
     "op4_mix_sources": op4_mix_sources,
     "op6_pair_grammar": op6_pair_grammar,
     "op7_ownership_secrets": op7_ownership_secrets,
