@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from .embeddings import op3_grid_order_join
 from .minhash import op2_minhash_classes
 from .mixing import op4_mix_sources
 from .packing import op1_retrieval_packing
@@ -14,6 +15,7 @@ from .sharding import op9_byte_prefix_shards
 QUERIES = {
     "op1_retrieval_packing": op1_retrieval_packing,
     "op2_minhash_classes": op2_minhash_classes,
+    "op3_grid_order_join": op3_grid_order_join,
     "op4_mix_sources": op4_mix_sources,
     "op6_pair_grammar": op6_pair_grammar,
     "op7_ownership_secrets": op7_ownership_secrets,
