@@ -10,6 +10,7 @@ from .quality import op8_robust_outliers
 from .repair import op6_pair_grammar
 from .secrets import op7_ownership_secrets
 from .separators import op10_separator_scan
+from .suffixes import op5_suffix_array_dedup
 from .sharding import op9_byte_prefix_shards
 
 QUERIES = {
@@ -17,6 +18,7 @@ QUERIES = {
     "op2_minhash_classes": op2_minhash_classes,
     "op3_grid_order_join": op3_grid_order_join,
     "op4_mix_sources": op4_mix_sources,
+    "op5_suffix_array_dedup": op5_suffix_array_dedup,
     "op6_pair_grammar": op6_pair_grammar,
     "op7_ownership_secrets": op7_ownership_secrets,
     "op8_robust_outliers": op8_robust_outliers,
