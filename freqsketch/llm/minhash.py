@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -20,8 +21,8 @@ PERCENT = 80
 #: with a probability of 5e-6; from 0.85 on it is below 1e-8.
 COORDINATES = 64
 MATCHES = 36
-#: Rows of a posting list that a task compares at a time.
-BLOCK = 1024
+#: Shingles of the documents that a task compares at a time, on either side.
+BLOCK_SHINGLES = 1 << 20
 
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
@@ -158,49 +159,91 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return joined.withColumn("_c", common).where((100 * F.col("_c")) >= percent * (na + nb - F.col("_c"))).select("a", "b")
 
 
-def _cross_pairs(lists: DataFrame, reps: DataFrame, matches: int) -> DataFrame:
-    """Candidate pairs of different classes out of posting lists (key, id, class).
-
-    Lists inside one class are skipped. Of the others, the largest class of a list is only
-    compared with the rest of the list: its members are spread over blocks by a hash, the
-    rest goes to every block. Tasks count equal coordinates and return pairs with enough.
+def _links_between(base: tuple, ask: tuple, matches: int, percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Links that join classes, out of the pairs of an asking and a base document.
+
+    Pairs inside one class are skipped, also when a link found here has just made them so.
+    A document's most similar signatures are confirmed first; what is still of another class
+    and has enough equal coordinates follows."""
+    b_id, b_cls, b_sig, b_sets, b_n = base
+    a_id, a_cls, a_sig, a_sets, a_n = ask
+    b_begin, a_begin = np.cumsum(b_n) - b_n, np.cumsum(a_n) - a_n
+    _, code = np.unique(np.concatenate([b_cls, a_cls]), return_inverse=True)
+    label = np.arange(code.max() + 1 if len(code) else 0)  # class of each first class
+    b_code, a_code = code[: len(b_cls)], code[len(b_cls) :]
+    found_a, found_b = [], []
+    by_coordinate = np.ascontiguousarray(b_sig.T)
+    for i in range(len(a_id)):
+        equal = np.zeros(len(b_id), np.int16)
+        for k in range(COORDINATES):
+            equal += by_coordinate[k] == a_sig[i, k]
+        low, high = np.minimum(b_n, a_n[i]), np.maximum(b_n, a_n[i])
+        order = np.flatnonzero((equal >= matches) & (100 * low >= percent * high))
+        order = order[np.argsort(-equal[order], kind="stable")]
+        mine = a_sets[a_begin[i] : a_begin[i] + a_n[i]]
+        for lo, hi in ((0, 16), (16, len(order))):
+            part = order[lo:hi]
+            part = part[label[b_code[part]] != label[a_code[i]]]
+            if not len(part):
+                continue
+            n = b_n[part]
+            first = np.cumsum(n) - n
+            values = b_sets[np.arange(int(n.sum())) + np.repeat(b_begin[part] - first, n)]
+            at = np.searchsorted(mine, values)
+            same = mine[np.minimum(at, len(mine) - 1)] == values
+            common = np.add.reduceat(same.astype(np.int64), first)
+            for j in part[100 * common >= percent * (n + a_n[i] - common)].tolist():
+                x, y = label[b_code[j]], label[a_code[i]]
+                if x != y:
+                    found_a.append(int(a_id[i]))
+                    found_b.append(int(b_id[j]))
+                    label[label == max(x, y)] = min(x, y)
+    return np.array(found_a, np.int64), np.array(found_b, np.int64)
+
+
+def _family_links(lists: DataFrame, reps: DataFrame, sets: DataFrame, matches: int, percent: int) -> DataFrame:
+    """Links (a, b) between different classes out of posting lists (key, id, class).
+
+    Lists inside one class are skipped. Documents that the other lists connect are a family; each
+    is compared once, however many lists it is on. The largest class of a family asks nothing:
+    its documents, like all, are spread over base blocks by a hash; the rest is spread over
+    asking blocks, and every asking block meets every base block of its family. A block holds
+    about BLOCK_SHINGLES shingles. Tasks return links that join classes, never candidates.
     """
-    by_class = lists.groupBy("key", "class").agg(F.count("*").alias("_n"))
-    per_key = by_class.groupBy("key").agg(
-        F.sum("_n").alias("_all"), F.count("*").alias("_classes"), F.max(F.struct("_n", "class")).alias("_top")
-    )
-    split = per_key.where("_classes > 1").select(
-        "key", F.col("_top.class").alias("_main"), F.ceil(F.col("_all") / BLOCK).cast("int").alias("_blocks")
-    )
-    rows = lists.join(split, "key").join(reps.select("id", "sig"), "id")
-    asks = F.col("class") != F.col("_main")
-    own = F.pmod(F.xxhash64("id"), F.col("_blocks")).cast("int")
-    base = rows.select("key", own.alias("block"), "id", "class", "sig", F.lit(False).alias("asks"))
-    ask = rows.where(asks).select(
-        "key", F.explode(F.sequence(F.lit(0), F.col("_blocks") - 1)).alias("block"), "id", "class", "sig", F.lit(True).alias("asks")
+    mixed = lists.groupBy("key").agg(F.min("class").alias("_lo"), F.max("class").alias("_hi"), F.min("id").alias("hub")).where("_lo < _hi")
+    on_mixed = lists.join(mixed.select("key", "hub"), "key")
+    families = connected_components(on_mixed.select(F.col("id").alias("a"), F.col("hub").alias("b")))
+    families = families.select(F.col("node").alias("id"), F.col("component").alias("family"))
+    members = on_mixed.select("id", "class").distinct().join(families, "id").join(sets, "id").join(reps.select("id", "sig"), "id")
+    members = written(members, "families")
+    weight = F.size("shingles").cast("long")
+    per_class = members.groupBy("family", "class").agg(F.sum(weight).alias("_w"))
+    per_family = per_class.groupBy("family").agg(F.sum("_w").alias("_all"), F.max(F.struct("_w", "class")).alias("_top"))
+    blocks = per_family.select(
+        "family",
+        F.col("_top.class").alias("_main"),
+        F.ceil(F.col("_all") / BLOCK_SHINGLES).cast("int").alias("_bases"),
+        F.greatest(F.lit(1), F.ceil((F.col("_all") - F.col("_top._w")) / BLOCK_SHINGLES).cast("int")).alias("_askers"),
     )
+    # a row for each family
+    rows = members.join(blocks, "family")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    mine = lambda n: F.pmod(F.xxhash64("id"), F.col(n)).cast("int")
+    cols = ["family", "id", "class", "sig", "shingles"]
+    base = rows.select(*cols, mine("_bases").alias("base"), F.lit(False).alias("asks"), every("_askers").alias("asker"))
+    ask = rows.where(F.col("class") != F.col("_main")).select(*cols, every("_bases").alias("base"), F.lit(True).alias("asks"), mine("_askers").alias("asker"))
 
     def compare(table: pa.Table) -> pa.Table:
-        ask = table.column("asks").to_numpy()
-        ids, cls = table.column("id").to_numpy(), table.column("class").to_numpy()
-        sig = table.column("sig").combine_chunks().flatten().to_numpy().astype(np.uint32).reshape(len(ids), COORDINATES)
-        b_id, b_cls, b_sig = ids[~ask], cls[~ask], np.ascontiguousarray(sig[~ask].T)
-        found_a, found_b = [], []
-        for i in np.flatnonzero(ask):
-            other = np.flatnonzero(b_cls != cls[i])
-            if not len(other):
-                continue
-            equal = np.zeros(len(other), np.int16)
-            for k in range(COORDINATES):
-                equal += b_sig[k, other] == sig[i, k]
-            hit = b_id[other[equal >= matches]]
-            found_a.append(np.minimum(hit, ids[i]))
-            found_b.append(np.maximum(hit, ids[i]))
-        a = np.concatenate(found_a) if found_a else np.zeros(0, np.int64)
-        b = np.concatenate(found_b) if found_b else np.zeros(0, np.int64)
+        sides = []
+        for t in (table.filter(pa.compute.invert(table.column("asks"))), table.filter(table.column("asks"))):
+            shingles = t.column("shingles").combine_chunks()
+            n = np.array(shingles.value_lengths(), np.int64)
+            sig = t.column("sig").combine_chunks().flatten().to_numpy().astype(np.uint32).reshape(len(t), COORDINATES)
+            sides.append((t.column("id").to_numpy(), t.column("class").to_numpy(), sig, shingles.flatten().to_numpy().view(np.uint64), n))
+        a, b = _links_between(*sides, matches, percent)
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
-    return base.unionByName(ask).groupBy("key", "block").applyInArrow(compare, "a long, b long").distinct()
+    return base.unionByName(ask.select(base.columns)).groupBy("family", "base", "asker").applyInArrow(compare, "a long, b long")
 
 
 def near_duplicate_classes(
@@ -215,8 +258,9 @@ def near_duplicate_classes(
     3. Each document is compared with the first and the last of its lists' documents: links
        that hold, on whole sets, make classes. This takes a group of copies of any size
        with a number of comparisons in proportion to it.
-    4. What a list still holds of different classes is compared pair by pair on
-       signatures, and on whole sets where enough coordinates are equal.
+    4. Documents on lists that still hold different classes are compared in blocks, on
+       signatures, and on whole sets where enough coordinates are equal; pairs of one
+       class are skipped.
 
     A link is missed only if its signatures differ more than MATCHES allows. Null, empty and
     blank texts have no shingles and stand alone. Keys are bigints and unique; rows with a
@@ -242,8 +286,7 @@ def near_duplicate_classes(
     classes = written(connected_components(first), "classes")
     labelled = listed.select("key", "id").join(classes.withColumnRenamed("node", "id"), "id", "left")
     labelled = labelled.select("key", "id", F.coalesce("component", "id").alias("class"))
-    cross = _cross_pairs(labelled, reps, matches)
-    second = written(_confirmed(cross, sets, percent), "links")
+    second = written(_family_links(labelled, reps, sets, matches, percent), "links")
     joined = connected_components(first.unionByName(second)).select(F.col("node").alias("rep"), "component")
     top = heads.join(joined, "rep", "left").select("set_a", "set_b", "n", F.coalesce("component", "rep").alias("_c"))
     return (
