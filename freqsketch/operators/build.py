@@ -53,7 +53,7 @@ def _add(dense: np.ndarray, cols: np.ndarray, weight: np.ndarray) -> None:
             np.add.at(dense[r], cols[:, r], weight)
 
 
-def partial_tables(items: DataFrame, spec: SketchSpec, layout: str = "merged", batch: int = BATCH) -> DataFrame:
+def partial_tables(items: DataFrame, spec: SketchSpec, layout: str = "paired", batch: int = BATCH) -> DataFrame:
     """One dense table in the memory of each task (depth * width * 8 bytes), emitted once, as
     cells. A task hashes batches into a buffer of column ids, then updates its table."""
 
@@ -81,7 +81,7 @@ def build_serial(items: DataFrame, spec: SketchSpec) -> DataFrame:
     return partial_tables(items.coalesce(1), spec)
 
 
-def build_partials(items: DataFrame, spec: SketchSpec, layout: str = "merged", workers: int | None = None) -> DataFrame:
+def build_partials(items: DataFrame, spec: SketchSpec, layout: str = "paired", workers: int | None = None) -> DataFrame:
     """A table for each worker, then added. Exchanges up to workers * depth * width cells."""
     return summed(partial_tables(items.repartition(workers) if workers else items, spec, layout))
 
@@ -92,7 +92,7 @@ def build_relational(items: DataFrame, spec: SketchSpec) -> DataFrame:
     return summed(cells.select("sketch_row", "sketch_col", F.col("weight").alias("cnt")))
 
 
-def build_row_owned(items: DataFrame, spec: SketchSpec, batch: int = BATCH, segments: int = 1, layout: str = "merged") -> DataFrame:
+def build_row_owned(items: DataFrame, spec: SketchSpec, batch: int = BATCH, segments: int = 1, layout: str = "paired") -> DataFrame:
     """Two phases: tasks hash batches into a buffer and combine it; then each sketch row, or
     each of ``segments`` column ranges of it, has one owner that alone updates it.
 
@@ -141,7 +141,7 @@ def build_two_stage(df: DataFrame, pos: str, item: str, spec: SketchSpec, fast:
     return summed(staged)
 
 
-def build_balanced(items: DataFrame, spec: SketchSpec, shares: list[float], layout: str = "merged") -> DataFrame:
+def build_balanced(items: DataFrame, spec: SketchSpec, shares: list[float], layout: str = "paired") -> DataFrame:
     """Tasks of unequal size: worker k of a class gets its share of the stream, as a controller
     has measured it. A hash of the item's place deals rows into slots in proportion."""
     edges = np.cumsum(np.asarray(shares, float) / sum(shares))
