@@ -9,7 +9,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import new_shared_dir, read_table, written
@@ -153,6 +153,26 @@ class Block:
         return expand(self.symbols[begin : begin + int(self.n_symbols[i])], self.rules, self.first)
 
 
+def key_bounds(df: DataFrame, key: str, n: int) -> list[int]:
+    """Distinct upper bounds of at most n near-equal ranges of a bigint key, by approximate
+    quantiles; n numbers reach the driver. More than a range's share of rows with one key
+    stay in one range."""
+    shares = [(i + 1) / n for i in range(n - 1)]
+    if not shares:
+        return []
+    got = df.agg(F.percentile_approx(F.col(key).cast("long"), shares, 10_000)).first()[0]
+    return sorted(set(got or []))
+
+
+def range_number(key: Column, bounds: list[int]) -> Column:
+    """Number of bounds below the key, by halving."""
+    if not bounds:
+        return F.lit(0)
+    mid = len(bounds) // 2
+    low, high = bounds[:mid], bounds[mid + 1 :]
+    return F.when(key > bounds[mid], range_number(key, high) + mid + 1).otherwise(range_number(key, low))
+
+
 def write_grammar_files(df: DataFrame, text: str, key: str, folder: str, path: str, end_id: int = END_ID, parts: int | None = None) -> DataFrame:
     """Write each text's ids and ``end_id`` in ascending order of a bigint key.
 
@@ -169,7 +189,9 @@ def write_grammar_files(df: DataFrame, text: str, key: str, folder: str, path: s
         raise ValueError("this file format needs a vocabulary below 2^16")
     ids = with_ids(df.withColumn("_key", F.coalesce(F.col(key).cast("long"), F.lit(-(2**63)))), text, ["_key"], path)
     n = parts or int(spark.conf.get("spark.sql.shuffle.partitions"))
-    ordered = ids.withColumn("_tie", F.monotonically_increasing_id()).repartitionByRange(n, "_key", "_tie").sortWithinPartitions("_key", "_tie")
+    # ranges come from the keys alone: a range partitioning of the rows would make the ids twice
+    bounds = key_bounds(df, key, n)
+    ordered = ids.repartitionById(len(bounds) + 1, range_number(F.col("_key"), bounds)).sortWithinPartitions("_key")
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         name = f"grammar-{TaskContext.get().partitionId():06d}.bin"
@@ -216,7 +238,8 @@ def read_grammar_files(index: DataFrame, folder: str) -> DataFrame:
     plan = index.join(before, "file").select(
         "file", "block", "at", "bytes", (F.col("_file0") + F.coalesce(F.sum("n_ids").over(inner), F.lit(0))).alias("start")
     )
-    plan = plan.repartition(F.col("file"), F.col("block"))
+    # blocks are tiny rows but much work: their number, not their bytes, says how many tasks
+    plan = plan.repartition(max(1, min(index.count(), 4096)), "file", "block")
 
     def decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
