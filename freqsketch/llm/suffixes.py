@@ -24,7 +24,7 @@ from .common import byte_slices, mix64, read_table, salted_powers, text_buffer,
 LENGTH = 200
 GRAM = 50
 #: Bytes of surroundings in a shard of the suffix arrays.
-SHARD_BYTES = 3 << 20
+SHARD_BYTES = 2 << 20
 #: An anchor with more different surroundings than this is dealt over several shards.
 HOT = 4096
 
