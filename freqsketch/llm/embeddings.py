@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import cut, read_table, written
-from .components import connected_components
+from .components import connected_components, settle
 from .sharding import byte_prefix_shards
 
 COSINE = 0.95
@@ -99,22 +99,6 @@ def _leaf_boxes(p: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return cuts, np.minimum.reduceat(p, cuts), np.maximum.reduceat(p, cuts)
 
 
-def _settle(parent: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Smallest node that each node reaches through edges (a, b)."""
-    while len(a):
-        low = np.minimum(parent[a], parent[b])
-        np.minimum.at(parent, a, low)
-        np.minimum.at(parent, b, low)
-        while True:
-            up = parent[parent]
-            if (up == parent).all():
-                break
-            parent = up
-        keep = parent[a] != parent[b]
-        a, b = a[keep], b[keep]
-    return parent
-
-
 def _leaf_edges(mask: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Few edges that connect what ``mask`` (rows x columns) connects."""
     r, c = mask.shape
@@ -166,7 +150,7 @@ def join_blocks(x: dict, y: dict, same: bool, eps: float, cosine: float) -> tupl
     order = np.argsort(ids, kind="stable")
     rank = np.empty(len(ids), np.int64)
     rank[order] = np.arange(len(ids))
-    parent = _settle(np.arange(len(ids)), rank[np.concatenate(ea)], rank[np.concatenate(eb)])
+    parent = settle(np.arange(len(ids)), rank[np.concatenate(ea)], rank[np.concatenate(eb)])
     root = ids[order][parent[rank]]
     have = degree > 0
     return ids[have], degree[have], root[have]

@@ -210,11 +210,12 @@ def _family_links(lists: DataFrame, reps: DataFrame, sets: DataFrame, matches: i
     asking blocks, and every asking block meets every base block of its family. A block holds
     about BLOCK_SHINGLES shingles. Tasks return links that join classes, never candidates.
     """
-    mixed = lists.groupBy("key").agg(F.min("class").alias("_lo"), F.max("class").alias("_hi"), F.min("id").alias("hub")).where("_lo < _hi")
-    on_mixed = lists.join(mixed.select("key", "hub"), "key")
-    families = connected_components(on_mixed.select(F.col("id").alias("a"), F.col("hub").alias("b")))
-    families = families.select(F.col("node").alias("id"), F.col("component").alias("family"))
-    members = on_mixed.select("id", "class").distinct().join(families, "id").join(sets, "id").join(reps.select("id", "sig"), "id")
+    mixed = lists.groupBy("key").agg(F.min("class").alias("_lo"), F.max("class").alias("_hi")).where("_lo < _hi")
+    on_mixed = lists.join(mixed.select("key", F.col("_lo").alias("hub")), "key")
+    # families join classes, of which there are fewer than documents
+    families = connected_components(on_mixed.where("class <> hub").select(F.col("class").alias("a"), F.col("hub").alias("b")))
+    families = families.select(F.col("node").alias("class"), F.col("component").alias("family"))
+    members = on_mixed.select("id", "class").distinct().join(families, "class").join(sets, "id").join(reps.select("id", "sig"), "id")
     members = written(members, "families")
     weight = F.size("shingles").cast("long")
     per_class = members.groupBy("family", "class").agg(F.sum(weight).alias("_w"))
@@ -283,9 +284,16 @@ def near_duplicate_classes(
     near = hubs.select("id", F.explode(F.array("lo", "hi")).alias("_h")).where("id <> _h")
     near = near.select(F.least("id", "_h").alias("a"), F.greatest("id", "_h").alias("b")).distinct()
     first = written(_confirmed(near, sets, percent), "links")
-    classes = written(connected_components(first), "classes")
-    labelled = listed.select("key", "id").join(classes.withColumnRenamed("node", "id"), "id", "left")
-    labelled = labelled.select("key", "id", F.coalesce("component", "id").alias("class"))
+    # a document takes the name of its first linked hub, then of that one's; documents of one
+    # name are connected, and not all that are connected need to have one name yet
+    name = hubs.select("id", F.explode(F.array("lo", "hi")).alias("_h")).where("id <> _h")
+    linked = first.select(F.col("a").alias("id"), F.col("b").alias("_h")).unionByName(first.select(F.col("b").alias("id"), F.col("a").alias("_h")))
+    name = name.join(linked, ["id", "_h"], "left_semi").groupBy("id").agg(F.min("_h").alias("_h"))
+    name = written(name, "names")
+    up = name.select(F.col("id").alias("_h"), F.col("_h").alias("_up"))
+    classes = name.join(up, "_h", "left").select("id", F.coalesce("_up", "_h").alias("class"))
+    labelled = listed.select("key", "id").join(classes, "id", "left").select("key", "id", F.coalesce("class", "id").alias("class"))
+    labelled = written(labelled, "labelled")
     second = written(_family_links(labelled, reps, sets, matches, percent), "links")
     joined = connected_components(first.unionByName(second)).select(F.col("node").alias("rep"), "component")
     top = heads.join(joined, "rep", "left").select("set_a", "set_b", "n", F.coalesce("component", "rep").alias("_c"))
