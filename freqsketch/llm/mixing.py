@@ -119,3 +119,23 @@ def op4_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     sized = docs.select("doc_id", "source", word_count(F.col("text")).alias("size"))
     # the texts are read once; what is used again is narrow
     return mix_repetitions(cut(sized)).select("doc_id", "size", "source_size", "target", "taken")
+
+
+#: The whole query in SQL, with an ordering of all rows where the operator orders stripes.
+OP4_SQL = f"""
+WITH d AS (
+  SELECT doc_id, source, CASE WHEN text IS NULL THEN 0 ELSE len(regexp_extract_all(text, '[^\\x20\\x09-\\x0D]+')) END::BIGINT AS size,
+    md5('{SEED}:' || coalesce(doc_id::VARCHAR, '?')) AS h FROM documents),
+s AS (SELECT source, sum(size)::BIGINT AS size FROM d GROUP BY source),
+r AS (SELECT *, row_number() OVER (ORDER BY source IS NULL, source) - 1 AS rank FROM s),
+w AS (SELECT *, [{", ".join(f"{float(x)}" for x in WEIGHTS)}][rank % {len(WEIGHTS)} + 1]::DOUBLE AS weight, size * {float(MAX_EPOCHS)}::DOUBLE AS cap,
+    (SELECT sum(size) FROM s) * {SHARE}::DOUBLE AS want FROM r),
+o AS (SELECT *, sum(cap) OVER x - cap AS cap_before, (SELECT sum(weight) FROM w) - sum(weight) OVER x + weight AS w_left FROM w WINDOW x AS (ORDER BY cap / weight, rank ROWS UNBOUNDED PRECEDING)),
+l AS (SELECT (want - cap_before) / w_left AS level FROM o WHERE (want - cap_before) / w_left * weight <= cap ORDER BY cap_before LIMIT 1),
+t AS (SELECT source, size AS source_size, least(cap, coalesce((SELECT level FROM l) * weight, cap)) AS target FROM w),
+f AS (SELECT *, floor(CASE WHEN source_size > 0 THEN target / source_size ELSE 0 END)::BIGINT AS whole FROM t),
+g AS (SELECT *, round(target - whole * source_size)::BIGINT AS rest FROM f),
+c AS (SELECT d.*, source_size, target, whole, rest, coalesce(sum(d.size) OVER (PARTITION BY d.source ORDER BY h, doc_id, d.size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before
+  FROM d JOIN g ON d.source IS NOT DISTINCT FROM g.source)
+SELECT doc_id, size, source_size, target, (whole * size + greatest(0, least(size, rest - before)))::BIGINT AS taken FROM c
+"""

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from .embeddings import op3_grid_order_join
 from .minhash import op2_minhash_classes
-from .mixing import op4_mix_sources
+from .mixing import OP4_SQL, op4_mix_sources
 from .packing import op1_retrieval_packing
 from .quality import op8_robust_outliers
 from .repair import op6_pair_grammar
@@ -26,4 +26,4 @@ QUERIES = {
     "op10_separator_scan": op10_separator_scan,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op4_mix_sources": OP4_SQL}
