@@ -29,9 +29,16 @@ STRATEGIES = (
 
 
 def items_of(df: DataFrame, item: str, weight: Column | None = None) -> DataFrame:
-    """(item, weight); null items are dropped, null weights count 0."""
-    w = F.lit(1).cast("long") if weight is None else F.coalesce(weight.cast("long"), F.lit(0))
-    return df.select(F.col(item).cast("long").alias("item"), w.alias("weight")).where("item is not null")
+    """(item) or (item, weight); null items are dropped, null weights count 0. Without weights
+    every item counts 1 and no column says so."""
+    cols = [F.col(item).cast("long").alias("item")]
+    if weight is not None:
+        cols.append(F.coalesce(weight.cast("long"), F.lit(0)).alias("weight"))
+    return df.select(*cols).where("item is not null")
+
+
+def _weight(items: DataFrame) -> Column:
+    return F.col("weight") if "weight" in items.columns else F.lit(1).cast("long")
 
 
 def _cells_of(dense: np.ndarray) -> pa.RecordBatch:
@@ -42,29 +49,42 @@ def _cells_of(dense: np.ndarray) -> pa.RecordBatch:
     )
 
 
-def _add(dense: np.ndarray, cols: np.ndarray, weight: np.ndarray) -> None:
+def _add(dense: np.ndarray, cols: np.ndarray, weight: np.ndarray | None) -> None:
     """Add the weights of a batch of items to the counters, row by row."""
     w = dense.shape[1]
-    if (weight == 1).all():
-        for r in range(dense.shape[0]):
+    for r in range(dense.shape[0]):
+        if weight is None:
             dense[r] += np.bincount(cols[:, r], minlength=w)
-    else:
-        for r in range(dense.shape[0]):
+        else:
             np.add.at(dense[r], cols[:, r], weight)
 
 
 def partial_tables(items: DataFrame, spec: SketchSpec, layout: str = "paired", batch: int = BATCH) -> DataFrame:
     """One dense table in the memory of each task (depth * width * 8 bytes), emitted once, as
-    cells. A task hashes batches into a buffer of column ids, then updates its table."""
+    cells. A task hashes batches into a buffer of column ids, then updates its table row by row.
+    As a row's update costs its width once, wide tables gather several Arrow batches."""
 
     def fill(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         dense = np.zeros((spec.depth, spec.width), np.int64)
-        for b in batches:
-            x, w = b.column(0).to_numpy(), b.column(1).to_numpy()
-            # wide tables repay larger batches: a bincount costs the table's width
-            step = max(batch, spec.width, 65536)
+        step = max(batch, 4 * spec.width, 1 << 16)
+        held: list[pa.RecordBatch] = []
+        n = 0
+
+        def update() -> None:
+            x = np.concatenate([b.column(0).to_numpy() for b in held])
+            w = np.concatenate([b.column(1).to_numpy() for b in held]) if held[0].num_columns > 1 else None
             for lo in range(0, len(x), step):
-                _add(dense, columns(x[lo : lo + step], spec, layout), w[lo : lo + step])
+                _add(dense, columns(x[lo : lo + step], spec, layout), None if w is None else w[lo : lo + step])
+            held.clear()
+
+        for b in batches:
+            held.append(b)
+            n += len(b)
+            if n >= step:
+                update()
+                n = 0
+        if held:
+            update()
         yield _cells_of(dense)
 
     return items.mapInArrow(fill, CELLS)
@@ -89,7 +109,7 @@ def build_partials(items: DataFrame, spec: SketchSpec, layout: str = "paired", w
 def build_relational(items: DataFrame, spec: SketchSpec) -> DataFrame:
     """A shared table whose updates are atomic: every cell has one owner, the aggregation."""
     cells = with_cells(items, "item", spec)
-    return summed(cells.select("sketch_row", "sketch_col", F.col("weight").alias("cnt")))
+    return summed(cells.select("sketch_row", "sketch_col", _weight(items).alias("cnt")))
 
 
 def build_row_owned(items: DataFrame, spec: SketchSpec, batch: int = BATCH, segments: int = 1, layout: str = "paired") -> DataFrame:
@@ -155,7 +175,7 @@ def build_balanced(items: DataFrame, spec: SketchSpec, shares: list[float], layo
 
 def build_combined(items: DataFrame, spec: SketchSpec) -> DataFrame:
     """Equal items are counted before they are hashed: a sketch is linear, the result the same."""
-    once = items.groupBy("item").agg(F.sum("weight").alias("weight"))
+    once = items.groupBy("item").agg(F.sum(_weight(items)).alias("weight"))
     return summed(partial_tables(once, spec))
 
 
