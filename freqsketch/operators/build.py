@@ -138,6 +138,37 @@ def summed_owned(combined: DataFrame) -> DataFrame:
     return combined.groupBy("sketch_row", "segment", "sketch_col").agg(F.sum("cnt").alias("cnt"))
 
 
+def build_barrier(items: DataFrame, spec: SketchSpec, workers: int, batch: int = BATCH) -> DataFrame:
+    """Demonstrator of a real barrier: all workers run at once, hash their batches, wait for one
+    another, and exchange column ids so that each updates only its own sketch rows.
+
+    Literal, and for small streams only: every round gathers the buffers of all workers, all
+    tasks must hold slots together, and one failure starts the stage again."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import base64
+
+        from pyspark import BarrierTaskContext
+
+        ctx = BarrierTaskContext.get()
+        me = ctx.partitionId()
+        own = [r for r in range(spec.depth) if r % workers == me]
+        dense = np.zeros((spec.depth, spec.width), np.int64)
+        parts = [b.column(0).to_numpy() for b in batches]
+        mine = np.concatenate(parts) if parts else np.zeros(0, np.int64)
+        rounds = max(int(x) for x in ctx.allGather(str(-(-len(mine) // batch))))
+        for k in range(rounds):
+            cols = columns(mine[k * batch : (k + 1) * batch], spec).astype("<i4")
+            shared = ctx.allGather(base64.b64encode(np.ascontiguousarray(cols).tobytes()).decode())
+            for text in shared:
+                got = np.frombuffer(base64.b64decode(text), "<i4").reshape(-1, spec.depth)
+                for r in own:
+                    dense[r] += np.bincount(got[:, r], minlength=spec.width)
+        yield _cells_of(dense)
+
+    return items.select("item").repartition(workers).mapInArrow(run, CELLS, barrier=True)
+
+
 def batch_buffer(df: DataFrame, pos: str, item: str, spec: SketchSpec, batch: int = BATCH) -> DataFrame:
     """The buffer between the phases, as a relation: (batch_id, pos, sketch_row, sketch_col).
 

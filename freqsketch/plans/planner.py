@@ -45,3 +45,11 @@ def build_planned(df: DataFrame, item: str, spec: SketchSpec) -> tuple[DataFrame
     plan = choose(df, item, spec)
     more = {"segments": max(1, plan.table_bytes // spec.depth // (256 << 10))} if plan.strategy == "row_owned" else {}
     return build(df, item, spec, plan.strategy, **more), plan
+
+
+def explain_build(plan: BuildPlan) -> str:
+    """The choice in words, with what it would hold and exchange."""
+    return (
+        f"{plan.strategy}: {plan.reason}; {plan.tasks} tasks, {plan.table_bytes} bytes of table each, "
+        f"at most {plan.exchange_bytes} bytes exchanged, {plan.distinct_share:.3f} distinct items a row"
+    )

@@ -130,3 +130,17 @@ def test_scan_is_pruned(spark, sf, capsys):
     filter_then_sketch(spark, sf).explain("formatted")
     plan = capsys.readouterr().out
     assert "PushedFilters: [IsNotNull(l_shipdate)" in plan and "ReadSchema: struct<l_partkey:bigint,l_shipdate:timestamp_ntz>" in plan
+
+
+def test_barrier_demonstrator(frame, items):
+    assert cells(B.build_barrier(B.items_of(frame, "item"), SPEC, 2, batch=64)) == reference(items)
+
+
+def test_grids(spark):
+    from freqsketch.plans.planner import choose, explain_build
+    from freqsketch.workloads.grid import owned_against_relaxed, time_grid
+
+    got = time_grid(spark, 1 << 12, 1 << 8, 1, (1.1,), ("small",)).collect()
+    assert len(got) == 4 and all(r.million_items_per_sec > 0 for r in got)
+    assert owned_against_relaxed(spark, 1 << 12, 1 << 8, 1, (1.1,)).count() == 4
+    assert "distinct" in explain_build(choose(spark.range(10).withColumnRenamed("id", "item"), "item", SPEC))
