@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from freqsketch.llm.common import ship_package, written
+from freqsketch.llm.common import scratch, ship_package, written
 from freqsketch.llm.minhash import near_duplicate_classes
 from freqsketch.llm.mixing import mix_repetitions, word_count
 from freqsketch.llm.packing import pack_documents
@@ -33,8 +33,10 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each class of near-duplicates the document with the smallest id stays."""
     ship_package(spark)
-    classes = near_duplicate_classes(docs, "text", "doc_id", words=SHINGLE_WORDS)
-    extra = classes.where(F.col("id") != F.col("component_id")).select(F.col("id").alias("doc_id")).distinct()
+    with scratch(spark):
+        classes = near_duplicate_classes(docs, "text", "doc_id", words=SHINGLE_WORDS)
+        extra = classes.where(F.col("id") != F.col("component_id")).select(F.col("id").alias("doc_id")).distinct()
+        extra = written(extra, "extra-copies", keep=True)
     return docs.join(extra, "doc_id", "left_anti").select(docs.columns)
 
 

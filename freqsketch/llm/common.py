@@ -7,6 +7,7 @@ import tempfile
 import uuid
 import zipfile
 from collections.abc import Iterator
+from contextlib import contextmanager
 from pathlib import Path
 
 import numpy as np
@@ -64,10 +65,29 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def written(df: DataFrame, tag: str) -> DataFrame:
+#: Folders that ``written`` made inside each open ``scratch``.
+_SCRATCH: list[list[str]] = []
+
+
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[None]:
+    """Tables that ``written`` makes inside go at the end; what is read later passes ``keep``."""
+    made: list[str] = []
+    _SCRATCH.append(made)
+    try:
+        yield
+    finally:
+        _SCRATCH.remove(made)
+        for path in made:
+            drop_dir(spark, path)
+
+
+def written(df: DataFrame, tag: str, keep: bool = False) -> DataFrame:
     """Columnar, compressed lineage cut: a Parquet table in the shared folder."""
     spark = df.sparkSession
     path = new_shared_dir(spark, tag)
+    if _SCRATCH and not keep:
+        _SCRATCH[-1].append(path)
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 

@@ -174,9 +174,25 @@ def op7_ownership_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def _parted(df: DataFrame, text: str, with_spans: bool) -> DataFrame:
+    """Rows of ``df`` whose texts hold candidates of any kind, or the others."""
+    schema = df.schema
+
+    def pick(batches):
+        for b in batches:
+            texts = b.column(b.schema.get_field_index(text))
+            hit = pc.fill_null(pc.match_substring_regex(texts, _ANY), False).to_numpy(zero_copy_only=False).copy()
+            for i in hit.nonzero()[0].tolist():
+                hit[i] = bool(find_spans(texts[i].as_py()))
+            yield b.filter(pa.array(hit == with_spans))
+
+    return df.mapInArrow(pick, schema)
+
+
 def redacted(df: DataFrame, text: str, key: str, owner: str, repository: Column, mark: str = "[secret]") -> DataFrame:
     """``df`` with live spans of its texts replaced by ``mark``; examples stay. Overlapping
-    spans are replaced as one. ``key`` must be unique where texts differ."""
+    spans are replaced as one. ``key`` must be unique where texts differ. Only rows with
+    candidates meet the spans in a join; the texts of the others are not shuffled."""
     spans = classified_spans(df, text, key, owner, repository)
     live = spans.where(F.exists("spans", lambda s: s["live"])).select(
         F.col(key).alias("_key"), F.transform(F.filter("spans", lambda s: s["live"]), lambda s: F.struct(s["start"].alias("s"), s["end"].alias("e"))).alias("_live")
@@ -201,5 +217,5 @@ def redacted(df: DataFrame, text: str, key: str, owner: str, repository: Column,
                 [f.name for f in schema],
             )
 
-    joined = df.join(live, F.col(key).eqNullSafe(F.col("_key")), "left")
-    return joined.select(*df.columns, "_live").mapInArrow(cover, schema)
+    joined = _parted(df, text, True).join(live, F.col(key).eqNullSafe(F.col("_key")), "left")
+    return joined.select(*df.columns, "_live").mapInArrow(cover, schema).unionByName(_parted(df, text, False))
