@@ -7,7 +7,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, tidy
 
 
 def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 60) -> DataFrame:
@@ -59,7 +59,7 @@ def _local_stars(edges: DataFrame, chunk: int = 1 << 20) -> DataFrame:
         if n:
             yield pa.RecordBatch.from_arrays(list(map(pa.array, stars())), ["a", "b"])
 
-    return edges.where("a is not null and b is not null and a <> b").mapInArrow(shrink, "a long, b long")
+    return edges.where("a is not null and b is not null and a <> b").mapInArrow(tidy(shrink), "a long, b long")
 
 
 def settle(parent: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:

@@ -10,7 +10,7 @@ import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import byte_slices, mix64, read_table, salted_powers, segment_hash, text_buffer, word_bounds, written
+from .common import byte_slices, mix64, read_table, salted_powers, segment_hash, text_buffer, tidy, word_bounds, written
 from .components import connected_components
 
 #: Fixed values of the contract: words in a shingle, least similarity in percent.
@@ -88,7 +88,7 @@ def _map_text(df: DataFrame, text: str, key: str, schema: str, make) -> DataFram
             for lo, hi in byte_slices(off):
                 yield make(b.column(0).slice(lo, hi - lo), raw[off[lo] : off[hi]], off[lo : hi + 1] - off[lo])
 
-    return picked.mapInArrow(run, schema)
+    return picked.mapInArrow(tidy(run), schema)
 
 
 def signature_rows(df: DataFrame, text: str, key: str, words: int) -> DataFrame:
@@ -244,7 +244,7 @@ def _family_links(lists: DataFrame, reps: DataFrame, sets: DataFrame, matches: i
         a, b = _links_between(*sides, matches, percent)
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
-    return base.unionByName(ask.select(base.columns)).groupBy("family", "base", "asker").applyInArrow(compare, "a long, b long")
+    return base.unionByName(ask.select(base.columns)).groupBy("family", "base", "asker").applyInArrow(tidy(compare), "a long, b long")
 
 
 def near_duplicate_classes(

@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import read_table, segment_hash, written
+from .common import read_table, segment_hash, tidy, written
 from .tokens import encoder, id_type, tokenizer_path, with_ids
 
 WINDOW = 2048
@@ -34,10 +34,10 @@ PIECE_SCHEMA = (
 def _word_marks(path: str) -> np.ndarray:
     """True for ids that begin a word: their bytes begin with a space or a line end."""
     enc = encoder(path)
-    marks = np.zeros(1 << 16 if enc.whole.get_vocab_size() <= 1 << 16 else enc.whole.get_vocab_size(), bool)
+    marks = np.zeros(1 << 16 if enc.words.get_vocab_size() <= 1 << 16 else enc.words.get_vocab_size(), bool)
     space, line = enc.alphabet[32], enc.alphabet[10]
-    for i in range(enc.whole.get_vocab_size()):
-        t = enc.whole.id_to_token(i) or ""
+    for i in range(enc.words.get_vocab_size()):
+        t = enc.words.id_to_token(i) or ""
         marks[i] = t[:1] in (space, line)
     return marks
 
@@ -76,7 +76,7 @@ def document_frequencies(tokens: DataFrame, path: str) -> np.ndarray:
         at = np.flatnonzero(df)
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(df[at])], ["term", "n"])
 
-    sums = tokens.select("ids").mapInArrow(count, "term int, n long").groupBy("term").agg(F.sum("n").alias("n")).toArrow()
+    sums = tokens.select("ids").mapInArrow(tidy(count), "term int, n long").groupBy("term").agg(F.sum("n").alias("n")).toArrow()
     out = np.zeros(1 << TERM_BITS, np.int64)
     out[sums.column("term").to_numpy()] = sums.column("n").to_numpy()
     return out
@@ -197,7 +197,7 @@ def pack_documents(df: DataFrame, text: str, key: str, path: str, window: int =
         return pa.Table.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names)
 
     dealt = tokens.withColumn("_n", F.monotonically_increasing_id()).withColumn("shard", shard)
-    return dealt.groupBy("shard").applyInArrow(pack, schema)
+    return dealt.groupBy("shard").applyInArrow(tidy(pack), schema)
 
 
 def op1_retrieval_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -14,7 +14,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import byte_slices, cut, read_table, segment_hash, text_buffer, word_bounds
+from .common import byte_slices, cut, read_table, segment_hash, text_buffer, tidy, word_bounds
 
 #: Characters counted as symbols.
 SYMBOLS = b"#*$%&|<>"
@@ -130,7 +130,7 @@ def with_statistics(df: DataFrame, text: str, keep: list[str]) -> DataFrame:
                     [f.name for f in fields] + list(STAT_COLUMNS),
                 )
 
-    return picked.mapInArrow(count, schema)
+    return picked.mapInArrow(tidy(count), schema)
 
 
 def _features(stats: DataFrame) -> DataFrame:

@@ -184,7 +184,7 @@ def write_grammar_files(df: DataFrame, text: str, key: str, folder: str, path: s
     spark = df.sparkSession
     from .tokens import encoder
 
-    first_symbol = encoder(path).whole.get_vocab_size()
+    first_symbol = encoder(path).words.get_vocab_size()
     if first_symbol >= 1 << 16:
         raise ValueError("this file format needs a vocabulary below 2^16")
     ids = with_ids(df.withColumn("_key", F.coalesce(F.col(key).cast("long"), F.lit(-(2**63)))), text, ["_key"], path)

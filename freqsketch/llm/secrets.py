@@ -18,7 +18,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import read_table
+from .common import read_table, tidy
 
 #: The base kinds in their order, their patterns and least lengths.
 KINDS = ("assign", "access", "hex")
@@ -100,7 +100,7 @@ def with_candidates(df: DataFrame, text: str, keep: list[str]) -> DataFrame:
                 [f.name for f in fields] + ["spans"],
             )
 
-    return picked.mapInArrow(scan, schema)
+    return picked.mapInArrow(tidy(scan), schema)
 
 
 def ownership(candidates: DataFrame, owner: Column, repository: Column) -> DataFrame:
@@ -186,7 +186,7 @@ def _parted(df: DataFrame, text: str, with_spans: bool) -> DataFrame:
                 hit[i] = bool(find_spans(texts[i].as_py()))
             yield b.filter(pa.array(hit == with_spans))
 
-    return df.mapInArrow(pick, schema)
+    return df.mapInArrow(tidy(pick), schema)
 
 
 def redacted(df: DataFrame, text: str, key: str, owner: str, repository: Column, mark: str = "[secret]") -> DataFrame:
@@ -218,4 +218,4 @@ def redacted(df: DataFrame, text: str, key: str, owner: str, repository: Column,
             )
 
     joined = _parted(df, text, True).join(live, F.col(key).eqNullSafe(F.col("_key")), "left")
-    return joined.select(*df.columns, "_live").mapInArrow(cover, schema).unionByName(_parted(df, text, False))
+    return joined.select(*df.columns, "_live").mapInArrow(tidy(cover), schema).unionByName(_parted(df, text, False))

@@ -9,7 +9,7 @@ its pattern, so a text's ids are those of its words, joined.
 from __future__ import annotations
 
 import unicodedata
-from functools import cache
+from functools import cache, cached_property
 
 import numpy as np
 
@@ -24,7 +24,7 @@ LONG = ("re", "ve", "ll")
 
 SLOT_BITS = 21
 #: The cache starts anew when it holds so many ids.
-STORE_IDS = 12_000_000
+STORE_IDS = 4_000_000
 APOSTROPHE = 0x27
 
 
@@ -99,8 +99,7 @@ class WordEncoder:
     def __init__(self, path: str):
         from tokenizers import Tokenizer, pre_tokenizers
 
-        self.whole = Tokenizer.from_file(path)
-        self.whole.encode_special_tokens = True
+        self.path = path
         self.words = Tokenizer.from_file(path)
         self.words.encode_special_tokens = True
         self.words.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
@@ -109,10 +108,19 @@ class WordEncoder:
         # the alphabet of byte-level vocabularies; 255 is in no UTF-8 text and parts the words
         self.alphabet = {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(rest)}
         self.alphabet[255] = " "
-        size = self.whole.get_vocab_size()
-        self.id_bytes = np.array([len(self.whole.id_to_token(i) or "") for i in range(size)], np.int64)
+        size = self.words.get_vocab_size()
+        self.id_bytes = np.array([len(self.words.id_to_token(i) or "") for i in range(size)], np.int64)
         self._reset()
 
+    @cached_property
+    def whole(self):
+        """The library's tokenizer as it is; few texts need it."""
+        from tokenizers import Tokenizer
+
+        out = Tokenizer.from_file(self.path)
+        out.encode_special_tokens = True
+        return out
+
     def _reset(self) -> None:
         self.keys = np.zeros(1 << SLOT_BITS, np.uint64)
         self.slots = np.zeros(1 << SLOT_BITS, np.int32)
@@ -200,16 +208,16 @@ def encoder(path: str) -> WordEncoder:
 
 
 def id_type(path: str) -> np.dtype:
-    return np.dtype("<u2") if encoder(path).whole.get_vocab_size() <= 1 << 16 else np.dtype("<u4")
+    return np.dtype("<u2") if encoder(path).words.get_vocab_size() <= 1 << 16 else np.dtype("<u4")
 
 
-def with_ids(df, text: str, keep: list[str], path: str, slice_bytes: int = 2_000_000):
+def with_ids(df, text: str, keep: list[str], path: str, slice_bytes: int = 500_000):
     """Columns of ``keep`` and ``ids``: each whole text's ids, raw little-endian, two bytes an
     id where the vocabulary allows it, else four. Null texts have no ids."""
     import pyarrow as pa
     from pyspark.sql import functions as F
 
-    from .common import binary_array, byte_slices, text_buffer
+    from .common import binary_array, byte_slices, text_buffer, tidy
 
     picked = df.select(*keep, F.col(text).alias("_text"))
     fields = [f for f in picked.schema.fields if f.name != "_text"]
@@ -228,4 +236,4 @@ def with_ids(df, text: str, keep: list[str], path: str, slice_bytes: int = 2_000
                     [f.name for f in fields] + ["ids"],
                 )
 
-    return picked.mapInArrow(run, schema)
+    return picked.mapInArrow(tidy(run), schema)
