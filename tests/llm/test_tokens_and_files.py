@@ -166,3 +166,17 @@ def test_scores_are_bm25():
 
     for i, q in enumerate(docs):
         assert index.scores(i) == pytest.approx([bm25(q, d) for d in docs], rel=1e-6)
+
+
+def test_neighbours_come_from_all_parts(spark):
+    # related pairs lie in different parts of the table, among more documents than a part held before
+    filler = [(n, " ".join(f"f{(n * 7 + j) % 5003}" for j in range(12))) for n in range(2000)]
+    pairs = [(10000 + n, " ".join(f"pair{n}w{j}" for j in range(30))) for n in range(40)]
+    rows = pairs + filler + [(n + 10000, f"{text} end{n}") for n, text in pairs]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartitionByRange(4, "doc_id")
+    got = packing.pack_documents(df, "text", "doc_id", tokenizer_path(), window=512).collect()
+    of = {}
+    for r in got:
+        of.setdefault(r.doc_id, set()).add(r.sequence_id)
+    assert len(of) == 2080
+    assert sum(bool(of[10000 + n] & of[20000 + n]) for n in range(40)) >= 36
