@@ -24,8 +24,9 @@ MAX_REPEAT_PERCENT = 20
 
 #: Share of a group's rows that the estimates rest on.
 SUPPORT = 0.75
-#: Groups with fewer rows use the estimates of their language, then of all rows.
-MIN_GROUP = 200
+#: Rows by which a language's estimates count in those of its groups, and those of all rows in
+#: a language's: one rule for groups of every size.
+SHRINK = 50.0
 #: Concentration steps after the start from medians.
 STEPS = 4
 #: Squared distance, in units of the squared distance that SUPPORT of the group's rows keep
@@ -250,15 +251,38 @@ def mcd_estimates(df: DataFrame, keys: list[str], support: float = SUPPORT, step
     return cut(est.join(_within_support(placed, keys, "_d", support), keys))
 
 
+def _shrunk(own: DataFrame, parent: DataFrame, shrink: float) -> DataFrame:
+    """Estimates of groups, drawn towards those of the parent level (joined by ``_p``) as if
+    these were ``shrink`` more rows; one small row for each group."""
+    d = len(FEATURES)
+    up = parent.select(F.col("_g").alias("_p"), F.col("centre").alias("_pc"), F.col("inverse").alias("_pi"), F.col("_limit").alias("_pl"))
+    both = own.join(up, "_p")
+    schema = "_g string, _n long, centre array<double>, inverse array<double>, _limit double, _up double"
+
+    def blend(batches):
+        for pdf in batches:
+            centre, inverse, limit = [], [], []
+            for n, c, i, own_limit, pc, pi, pl in zip(*(pdf[k] for k in ("_n", "centre", "inverse", "_limit", "_pc", "_pi", "_pl"))):
+                w = n / (n + shrink)
+                cov = w * np.linalg.inv(np.reshape(i, (d, d))) + (1 - w) * np.linalg.inv(np.reshape(pi, (d, d)))
+                centre.append((w * np.asarray(c) + (1 - w) * np.asarray(pc)).tolist())
+                inverse.append(np.linalg.inv(cov).ravel().tolist())
+                limit.append(w * own_limit + (1 - w) * pl)
+            yield pdf[["_g", "_n"]].assign(centre=centre, inverse=inverse, _limit=limit, _up=pdf["_pl"])
+
+    return both.mapInPandas(blend, schema)
+
+
 def quality_verdicts(
-    df: DataFrame, lang: str = "lang", source: str = "source", ratio: float = REJECT_RATIO, min_group: int = MIN_GROUP
+    df: DataFrame, lang: str = "lang", source: str = "source", ratio: float = REJECT_RATIO, shrink: float = SHRINK
 ) -> DataFrame:
     """Adds base_failed, distance_ratio and kept to rows with the columns of STAT_COLUMNS.
 
     ``base_failed``: fewer than MIN_WORDS words, or more than MAX_REPEAT_PERCENT of them
     in repeated windows. Other rows are judged by the squared Mahalanobis distance in their
-    group (language and source; the language, then all rows, where a group is smaller than
-    ``min_group``), in units of the distance within which SUPPORT of the group lies.
+    group (language and source), in units of the distance within which SUPPORT of the group
+    lies. A group of n rows weighs n / (n + ``shrink``) in its centre, spread and logarithm of
+    that distance, its language the rest; a language is drawn towards all rows likewise.
     Estimates rest on the rows that pass the base rules. Nulls in language or source form a
     group of their own. A table in which no row passes yields base verdicts alone.
     """
@@ -266,25 +290,26 @@ def quality_verdicts(
     df = df.withColumn("base_failed", failed)
     lang_key = F.coalesce(F.concat(F.lit("l"), F.col(lang)), F.lit("-"))
     source_key = F.coalesce(F.concat(F.lit("s"), F.col(source)), F.lit("-"))
-    judged = cut(_features(df.withColumns({"_lang": lang_key, "_source": source_key})))
+    judged = cut(_features(df.withColumns({"_lang": lang_key, "_group": F.concat_ws("\x01", lang_key, source_key)})))
     good = judged.where(~F.col("base_failed"))
-    # which estimates a group uses follows from exact counts; a row enters the fit of each level
-    sizes = good.groupBy("_lang", "_source").agg(F.count("*").alias("_n"))
-    by_lang = sizes.groupBy("_lang").agg(F.sum("_n").alias("_nl"))
-    level = sizes.join(by_lang, "_lang").select(
-        "_lang",
-        "_source",
-        F.when(F.col("_n") >= min_group, F.concat_ws("\x01", "_lang", "_source"))
-        .when(F.col("_nl") >= min_group, F.col("_lang"))
-        .otherwise(F.lit("*"))
-        .alias("_level"),
+    # a row enters the fit of each level; level names cannot clash: keys begin with l or -
+    levels = F.array(
+        F.struct(F.col("_group").alias("_g"), F.col("_lang").alias("_p"), F.lit(2).alias("_level")),
+        F.struct(F.concat(F.lit("="), "_lang").alias("_g"), F.lit("*").alias("_p"), F.lit(1).alias("_level")),
+        F.struct(F.lit("*").alias("_g"), F.lit("").alias("_p"), F.lit(0).alias("_level")),
     )
-    level = cut(level)
-    levels = F.array(F.concat_ws("\x01", "_lang", "_source"), F.col("_lang"), F.lit("*"))
-    used = level.select(F.col("_level").alias("_g")).distinct()
-    fit = good.select(*FEATURES, F.explode(levels).alias("_g")).join(used, "_g", "left_semi")
-    est = mcd_estimates(fit, ["_g"]).withColumnRenamed("_g", "_level")
-    placed = judged.join(level, ["_lang", "_source"], "left").join(est, "_level", "left")
+    sizes = cut(good.groupBy("_lang", "_group").agg(F.count("*").alias("_c")).select("_c", F.inline(levels)).groupBy("_g", "_p", "_level").agg(F.sum("_c").alias("_n")))
+    fit = good.select(*FEATURES, F.explode(F.transform(levels, lambda x: x["_g"])).alias("_g"))
+    est = cut(mcd_estimates(fit, ["_g"]).join(sizes, "_g"))
+    by_lang = _shrunk(est.where("_level = 1"), est.where("_level = 0"), shrink)
+    own = est.where("_level = 2").withColumn("_p", F.concat(F.lit("="), "_p"))
+    shrunk = cut(_shrunk(own, by_lang, shrink).withColumnRenamed("_g", "_group"))
+    # the group's own distances under these estimates, and the language's limit
+    places = good.join(shrunk.select("_group", "centre", "inverse"), "_group").withColumn("_d", _bin(_squared_distance()))
+    within = _within_support(places, ["_group"], "_d", SUPPORT).withColumnRenamed("_limit", "_own")
+    weight = F.col("_n") / (F.col("_n") + F.lit(shrink))
+    limits = shrunk.join(within, "_group").select("_group", "centre", "inverse", (weight * F.col("_own") + (1 - weight) * F.col("_up")).alias("_limit"))
+    placed = judged.join(cut(limits), "_group", "left")
     d2 = _squared_distance()
     ratio_col = F.when(F.col("centre").isNotNull(), d2 / F.exp((F.col("_limit") + 1) * BIN))
     kept = ~F.col("base_failed") & F.coalesce(F.col("_ratio") <= ratio, F.lit(True))
@@ -292,7 +317,7 @@ def quality_verdicts(
         placed.withColumn("_ratio", ratio_col)
         .withColumn("kept", kept)
         .withColumn("distance_ratio", F.col("_ratio"))
-        .drop("_lang", "_source", "_level", "centre", "inverse", "_limit", "_ratio", *FEATURES)
+        .drop("_lang", "_group", "centre", "inverse", "_limit", "_ratio", *FEATURES)
     )
 
 
