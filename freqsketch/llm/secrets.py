@@ -191,12 +191,16 @@ def _parted(df: DataFrame, text: str, with_spans: bool) -> DataFrame:
 
 def redacted(df: DataFrame, text: str, key: str, owner: str, repository: Column, mark: str = "[secret]") -> DataFrame:
     """``df`` with live spans of its texts replaced by ``mark``; examples stay. Overlapping
-    spans are replaced as one. ``key`` must be unique where texts differ. Only rows with
-    candidates meet the spans in a join; the texts of the others are not shuffled."""
-    spans = classified_spans(df, text, key, owner, repository)
+    spans are replaced as one. Spans meet their row by a written row number, so ``key`` may be null
+    or repeated. Only rows with candidates meet the spans in a join; the texts of the others
+    are not shuffled."""
+    from .common import written
+
+    found = written(_parted(df, text, True).withColumn("_rid", F.monotonically_increasing_id()), "with-candidates")
+    spans = classified_spans(found, text, "_rid", owner, repository)
     live = spans.where(F.exists("spans", lambda s: s["live"])).select(
-        F.col(key).alias("_key"), F.transform(F.filter("spans", lambda s: s["live"]), lambda s: F.struct(s["start"].alias("s"), s["end"].alias("e"))).alias("_live")
-    ).dropDuplicates(["_key"])
+        F.col("_rid"), F.transform(F.filter("spans", lambda s: s["live"]), lambda s: F.struct(s["start"].alias("s"), s["end"].alias("e"))).alias("_live")
+    )
     schema = df.schema
 
     def cover(batches):
@@ -217,5 +221,5 @@ def redacted(df: DataFrame, text: str, key: str, owner: str, repository: Column,
                 [f.name for f in schema],
             )
 
-    joined = _parted(df, text, True).join(live, F.col(key).eqNullSafe(F.col("_key")), "left")
+    joined = found.join(live, "_rid", "left")
     return joined.select(*df.columns, "_live").mapInArrow(tidy(cover), schema).unionByName(_parted(df, text, False))

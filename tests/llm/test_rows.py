@@ -178,3 +178,10 @@ def test_a_group_is_judged_by_one_rule_at_all_sizes(spark):
         ratios[n] = got[1000].distance_ratio
     # one row more changes a ratio little, where a switch of estimates changed it at 200
     assert max(ratios.values()) < 1.5 * min(ratios.values()), ratios
+
+
+def test_masks_fit_their_row_whatever_its_key(spark):
+    rows = [(k, f"{'pad ' * i}password=uniquevalue{i}x end", "s", "en") for i, k in enumerate((None, None, 7, 7))]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string, lang string")
+    got = sorted(r.text for r in secrets.redacted(df, "text", "doc_id", "source", F.col("lang")).collect())
+    assert got == sorted(f"{'pad ' * i}[secret] end" for i in range(4))
