@@ -44,12 +44,15 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_root(spark: SparkSession) -> str:
     """The folder that driver and executors share: the session's checkpoint folder.
 
-    Only where the session names none (tests, a laptop) a temporary one is set.
+    Where the session names none, a temporary one is set if all of Spark is on this machine
+    (tests, a laptop); on a cluster that is an error.
     """
     sc = spark.sparkContext
     named = spark.conf.get("spark.checkpoint.dir", None)
     current = sc._jsc.sc().getCheckpointDir()
     if current.isEmpty():
+        if not named and not sc.master.startswith("local"):
+            raise RuntimeError("name a folder that driver and executors share in spark.checkpoint.dir")
         sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="ckpt-"))
         current = sc._jsc.sc().getCheckpointDir()
     return named or current.get()
@@ -74,7 +77,8 @@ _SCRATCH: list[list[str]] = []
 
 @contextmanager
 def scratch(spark: SparkSession) -> Iterator[None]:
-    """Tables that ``written`` makes inside go at the end; what is read later passes ``keep``."""
+    """Tables that ``written`` makes inside, and folders of ``new_shared_dir``, go at the end; what is
+    read later passes ``keep``."""
     made: list[str] = []
     _SCRATCH.append(made)
     try:
@@ -95,6 +99,23 @@ def written(df: DataFrame, tag: str, keep: bool = False) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def numbered(df: DataFrame, name: str, tag: str, keep: bool = False) -> DataFrame:
+    """``df`` and a row number, written, so that a row keeps its number in every later read. Numbers
+    are unique and have gaps."""
+    return written(df.withColumn(name, F.monotonically_increasing_id()), tag, keep)
+
+
+def settled(make):
+    """A query whose result is written, and whose other tables go as soon as it is."""
+
+    @functools.wraps(make)
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        with scratch(spark):
+            return written(make(spark, sf_dir), make.__name__.replace("_", "-"), keep=True)
+
+    return run
+
+
 def drop_dir(spark: SparkSession, path: str) -> None:
     jvm = spark.sparkContext._jvm
     p = jvm.org.apache.hadoop.fs.Path(path)

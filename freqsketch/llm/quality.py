@@ -11,10 +11,9 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import byte_slices, cut, read_table, segment_hash, text_buffer, tidy, word_bounds
+from .common import byte_slices, read_table, segment_hash, settled, text_buffer, tidy, word_bounds, written
 
 #: Characters counted as symbols.
 SYMBOLS = b"#*$%&|<>"
@@ -27,19 +26,30 @@ SUPPORT = 0.75
 #: Rows by which a language's estimates count in those of its groups, and those of all rows in
 #: a language's: one rule for groups of every size.
 SHRINK = 50.0
-#: Concentration steps after the start from medians.
-STEPS = 4
-#: Squared distance, in units of the squared distance that SUPPORT of the group's rows keep
-#: within, beyond which a row is rejected. Statistics have long tails even after they are
-#: transformed, so the limit is set by the group's own bulk, not by a chi-squared table.
-REJECT_RATIO = 32.0
-#: Distances are counted in bins of this width of their natural logarithm.
-BIN = 0.02
-#: Least standard deviation of a transformed statistic.
-FLOOR = 0.3
-
-FEATURES = ("f_words", "f_word_len", "f_symbols", "f_dup_lines", "f_repeat")
-STAT_COLUMNS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
+#: Concentration steps stop when no group's determinant falls any more; more than so many
+#: mean that something is wrong, for each step lowers it.
+MOST_STEPS = 40
+#: A row is rejected beyond the upper fence of its group's own logarithms of squared distances:
+#: the third quartile and so many times the distance between the quartiles.
+FENCE = 1.5
+#: Squared distances are counted in bins of this width of their natural logarithm.
+BIN = 0.05
+#: Steps in which statistics are counted for the quantiles of the start.
+GRAIN = 0.01
+
+#: The transformed statistics, and the least standard deviation of each: what one more word, sign
+#: or line does to the statistic of a text of usual length.
+FLOORS = {
+    "f_words": 0.3,
+    "f_word_len": 0.05,
+    "f_symbols": 0.3,
+    "f_dup_lines": 0.5,
+    "f_repeat": 0.5,
+    "f_stutter": 0.3,
+}
+FEATURES = tuple(FLOORS)
+BASE_COLUMNS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
+STAT_COLUMNS = (*BASE_COLUMNS, "n_stutter")
 
 
 def _repeats(keys: np.ndarray, row: np.ndarray, n_rows: int) -> np.ndarray:
@@ -110,218 +120,270 @@ def text_statistics(raw: np.ndarray, offsets: np.ndarray) -> dict[str, np.ndarra
         for k in range(WINDOW):
             repeat[at + k] = True
     repeated = np.bincount(rows[repeat], minlength=n)
-    return dict(zip(STAT_COLUMNS, (words, chars, symbols, dup_lines, repeated)))
+    # words that equal the word before them
+    again = np.zeros(len(h), bool)
+    again[1:] = (h[1:] == h[:-1]) & (rows[1:] == rows[:-1])
+    stutter = np.bincount(rows[again], minlength=n)
+    return dict(zip(STAT_COLUMNS, (words, chars, symbols, dup_lines, repeated, stutter)))
 
 
 def with_statistics(df: DataFrame, text: str, keep: list[str]) -> DataFrame:
-    """Columns of ``keep`` and the statistics of the text, one row for each row."""
-    picked = df.select(*keep, F.col(text).alias("_text"))
-    fields = [f for f in picked.schema.fields if f.name != "_text"]
-    schema = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in fields] + [f"{c} long" for c in STAT_COLUMNS])
+    """Columns of ``keep`` and the statistics of the text, one row for each row, as ``q_<statistic>``
+    so that they meet no column of the input. Null texts have no words, signs and lines."""
+    picked = df.select(*keep) if text in keep else df.select(*keep, text)
+    fields = picked.schema.fields[: len(keep)]
+    schema = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in fields] + [f"q_{c} long" for c in STAT_COLUMNS])
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            raw, off = text_buffer(b.column(b.schema.get_field_index("_text")))
+            raw, off = text_buffer(b.column(b.schema.get_field_index(text)))
             for lo, hi in byte_slices(off):
                 stats = text_statistics(raw[off[lo] : off[hi]], off[lo : hi + 1] - off[lo])
                 part = b.slice(lo, hi - lo)
                 yield pa.RecordBatch.from_arrays(
                     [part.column(part.schema.get_field_index(f.name)) for f in fields]
                     + [pa.array(stats[c].astype(np.int64)) for c in STAT_COLUMNS],
-                    [f.name for f in fields] + list(STAT_COLUMNS),
+                    [f.name for f in fields] + [f"q_{c}" for c in STAT_COLUMNS],
                 )
 
     return picked.mapInArrow(tidy(count), schema)
 
 
-def _features(stats: DataFrame) -> DataFrame:
+def _features() -> dict[str, Column]:
     """Statistics as shares and logarithms, so that their bulk is near to normal."""
-    n = F.greatest(F.col("n_words"), F.lit(1)).cast("double")
-    return stats.withColumns(
-        {
-            "f_words": F.log1p(F.col("n_words").cast("double")),
-            "f_word_len": F.log1p(F.col("word_chars") / n),
-            "f_symbols": F.log1p(100.0 * F.col("n_symbols") / n),
-            "f_dup_lines": F.log1p(100.0 * F.col("n_dup_lines") / n),
-            "f_repeat": F.log1p(100.0 * F.col("n_repeat_words") / n),
-        }
-    )
-
-
-def _moments(df: DataFrame, keys: list[str]) -> DataFrame:
-    d = len(FEATURES)
-    prods = [F.sum(F.col(FEATURES[i]) * F.col(FEATURES[j])) for i in range(d) for j in range(i, d)]
-    return df.groupBy(*keys).agg(
-        F.count("*").alias("n"), F.array(*[F.sum(f) for f in FEATURES]).alias("s1"), F.array(*prods).alias("s2")
-    )
-
-
-def _estimates(moments: DataFrame, keys: list[str]) -> DataFrame:
-    """Centre and inverse spread of each group, flattened; one small row for each group."""
-    d = len(FEATURES)
-    kinds = dict(moments.dtypes)
-    schema = ", ".join(f"`{k}` {kinds[k]}" for k in keys) + ", centre array<double>, inverse array<double>"
-    upper = [(i, j) for i in range(d) for j in range(i, d)]
-
-    def solve(batches):
-        for pdf in batches:
-            centre, inverse = [], []
-            for n, s1, s2 in zip(pdf["n"], pdf["s1"], pdf["s2"]):
-                mean = np.asarray(s1, float) / n
-                cov = np.zeros((d, d))
-                for (i, j), v in zip(upper, s2):
-                    cov[i, j] = cov[j, i] = v / n - mean[i] * mean[j]
-                cov += np.eye(d) * FLOOR**2
-                centre.append(mean.tolist())
-                inverse.append(np.linalg.inv(cov).ravel().tolist())
-            yield pdf[keys].assign(centre=centre, inverse=inverse)
-
-    return moments.mapInPandas(solve, schema)
+    n = F.greatest(F.col("q_n_words"), F.lit(1)).cast("double")
+    share = lambda c: F.log1p(100.0 * F.col(c) / n)
+    return {
+        "f_words": F.log1p(F.col("q_n_words").cast("double")),
+        "f_word_len": F.log1p(F.col("q_word_chars") / n),
+        "f_symbols": share("q_n_symbols"),
+        "f_dup_lines": share("q_n_dup_lines"),
+        "f_repeat": share("q_n_repeat_words"),
+        "f_stutter": share("q_n_stutter"),
+    }
+
+
+D = len(FEATURES)
+UPPER = [(i, j) for i in range(D) for j in range(i, D)]
+_FLOOR = np.array(list(FLOORS.values()))
+ESTIMATE = "_g string, _start int, _n long, centre array<double>, inverse array<double>, _det double, _open boolean"
+
+
+def _squares(columns: list[Column]) -> list[Column]:
+    return [F.sum(columns[i] * columns[j]).alias(f"_s{i}_{j}") for i, j in UPPER]
+
+
+def _spread(total: np.ndarray, n: float) -> np.ndarray:
+    """Symmetric matrix of the upper triangle's sums, divided by n."""
+    out = np.zeros((D, D))
+    for (i, j), v in zip(UPPER, total):
+        out[i, j] = out[j, i] = v / n
+    return out
 
 
 def _squared_distance() -> Column:
-    d = len(FEATURES)
     diff = [F.col(f) - F.get(F.col("centre"), F.lit(i)) for i, f in enumerate(FEATURES)]
     total: Column = F.lit(0.0)
-    for i in range(d):
-        for j in range(i, d):
-            term = F.get(F.col("inverse"), F.lit(i * d + j)) * diff[i] * diff[j]
-            total = total + (term if i == j else term * 2)
+    for i, j in UPPER:
+        term = F.get(F.col("inverse"), F.lit(i * D + j)) * diff[i] * diff[j]
+        total = total + (term if i == j else term * 2)
     return F.greatest(total, F.lit(1e-9))
 
 
-def _bin(value: Column) -> Column:
-    return F.floor(F.log(value) / BIN).cast("int")
-
-
-def _within_support(binned: DataFrame, keys: list[str], column: str, share: float) -> DataFrame:
-    """Smallest bin up to which ``share`` of each group's rows lie. Counts first, so that a
-    group's size matters to no task: bins are few."""
-    run = W.partitionBy(*keys).orderBy(column)
-    counts = binned.groupBy(*keys, column).agg(F.count("*").alias("_c"))
-    cum = counts.withColumn("_run", F.sum("_c").over(run)).withColumn("_all", F.sum("_c").over(W.partitionBy(*keys)))
-    return cum.where(F.col("_run") >= share * F.col("_all")).groupBy(*keys).agg(F.min(column).alias("_limit"))
-
-
-def _start(df: DataFrame, keys: list[str]) -> DataFrame:
-    """First centre and spread: the middle 80 % of each statistic on its own."""
-    d = len(FEATURES)
-    step = 0.01
-    long = df.select(
-        *keys, F.posexplode(F.array(*[F.round(F.col(f) / step).cast("int") for f in FEATURES])).alias("_i", "_b")
-    )
-    k = [*keys, "_i"]
-    run = W.partitionBy(*k).orderBy("_b")
-    cum = (
-        long.groupBy(*k, "_b")
-        .agg(F.count("*").alias("_c"))
-        .withColumn("_run", F.sum("_c").over(run))
-        .withColumn("_all", F.sum("_c").over(W.partitionBy(*k)))
-    )
-    q = cum.groupBy(*k).agg(
-        *[F.min(F.when(F.col("_run") >= s * F.col("_all"), F.col("_b"))).alias(f"_q{int(s * 10)}") for s in (0.1, 0.5, 0.9)]
-    )
-    # 2.563 standard deviations of a normal lie between its tenth and ninetieth percent
-    spread = F.greatest((F.col("_q9") - F.col("_q1")) * step / 2.563, F.lit(FLOOR))
-    wide = q.groupBy(*keys).agg(
-        *[F.max(F.when(F.col("_i") == i, F.col("_q5") * step)).alias(f"_m{i}") for i in range(d)],
-        *[F.max(F.when(F.col("_i") == i, 1.0 / (spread * spread))).alias(f"_w{i}") for i in range(d)],
-    )
-    return wide.select(
-        *keys,
-        F.array(*[F.col(f"_m{i}") for i in range(d)]).alias("centre"),
-        F.array(*[F.col(f"_w{i}") if i == j else F.lit(0.0) for i in range(d) for j in range(d)]).alias("inverse"),
-    )
-
-
-def mcd_estimates(df: DataFrame, keys: list[str], support: float = SUPPORT, steps: int = STEPS) -> DataFrame:
-    """Minimum-covariance-determinant estimates for each group, and the bin of squared
-    distance within which ``support`` of its rows lie (``_limit``).
-
-    Deterministic start from medians, then concentration steps: keep the share of rows that
-    are nearest to the present estimates, take their mean and covariance, repeat; no step
-    raises the determinant. Each step is two aggregations over all rows, never a sample.
+def _bin() -> Column:
+    return F.floor(F.log(_squared_distance()) / BIN).cast("int").alias("_b")
+
+
+def _estimate_row(g: str, start: int, n: int, centre: np.ndarray, spread: np.ndarray, open_: bool) -> dict:
+    return {
+        "_g": g, "_start": start, "_n": n, "centre": centre.tolist(), "inverse": np.linalg.inv(spread).ravel().tolist(),
+        "_det": float(np.linalg.slogdet(spread)[1]), "_open": open_,
+    }
+
+
+_ARROW = pa.schema([("_g", pa.string()), ("_start", pa.int32()), ("_n", pa.int64()), ("centre", pa.list_(pa.float64())),
+                    ("inverse", pa.list_(pa.float64())), ("_det", pa.float64()), ("_open", pa.bool_())])
+
+
+def _starts(fit: DataFrame) -> DataFrame:
+    """Two first estimates for each group: medians with the middle 80 % of each statistic alone,
+    and the same with the correlations of the rows' directions from the medians.
+
+    Statistics are counted in steps first, so a group of any size reaches a task as its counts."""
+    steps = F.array(*[F.round(F.col(f) / GRAIN).cast("int") for f in FEATURES])
+    counts = fit.select("_g", F.posexplode(steps).alias("_i", "_v")).groupBy("_g", "_i", "_v").agg(F.count("*").alias("_c"))
+
+    def middle(table: pa.Table) -> pa.Table:
+        i, v, c = (table.column(k).to_numpy() for k in ("_i", "_v", "_c"))
+        centre, spread = np.zeros(D), np.zeros(D)
+        for k in range(D):
+            mine = i == k
+            order = np.argsort(v[mine])
+            value, run = v[mine][order] * GRAIN, np.cumsum(c[mine][order])
+            low, centre[k], high = (value[np.searchsorted(run, s * run[-1])] for s in (0.1, 0.5, 0.9))
+            # 2.563 standard deviations of a normal lie between its tenth and ninetieth percent
+            spread[k] = max((high - low) / 2.563, _FLOOR[k])
+        row = _estimate_row(table.column("_g")[0].as_py(), 0, int(c[i == 0].sum()), centre, np.diag(spread**2), True)
+        return pa.Table.from_pylist([row], _ARROW)
+
+    plain = written(counts.groupBy("_g").applyInArrow(middle, ESTIMATE), "quality-start")
+    z = [(F.col(f) - F.get("centre", F.lit(i))) * F.sqrt(F.get("inverse", F.lit(i * D + i))) for i, f in enumerate(FEATURES)]
+    around = fit.join(plain, "_g").select("_g", *[c.alias(f"_z{i}") for i, c in enumerate(z)])
+    z = [F.col(f"_z{i}") for i in range(D)]
+    length = F.greatest(sum((c * c for c in z[1:]), z[0] * z[0]), F.lit(1e-12))
+    sums = around.withColumn("_l", length).groupBy("_g").agg(*[F.sum(z[i] * z[j] / F.col("_l")).alias(f"_s{i}_{j}") for i, j in UPPER])
+
+    def directions(batches):
+        for b in batches:
+            rows = []
+            for r in b.to_pylist():
+                centre, scale = np.array(r["centre"]), np.diag(np.reshape(r["inverse"], (D, D))) ** -0.5
+                cov = _spread([r[f"_s{i}_{j}"] for i, j in UPPER], r["_n"]) * D * np.outer(scale, scale) + np.diag(_FLOOR**2)
+                rows.append({k: r[k] for k in _ARROW.names})
+                rows.append(_estimate_row(r["_g"], 1, r["_n"], centre, cov, True))
+            yield pa.RecordBatch.from_pylist(rows, _ARROW)
+
+    return written(plain.join(sums, "_g").mapInArrow(directions, ESTIMATE), "quality-start")
+
+
+def mcd_estimates(fit: DataFrame, support: float = SUPPORT) -> DataFrame:
+    """Minimum-covariance-determinant estimates (_g, _n, centre, inverse) of rows (_g, FEATURES).
+
+    From each of two deterministic starts, concentration steps: keep the share ``support`` of
+    rows nearest to the present estimates, take their mean and covariance, and go on until the
+    determinant falls no more; the start that ends with the smaller determinant is taken.
+
+    A step is one aggregation over all rows, never a sample: rows are summed by group and bin of
+    distance, so a task that renews a group's estimates sees its bins, however many rows the
+    group has. Estimates are a small table; whether it is broadcast is decided by its size.
     """
-    est = _start(df, keys)
-    for _ in range(steps):
-        placed = df.join(est, keys).withColumn("_d", _bin(_squared_distance()))
-        limit = _within_support(placed, keys, "_d", support)
-        est = cut(_estimates(_moments(placed.join(limit, keys).where(F.col("_d") <= F.col("_limit")), keys), keys))
-    placed = df.join(est, keys).withColumn("_d", _bin(_squared_distance()))
-    return cut(est.join(_within_support(placed, keys, "_d", support), keys))
-
-
-def _shrunk(own: DataFrame, parent: DataFrame, shrink: float) -> DataFrame:
-    """Estimates of groups, drawn towards those of the parent level (joined by ``_p``) as if
-    these were ``shrink`` more rows; one small row for each group."""
-    d = len(FEATURES)
-    up = parent.select(F.col("_g").alias("_p"), F.col("centre").alias("_pc"), F.col("inverse").alias("_pi"), F.col("_limit").alias("_pl"))
-    both = own.join(up, "_p")
-    schema = "_g string, _n long, centre array<double>, inverse array<double>, _limit double, _up double"
+    est = _starts(fit)
+    f = [F.col(c) for c in FEATURES]
+
+    def renew(table: pa.Table) -> pa.Table:
+        order = np.argsort(table.column("_b").to_numpy())
+        get = lambda k: table.column(k).to_numpy()[order]
+        run = np.cumsum(get("_c"))
+        inside = slice(0, int(np.searchsorted(run, support * run[-1])) + 1)
+        n = float(get("_c")[inside].sum())
+        mean = np.array([get(f"_m{i}")[inside].sum() for i in range(D)]) / n
+        cov = _spread([get(f"_s{i}_{j}")[inside].sum() for i, j in UPPER], n) - np.outer(mean, mean) + np.diag(_FLOOR**2)
+        row = _estimate_row(table.column("_g")[0].as_py(), table.column("_start")[0].as_py(), int(run[-1]), mean, cov, True)
+        return pa.Table.from_pylist([row], _ARROW)
+
+    for step in range(MOST_STEPS):
+        todo = est.where("_open").select("_g", "_start", "centre", "inverse")
+        sums = fit.join(todo, "_g").groupBy("_g", "_start", _bin()).agg(
+            F.count("*").alias("_c"), *[F.sum(c).alias(f"_m{i}") for i, c in enumerate(f)], *_squares(f)
+        )
+        now = sums.groupBy("_g", "_start").applyInArrow(renew, ESTIMATE)
+        now = now.select("_g", "_start", F.struct("centre", "inverse", "_det").alias("_now"))
+        # the start is no mean of rows: determinants are comparable from the second step on
+        better = F.col("_now").isNotNull() & (F.lit(step == 0) | (F.col("_now._det") < F.col("_det") - 1e-6))
+        take = lambda k: F.when(better, F.col(f"_now.{k}")).otherwise(F.col(k)).alias(k)
+        merged = est.join(now, ["_g", "_start"], "left")
+        merged = merged.select("_g", "_start", "_n", take("centre"), take("inverse"), take("_det"), F.coalesce(better, F.lit(False)).alias("_open"))
+        est = written(merged, "quality-step")
+        if not est.where("_open").limit(1).count():
+            break
+    best = est.groupBy("_g").agg(F.min_by(F.struct("_n", "centre", "inverse"), F.struct("_det", "_start")).alias("_e"))
+    return best.select("_g", "_e.*")
+
+
+def _blended(est: DataFrame, parents: DataFrame, shrink: float) -> DataFrame:
+    """(_g, centre, inverse, _w): a language's estimates drawn towards those of all rows, and a
+    group's towards its language's, as if these were ``shrink`` more rows."""
+    up = est.select(F.col("_g").alias("_p"), F.col("_n").alias("_pn"), F.col("centre").alias("_pc"), F.col("inverse").alias("_pi"))
+    top = est.where("_g = '*'").select(F.col("centre").alias("_tc"), F.col("inverse").alias("_ti"), F.lit(1).alias("_one"))
+    rows = est.join(parents, "_g").join(up, "_p", "left").withColumn("_one", F.lit(1)).join(top, "_one")
+    schema = "_g string, _p string, centre array<double>, inverse array<double>, _w double"
+    cols = ("_g", "_p", "_n", "centre", "inverse", "_pn", "_pc", "_pi", "_tc", "_ti")
 
     def blend(batches):
-        for pdf in batches:
-            centre, inverse, limit = [], [], []
-            for n, c, i, own_limit, pc, pi, pl in zip(*(pdf[k] for k in ("_n", "centre", "inverse", "_limit", "_pc", "_pi", "_pl"))):
-                w = n / (n + shrink)
-                cov = w * np.linalg.inv(np.reshape(i, (d, d))) + (1 - w) * np.linalg.inv(np.reshape(pi, (d, d)))
-                centre.append((w * np.asarray(c) + (1 - w) * np.asarray(pc)).tolist())
-                inverse.append(np.linalg.inv(cov).ravel().tolist())
-                limit.append(w * own_limit + (1 - w) * pl)
-            yield pdf[["_g", "_n"]].assign(centre=centre, inverse=inverse, _limit=limit, _up=pdf["_pl"])
+        back = lambda x: np.linalg.inv(np.reshape(x, (D, D)))
+        for b in batches:
+            out = []
+            for r in b.to_pylist():
+                c, m, w = np.array(r["centre"]), back(r["inverse"]), 1.0
+                if r["_p"]:
+                    pc, pm = np.array(r["_pc"]), back(r["_pi"])
+                    if r["_p"] != "*":
+                        v = r["_pn"] / (r["_pn"] + shrink)
+                        pc, pm = v * pc + (1 - v) * np.array(r["_tc"]), v * pm + (1 - v) * back(r["_ti"])
+                    w = r["_n"] / (r["_n"] + shrink)
+                    c, m = w * c + (1 - w) * pc, w * m + (1 - w) * pm
+                out.append({"_g": r["_g"], "_p": r["_p"], "centre": c.tolist(), "inverse": np.linalg.inv(m).ravel().tolist(), "_w": w})
+            kinds = [pa.string(), pa.string(), pa.list_(pa.float64()), pa.list_(pa.float64()), pa.float64()]
+            yield pa.RecordBatch.from_pylist(out, pa.schema(list(zip(("_g", "_p", "centre", "inverse", "_w"), kinds))))
+
+    return rows.select(*cols).mapInArrow(blend, schema)
+
+
+def _quartiles(fit: DataFrame, est: DataFrame) -> DataFrame:
+    """(_g, _q1, _q3) of the logarithms of squared distances in each group, at the bins' middles."""
+    counts = fit.join(est.select("_g", "centre", "inverse"), "_g").groupBy("_g", _bin()).agg(F.count("*").alias("_c"))
 
-    return both.mapInPandas(blend, schema)
+    def cuts(table: pa.Table) -> pa.Table:
+        b, c = table.column("_b").to_numpy(), table.column("_c").to_numpy()
+        order = np.argsort(b)
+        run = np.cumsum(c[order])
+        q1, q3 = (float((b[order][np.searchsorted(run, s * run[-1])] + 0.5) * BIN) for s in (0.25, 0.75))
+        return pa.table({"_g": [table.column("_g")[0].as_py()], "_q1": [q1], "_q3": [q3]})
+
+    return counts.groupBy("_g").applyInArrow(cuts, "_g string, _q1 double, _q3 double")
 
 
 def quality_verdicts(
-    df: DataFrame, lang: str = "lang", source: str = "source", ratio: float = REJECT_RATIO, shrink: float = SHRINK
+    df: DataFrame, lang: str = "lang", source: str = "source", fence: float = FENCE, shrink: float = SHRINK
 ) -> DataFrame:
-    """Adds base_failed, distance_ratio and kept to rows with the columns of STAT_COLUMNS.
+    """Adds base_failed, distance_ratio and kept to rows with the columns of ``with_statistics``,
+    which become STAT_COLUMNS. Input columns of these names are replaced.
 
     ``base_failed``: fewer than MIN_WORDS words, or more than MAX_REPEAT_PERCENT of them
-    in repeated windows. Other rows are judged by the squared Mahalanobis distance in their
-    group (language and source), in units of the distance within which SUPPORT of the group
-    lies. A group of n rows weighs n / (n + ``shrink``) in its centre, spread and logarithm of
-    that distance, its language the rest; a language is drawn towards all rows likewise.
-    Estimates rest on the rows that pass the base rules. Nulls in language or source form a
-    group of their own. A table in which no row passes yields base verdicts alone.
+    in repeated windows. Other rows are judged by their squared Mahalanobis distance from their
+    group (language and source): beyond the upper fence of the logarithms of the group's own
+    distances they are rejected; ``distance_ratio`` is the distance in units of that fence. A
+    group of n rows weighs n / (n + ``shrink``) in its centre, spread and quartiles, its language
+    the rest; a language is drawn towards all rows likewise. Estimates rest on the rows that
+    pass the base rules. Nulls in language or source form groups of their own. Equal rows get equal
+    verdicts. A table in which no row passes yields base verdicts alone, an empty one no rows.
+
+    The rows are written once with their statistics; fits read the statistics alone, and the
+    verdicts join the rows with the small table of limits, so no row is shuffled.
     """
-    failed = (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEAT_PERCENT * F.col("n_words"))
-    df = df.withColumn("base_failed", failed)
+    failed = (F.col("q_n_words") < MIN_WORDS) | (100 * F.col("q_n_repeat_words") > MAX_REPEAT_PERCENT * F.col("q_n_words"))
     lang_key = F.coalesce(F.concat(F.lit("l"), F.col(lang)), F.lit("-"))
     source_key = F.coalesce(F.concat(F.lit("s"), F.col(source)), F.lit("-"))
-    judged = cut(_features(df.withColumns({"_lang": lang_key, "_group": F.concat_ws("\x01", lang_key, source_key)})))
-    good = judged.where(~F.col("base_failed"))
-    # a row enters the fit of each level; level names cannot clash: keys begin with l or -
-    levels = F.array(
-        F.struct(F.col("_group").alias("_g"), F.col("_lang").alias("_p"), F.lit(2).alias("_level")),
-        F.struct(F.concat(F.lit("="), "_lang").alias("_g"), F.lit("*").alias("_p"), F.lit(1).alias("_level")),
-        F.struct(F.lit("*").alias("_g"), F.lit("").alias("_p"), F.lit(0).alias("_level")),
-    )
-    sizes = cut(good.groupBy("_lang", "_group").agg(F.count("*").alias("_c")).select("_c", F.inline(levels)).groupBy("_g", "_p", "_level").agg(F.sum("_c").alias("_n")))
-    fit = good.select(*FEATURES, F.explode(F.transform(levels, lambda x: x["_g"])).alias("_g"))
-    est = cut(mcd_estimates(fit, ["_g"]).join(sizes, "_g"))
-    by_lang = _shrunk(est.where("_level = 1"), est.where("_level = 0"), shrink)
-    own = est.where("_level = 2").withColumn("_p", F.concat(F.lit("="), "_p"))
-    shrunk = cut(_shrunk(own, by_lang, shrink).withColumnRenamed("_g", "_group"))
-    # the group's own distances under these estimates, and the language's limit
-    places = good.join(shrunk.select("_group", "centre", "inverse"), "_group").withColumn("_d", _bin(_squared_distance()))
-    within = _within_support(places, ["_group"], "_d", SUPPORT).withColumnRenamed("_limit", "_own")
-    weight = F.col("_n") / (F.col("_n") + F.lit(shrink))
-    limits = shrunk.join(within, "_group").select("_group", "centre", "inverse", (weight * F.col("_own") + (1 - weight) * F.col("_up")).alias("_limit"))
-    placed = judged.join(cut(limits), "_group", "left")
-    d2 = _squared_distance()
-    ratio_col = F.when(F.col("centre").isNotNull(), d2 / F.exp((F.col("_limit") + 1) * BIN))
-    kept = ~F.col("base_failed") & F.coalesce(F.col("_ratio") <= ratio, F.lit(True))
-    return (
-        placed.withColumn("_ratio", ratio_col)
-        .withColumn("kept", kept)
-        .withColumn("distance_ratio", F.col("_ratio"))
-        .drop("_lang", "_group", "centre", "inverse", "_limit", "_ratio", *FEATURES)
-    )
-
-
+    judged = df.withColumns({"_base": failed, "_lang": lang_key, "_group": F.concat_ws("\x01", lang_key, source_key), **_features()})
+    judged = written(judged, "quality-rows", keep=True)
+    good = judged.where("not _base").select("_lang", "_group", *FEATURES)
+    # a row enters the fit of each level; names cannot clash, as keys begin with l or -
+    language = F.concat(F.lit("="), "_lang")
+    fit = good.select(*FEATURES, F.explode(F.array(F.col("_group"), language, F.lit("*"))).alias("_g"))
+    parents = good.select(F.inline(F.array(
+        F.struct(F.col("_group").alias("_g"), language.alias("_p")),
+        F.struct(language.alias("_g"), F.lit("*").alias("_p")),
+        F.struct(F.lit("*").alias("_g"), F.lit("").alias("_p")),
+    ))).distinct()
+    est = written(_blended(written(mcd_estimates(fit), "quality-estimates"), parents, shrink), "quality-blended")
+    own = written(_quartiles(fit, est).join(est, "_g"), "quality-quartiles")
+    up = own.select(F.col("_g").alias("_p"), F.col("_p").alias("_pp"), F.col("_w").alias("_pw"), F.col("_q1").alias("_p1"), F.col("_q3").alias("_p3"))
+    top = own.select(F.col("_g").alias("_pp"), F.col("_q1").alias("_t1"), F.col("_q3").alias("_t3"))
+    groups = own.where("_p <> '' and _p <> '*'").join(up, "_p").join(top, "_pp")
+    mean = lambda k: F.col("_w") * F.col(f"_q{k}") + (1 - F.col("_w")) * (F.col("_pw") * F.col(f"_p{k}") + (1 - F.col("_pw")) * F.col(f"_t{k}"))
+    limit = mean(3) + F.lit(fence) * (mean(3) - mean(1))
+    limits = written(groups.select(F.col("_g").alias("_group"), "centre", "inverse", limit.alias("_limit")), "quality-limits", keep=True)
+    ratio = F.when(~F.col("_base") & F.col("centre").isNotNull(), _squared_distance() / F.exp("_limit"))
+    out = judged.join(limits, "_group", "left").withColumn("_ratio", ratio)
+    added = {**{c: F.col(f"q_{c}") for c in STAT_COLUMNS}, "base_failed": F.col("_base"), "distance_ratio": F.col("_ratio"),
+             "kept": ~F.col("_base") & F.coalesce(F.col("_ratio") <= 1.0, F.lit(True))}
+    stays = [c for c in df.columns if not c.startswith("q_") and c not in added]
+    return out.select(*stays, *[v.alias(k) for k, v in added.items()])
+
+
+@settled
 def op8_robust_outliers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Statistics, base rule and verdict of every document; see ``quality_verdicts``."""
     docs = read_table(spark, sf_dir, "documents")
     out = quality_verdicts(with_statistics(docs, "text", ["doc_id", "lang", "source"]))
-    return out.select("doc_id", *STAT_COLUMNS, "base_failed", "kept", "distance_ratio")
+    return out.select("doc_id", *BASE_COLUMNS, "base_failed", "kept", "distance_ratio", "n_stutter")
