@@ -25,9 +25,9 @@ SHINGLE_WORDS = 5
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that fail the base rules or are robust outliers of their group go."""
     ship_package(spark)
-    verdicts = quality_verdicts(with_statistics(docs, "text", ["doc_id", "lang", "source"]))
-    rejected = verdicts.where(~F.col("kept")).select("doc_id").distinct()
-    return docs.join(rejected, "doc_id", "left_anti").select(docs.columns)
+    with scratch(spark):
+        verdicts = quality_verdicts(with_statistics(docs, "text", docs.columns))
+    return verdicts.where("kept").select(docs.columns)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
