@@ -11,8 +11,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import byte_slices, new_shared_dir, read_table, text_buffer, written
-from .shared_files import atomic_writer, open_store, read_range, sizes
+from .common import byte_slices, new_shared_dir, read_table, settled, text_buffer, tidy, written
+from .shared_files import atomic_writer, open_store, read_range
 from .tokens import encoder, id_type, tokenizer_path
 
 #: Fixed value: the end-of-document id of the vocabulary.
@@ -24,13 +24,15 @@ def write_flat_files(df: DataFrame, text: str, key: str, folder: str, path: str,
     """Write the ids of each text and ``end_id``, nothing else, one file for each partition.
 
     Returns (file, ordinal, key): which document is the n-th of which file. The files
-    themselves have no header and no index. Null and empty texts leave a lone ``end_id``.
+    themselves have no header and no index. Names of special tokens in a text are written as plain
+    text, so that no text holds ``end_id``. Null and empty texts leave a lone ``end_id``; rows with
+    equal or null keys are documents of their own; other columns are ignored.
     """
     picked = df.select(F.col(key).alias("_key"), F.col(text).alias("_text"))
     kind = picked.schema["_key"].dataType.simpleString()
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc, width = encoder(path), id_type(path)
+        enc, width = encoder(path, escape=True), id_type(path)
         name = f"tokens-{TaskContext.get().partitionId():06d}.bin"
         done = 0
         with atomic_writer(f"{folder}/{name}") as out:
@@ -47,7 +49,7 @@ def write_flat_files(df: DataFrame, text: str, key: str, folder: str, path: str,
                 )
                 done += n
 
-    return picked.mapInArrow(write, f"file string, ordinal long, key {kind}")
+    return picked.mapInArrow(tidy(write), f"file string, ordinal long, key {kind}")
 
 
 def scan_separators(spark: SparkSession, folder: str, end_id: int = END_OF_TEXT, width: int = 2, block_bytes: int = BLOCK_BYTES) -> DataFrame:
@@ -57,15 +59,15 @@ def scan_separators(spark: SparkSession, folder: str, end_id: int = END_OF_TEXT,
     block in one vectorised comparison; a running sum and a running maximum over the blocks'
     counts and last separators then give each block its first ordinal and the place where
     its first document began. ``n_tokens`` leaves the separator out. A last document without a
-    separator is counted too. Empty files hold no documents.
+    separator is counted too. Empty files hold no documents, nor does an empty folder. Files are
+    listed and cut by tasks; the driver sees none of them.
     """
-    blocks = [
-        (name, i, at, min(block_bytes, size - at), size // width)
-        for name, size in sizes(folder)
-        for i, at in enumerate(range(0, size, block_bytes))
-    ]
-    plan = spark.createDataFrame(blocks, "file string, block long, at long, bytes long, total long")
-    plan = plan.repartition(max(1, min(len(blocks), 4096)), "file", "block")
+    files = spark.read.format("binaryFile").option("pathGlobFilter", "*.bin").schema("path string, modificationTime timestamp, length long").load(folder)
+    files = files.where(F.col("length") > 0).select(F.element_at(F.split("path", "/"), -1).alias("file"), F.col("length").alias("total"))
+    each = files.withColumn("block", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("total") - 1) / block_bytes))))
+    each = each.withColumn("at", F.col("block") * block_bytes)
+    plan = each.select("file", "block", "at", F.least(F.lit(block_bytes), F.col("total") - F.col("at")).alias("bytes"), F.floor(F.col("total") / width).alias("total"))
+    plan = plan.repartition(max(1, int(spark.conf.get("spark.sql.shuffle.partitions"))), "file", "block")
     kind = np.dtype(f"<u{width}")
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -83,7 +85,7 @@ def scan_separators(spark: SparkSession, folder: str, end_id: int = END_OF_TEXT,
                     ["file", "block", "n", "last", "ends"],
                 )
 
-    found = written(plan.mapInArrow(scan, "file string, block long, n long, last long, ends array<long>"), "separators")
+    found = written(plan.mapInArrow(tidy(scan), "file string, block long, n long, last long, ends array<long>"), "separators")
     before = W.partitionBy("file").orderBy("block").rowsBetween(W.unboundedPreceding, -1)
     stitched = found.select(
         "file",
@@ -96,7 +98,9 @@ def scan_separators(spark: SparkSession, folder: str, end_id: int = END_OF_TEXT,
     return each.select("file", (F.col("_first") + F.col("_k")).alias("ordinal"), start.alias("start"), (F.col("_end") - start).alias("n_tokens"))
 
 
+@settled
 def op10_separator_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Tokens of every document, counted in flat files of the whole table."""
     docs = read_table(spark, sf_dir, "documents")
     folder = new_shared_dir(spark, "flat-tokens")
     path = tokenizer_path()

@@ -94,13 +94,17 @@ def word_starts(chars: np.ndarray, firsts: np.ndarray) -> np.ndarray:
 
 
 class WordEncoder:
-    """Ids of texts; one for each Python worker and vocabulary file."""
+    """Ids of texts; one for each Python worker and vocabulary file.
 
-    def __init__(self, path: str):
+    The names of special tokens in a text become these tokens, as they do in the library;
+    with ``escape`` they are plain text, so that no text yields a special id."""
+
+    def __init__(self, path: str, escape: bool = False):
         from tokenizers import Tokenizer, pre_tokenizers
 
         self.path = path
         self.words = Tokenizer.from_file(path)
+        self.special = [] if escape else [t.content for t in self.words.get_added_tokens_decoder().values()]
         self.words.encode_special_tokens = True
         self.words.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
         plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
@@ -117,9 +121,7 @@ class WordEncoder:
         """The library's tokenizer as it is; few texts need it."""
         from tokenizers import Tokenizer
 
-        out = Tokenizer.from_file(self.path)
-        out.encode_special_tokens = True
-        return out
+        return Tokenizer.from_file(self.path)
 
     def _reset(self) -> None:
         self.keys = np.zeros(1 << SLOT_BITS, np.uint64)
@@ -161,7 +163,7 @@ class WordEncoder:
         if not text:
             return np.zeros(0, np.uint32), counts
         chars = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32)
-        if (_classes()[chars] == UNSURE).any():
+        if (_classes()[chars] == UNSURE).any() or any(t in text for t in self.special):
             return self._encode_whole(texts)
         if self.n_ids > STORE_IDS:
             self._reset()
@@ -191,20 +193,22 @@ class WordEncoder:
         return out, counts
 
     def _encode_whole(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Texts with characters that are new to Unicode go through the library as they are;
-        the others, one by one, through the cache."""
+        """Texts with special tokens or characters that are new to Unicode go through the library as
+        they are; the others, one by one, through the cache."""
         ids, counts = [], np.zeros(len(texts), np.int64)
+        whole = self.whole
+        whole.encode_special_tokens = not self.special
         for i, t in enumerate(texts):
-            unsure = (_classes()[np.frombuffer(t.encode("utf-32-le"), np.uint32)] == UNSURE).any()
-            got = np.array(self.whole.encode(t, add_special_tokens=False).ids, np.uint32) if unsure else self.encode([t])[0]
+            other = (_classes()[np.frombuffer(t.encode("utf-32-le"), np.uint32)] == UNSURE).any() or any(x in t for x in self.special)
+            got = np.array(whole.encode(t, add_special_tokens=False).ids, np.uint32) if other else self.encode([t])[0]
             ids.append(got)
             counts[i] = len(got)
         return np.concatenate(ids), counts
 
 
 @cache
-def encoder(path: str) -> WordEncoder:
-    return WordEncoder(path)
+def encoder(path: str, escape: bool = False) -> WordEncoder:
+    return WordEncoder(path, escape)
 
 
 def id_type(path: str) -> np.dtype:
