@@ -58,11 +58,16 @@ def shared_root(spark: SparkSession) -> str:
     return named or current.get()
 
 
-def new_shared_dir(spark: SparkSession, tag: str) -> str:
+def new_shared_dir(spark: SparkSession, tag: str, keep: bool = False) -> str:
+    """Name of a new folder in the shared one. It goes at the end of the ``scratch`` around it, or,
+    with ``keep``, at the end of one that takes everything."""
     root = shared_root(spark).rstrip("/")
     if "://" not in root and not root.startswith("file:"):
         root = "file://" + os.path.abspath(root)
-    return f"{root}/{tag}-{uuid.uuid4().hex}"
+    path = f"{root}/{tag}-{uuid.uuid4().hex}"
+    if _SCRATCH:
+        _SCRATCH[-1][keep].append(path)
+    return path
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -71,30 +76,30 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-#: Folders that ``written`` made inside each open ``scratch``.
-_SCRATCH: list[list[str]] = []
+#: Folders made inside each open ``scratch``: those to drop, and those kept.
+_SCRATCH: list[tuple[list[str], list[str]]] = []
 
 
 @contextmanager
-def scratch(spark: SparkSession) -> Iterator[None]:
-    """Tables that ``written`` makes inside, and folders of ``new_shared_dir``, go at the end; what is
-    read later passes ``keep``."""
-    made: list[str] = []
+def scratch(spark: SparkSession, everything: bool = False) -> Iterator[None]:
+    """Folders made inside go at the end, but for those kept, which are read later: they go with
+    ``everything``, else they are left to the ``scratch`` around this one."""
+    made: tuple[list[str], list[str]] = ([], [])
     _SCRATCH.append(made)
     try:
         yield
     finally:
         _SCRATCH.remove(made)
-        for path in made:
+        for path in made[0] + made[1] * everything:
             drop_dir(spark, path)
+        if _SCRATCH and not everything:
+            _SCRATCH[-1][1].extend(made[1])
 
 
 def written(df: DataFrame, tag: str, keep: bool = False) -> DataFrame:
     """Columnar, compressed lineage cut: a Parquet table in the shared folder."""
     spark = df.sparkSession
-    path = new_shared_dir(spark, tag)
-    if _SCRATCH and not keep:
-        _SCRATCH[-1].append(path)
+    path = new_shared_dir(spark, tag, keep)
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -106,12 +111,16 @@ def numbered(df: DataFrame, name: str, tag: str, keep: bool = False) -> DataFram
 
 
 def settled(make):
-    """A query whose result is written, and whose other tables go as soon as it is."""
+    """A query whose result is written, and whose other folders go as soon as it is."""
 
     @functools.wraps(make)
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        with scratch(spark):
-            return written(make(spark, sf_dir), make.__name__.replace("_", "-"), keep=True)
+        ship_package(spark)
+        with scratch(spark, everything=True):
+            out = make(spark, sf_dir)
+            path = f"{shared_root(spark).rstrip('/')}/{make.__name__}-{uuid.uuid4().hex}"
+            out.write.option("compression", "zstd").parquet(path)
+        return spark.read.schema(out.schema).parquet(path)
 
     return run
 

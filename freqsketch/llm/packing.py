@@ -11,7 +11,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import read_table, segment_hash, tidy, written
+from .common import mix64, new_shared_dir, numbered, read_table, segment_hash, settled, tidy, written
+from .shared_files import atomic_writer, open_store, read_whole
+from .sharding import byte_prefix_shards
 from .tokens import encoder, id_type, tokenizer_path, with_ids
 
 WINDOW = 2048
@@ -21,17 +23,16 @@ K1, B = 1.2, 0.75
 #: Index terms are words, hashed into so many terms; corpus statistics are a vector of this
 #: length whatever the corpus.
 TERM_BITS = 20
-#: Documents and ids in a part of the index, and the commonest terms, which meet as a dense matrix.
-PART_DOCS, PART_IDS = 16384, 8 << 20
-HOT_TERMS = 512
-#: Seeds asked at once, their ids, and the answers the driver takes at once.
-ASK_SEEDS, ASK_IDS, ASK_ANSWERS = 16384, 8 << 20, 8 << 20
-#: Answers that a part gives a seed the first time; a seed that needs more asks again for more.
-FIRST_ANSWERS = 8
-#: Windows that a chain fills on average: chains ask at the same time.
-CHAIN_WINDOWS = 6
-#: Scores are compared in steps of this part of one, so that equal texts are equal neighbours.
-SCORE_STEPS = 1024
+#: Most documents and ids in a shard of the index.
+SHARD_DOCS = 1024
+SHARD_IDS = 4 << 20
+#: Dimensions in which documents are placed by their words, the leaves of the tree that orders
+#: places, and the groups, a bounded sample, that the tree is fitted to.
+PLACE_DIMS = 16
+LEAVES = 256
+FIT_GROUPS = 16384
+#: Bits of the place of a row in the files of ids.
+ROW_BITS = 33
 
 PIECE_SCHEMA = (
     "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
@@ -90,310 +91,281 @@ def document_frequencies(tokens: DataFrame, path: str) -> np.ndarray:
     return out
 
 
-def sliced_terms(ids, lengths, marks, docs: int = 512):
-    """``document_terms`` with the memory of ``docs`` documents at a time."""
-    ends = np.concatenate([[0], np.cumsum(lengths)])
-    got = []
-    for lo in range(0, len(lengths), docs):
-        n = lengths[lo : lo + docs]
-        row, term, times = document_terms(ids[ends[lo] : ends[lo] + n.sum()], n, marks)
-        got.append(((row + lo).astype(np.int32), term.astype(np.int32), times.astype(np.int32)))
-    return [np.concatenate(c) for c in zip(*got)] if got else [np.zeros(0, np.int32)] * 3
+def term_signs(term: np.ndarray) -> np.ndarray:
+    """(terms, PLACE_DIMS) of 1 and -1: a fixed random projection of the space of terms."""
+    bits = mix64(term.astype(np.uint64) + np.uint64(1 << 40))
+    return 1.0 - 2.0 * ((bits[:, None] >> np.arange(PLACE_DIMS, dtype=np.uint64)) & np.uint64(1)).astype(np.float64)
+
+
+def content_keys(row: np.ndarray, term: np.ndarray, weight: np.ndarray, counts: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Where documents belong: (near, place). ``near`` is the term that a document shares with the
+    fewest others, ties by a hash of the term, -1 where it shares none. ``place`` is the direction
+    of its weighted terms in PLACE_DIMS random dimensions."""
+    near = np.full(n, -1, np.int64)
+    shared = np.flatnonzero(counts[term] > 1)
+    if len(shared):
+        order = shared[np.lexsort((mix64(term[shared].astype(np.uint64)), counts[term[shared]], row[shared]))]
+        first = np.flatnonzero(np.diff(row[order], prepend=-1))
+        near[row[order[first]]] = term[order[first]]
+    place = np.zeros((n, PLACE_DIMS))
+    if len(row):
+        begin = np.flatnonzero(np.diff(row, prepend=-1))
+        place[row[begin]] = np.add.reduceat(term_signs(term) * weight[:, None], begin)
+        place /= np.maximum(np.sqrt((place * place).sum(1, keepdims=True)), 1e-12)
+    return near, place
+
+
+def fit_tree(points: np.ndarray, leaves: int) -> list[tuple[np.ndarray, float]]:
+    """A complete binary tree, its nodes level by level: a direction and a threshold each. Every
+    node halves its points along their principal axis, so neighbouring leaves hold like points."""
+    nodes, level = [], [np.arange(len(points))]
+    while len(level) < leaves:
+        below = []
+        for at in level:
+            x = points[at]
+            centred = x - x.mean(0) if len(x) else x
+            axis = np.linalg.eigh(centred.T @ centred)[1][:, -1]
+            axis = axis * (1.0 if axis[np.argmax(np.abs(axis))] > 0 else -1.0)
+            along = x @ axis
+            cut = float(np.median(along)) if len(x) else 0.0
+            nodes.append((axis, cut))
+            below += [at[along <= cut], at[along > cut]]
+        level = below
+    return nodes
+
+
+def leaf_of(points: np.ndarray, nodes: list[tuple[np.ndarray, float]]) -> np.ndarray:
+    """Number of the leaf of each point."""
+    at = np.zeros(len(points), np.int64)
+    axes = np.array([a for a, _ in nodes]).reshape(len(nodes), -1)
+    cuts = np.array([c for _, c in nodes])
+    first, width = 0, 1
+    while first < len(nodes):
+        node = first + at
+        at = 2 * at + ((points * axes[node]).sum(1) > cuts[node])
+        first, width = first + width, 2 * width
+    return at
 
 
 class ShardIndex:
-    """Inverted index of some documents, with the corpus's statistics.
+    """Inverted index of one shard's documents, with the corpus's statistics."""
 
-    Terms with a number in ``hot`` are kept as a dense matrix, the others as postings."""
-
-    def __init__(self, ids, lengths, marks, idf, mean_length, hot=None):
-        self.hot = np.full(1 << TERM_BITS, -1, np.int32) if hot is None else hot
-        row, term, times = sliced_terms(ids, lengths, marks)
+    def __init__(self, ids, lengths, marks, idf, mean_length):
+        row, term, times = document_terms(ids, lengths, marks)
         self.n = len(lengths)
-        norm = K1 * (1 - B + B * lengths / max(mean_length, 1e-9))
-        weight = idf[term] * times * (K1 + 1) / (times + norm[row])
-        self.row_begin, self.term = np.searchsorted(row, np.arange(self.n + 1)), term
-        slot = self.hot[term]
-        common, rare = np.flatnonzero(slot >= 0), np.flatnonzero(slot < 0)
-        self.dense = np.zeros((int(self.hot.max()) + 1, self.n), np.float32)
-        self.dense[slot[common], row[common]] = weight[common]
-        rare = rare[np.argsort(term[rare], kind="stable")]
-        self.rows, self.weights = row[rare].astype(np.int64), weight[rare]
-        self.begin = np.searchsorted(term[rare], np.arange((1 << TERM_BITS) + 1, dtype=np.int32))
-
-    def answers(self, queries: list[np.ndarray]) -> np.ndarray:
-        """BM25 of every document (columns) for the distinct terms of each query (rows)."""
-        asked = np.zeros((len(queries), len(self.dense)), np.float32)
-        slots = [self.hot[q] for q in queries]
-        for i, slot in enumerate(slots):
-            asked[i, slot[slot >= 0]] = 1
-        out = (asked @ self.dense).astype(np.float64)
-        for i, (q, slot) in enumerate(zip(queries, slots)):
-            q = q[slot < 0]
-            lo = self.begin[q]
-            n = self.begin[q + 1] - lo
-            some = n > 0
-            lo, n = lo[some], n[some]
-            if len(n):
-                ends = np.cumsum(n)
-                at = np.arange(ends[-1]) + np.repeat(lo - (ends - n), n)
-                out[i] += np.bincount(self.rows[at], weights=self.weights[at], minlength=self.n)
-        return out
+        weight = bm25(row, term, times, lengths, idf, mean_length)
+        by_term = np.argsort(term, kind="stable")
+        self.rows, self.weights = row[by_term], weight[by_term]
+        self.row_begin = np.searchsorted(row, np.arange(self.n + 1))
+        ordered = term[by_term]
+        self.post_begin = np.searchsorted(ordered, term, "left")
+        self.post_n = np.searchsorted(ordered, term, "right") - self.post_begin
 
     def scores(self, doc: int) -> np.ndarray:
-        """BM25 of every document for the words of one of them."""
-        return self.answers([self.term[self.row_begin[doc] : self.row_begin[doc + 1]]])[0]
-
-
-def _best(score: np.ndarray, place: np.ndarray, seed_place: int, most: int) -> tuple[np.ndarray, int]:
-    """The ``most`` documents of the highest positive score, ties by place counted from the
-    seed's, and whether others were left out."""
-    good = np.flatnonzero(score > 0)
-    if len(good) > most:
-        least = np.partition(score[good], len(good) - most)[len(good) - most]
-        good = good[score[good] >= least]
-    away = place[good] - np.uint64(seed_place)
-    order = np.lexsort((away, -score[good]))
-    return good[order[:most]], int(np.count_nonzero(score > 0) > most)
-
-
-class Chains:
-    """Order of documents: each window of a chain begins with its seed, whose unused
-    neighbours follow by falling score; the document that a window cuts seeds the next."""
-
-    def __init__(self, lengths: np.ndarray, window: int):
-        self.lengths, self.window = lengths, window
-        self.used = np.zeros(len(lengths), bool)
-        n = max(1, min(ASK_SEEDS, -(-int(lengths.sum()) // (window * CHAIN_WINDOWS))))
-        self.docs: list[list[int]] = [[] for _ in range(n)]
-        self.size = [0] * n
-        self.seed = [-1] * n
-        self.most = [FIRST_ANSWERS] * n
-        self.fresh = 0
-
-    def add(self, chain: int, doc: int) -> bool:
-        """True if the document reaches the window's end; what is cut off is the next seed."""
-        self.used[doc] = True
-        self.docs[chain].append(doc)
-        room = self.window - self.size[chain] % self.window
-        n = int(self.lengths[doc])
-        self.size[chain] += n
-        if n < room:
-            return False
-        self.seed[chain] = doc if self.size[chain] % self.window else -1
-        self.most[chain] = max(FIRST_ANSWERS, self.most[chain] // 4)
-        return True
-
-    def seeds(self, n_parts: int) -> list[int]:
-        """Chains whose seed is to be asked now, with a fresh seed where there is none."""
-        out, ids, answers = [], 0, 0
-        for chain in range(len(self.docs)):
-            while self.seed[chain] < 0:
-                while self.fresh < len(self.used) and self.used[self.fresh]:
-                    self.fresh += 1
-                if self.fresh == len(self.used):
-                    break
-                doc = self.fresh
-                if not self.add(chain, doc):
-                    self.seed[chain] = doc
-            if self.seed[chain] < 0:
-                continue
-            ids += int(self.lengths[self.seed[chain]])
-            answers += min(self.most[chain] * n_parts, len(self.used))
-            if out and (ids > ASK_IDS or answers > ASK_ANSWERS):
-                break
-            out.append(chain)
-        return out
+        """BM25 of every document of the shard for the words of one of them."""
+        lo, hi = self.row_begin[doc], self.row_begin[doc + 1]
+        n = self.post_n[lo:hi]
+        if not len(n):
+            return np.zeros(self.n)
+        ends = np.cumsum(n)
+        at = np.arange(ends[-1]) + np.repeat(self.post_begin[lo:hi] - (ends - n), n)
+        return np.bincount(self.rows[at], weights=self.weights[at], minlength=self.n)
+
+
+def bm25(row, term, times, lengths, idf, mean_length) -> np.ndarray:
+    """Weight of each (document, term), by document length in ids."""
+    norm = K1 * (1 - B + B * lengths / max(mean_length, 1e-9))
+    return idf[term] * times * (K1 + 1) / (times + norm[row])
 
-    def fill(self, chain: int, ranked, whole: bool) -> None:
-        """Take unused neighbours until the window ends. ``whole``: there are no others."""
-        for doc in ranked:
-            if not self.used[doc] and self.add(chain, doc):
+
+def pack_shard(index: ShardIndex, lengths: np.ndarray, window: int) -> Iterator[tuple[int, int, int, int, int]]:
+    """(document, start, length, sequence, offset): every document, cut where a window ends.
+
+    What a window leaves over of its last document is the next one's seed; else the first
+    unused document is. A seed's unused neighbours follow by falling score, then by place.
+    """
+    used = lengths == 0
+    fresh = 0
+    sequence, room = 0, window
+    doc, start = -1, 0
+    while True:
+        if doc < 0:
+            while fresh < len(lengths) and used[fresh]:
+                fresh += 1
+            if fresh == len(lengths):
                 return
-        if whole:
-            self.seed[chain] = -1
-        else:
-            self.most[chain] *= 4
-
-    def spans(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """(document, start, length, position): chains' full windows, then their ends joined."""
-        docs = np.array([d for c in self.docs for d in c], np.int64)
-        chain = np.repeat(np.arange(len(self.docs)), [len(c) for c in self.docs])
-        n = self.lengths[docs]
-        size = np.array(self.size, np.int64)
-        full = size - size % self.window
-        at = np.cumsum(n) - n - (np.cumsum(size) - size)[chain]
-        front = np.clip(full[chain] - at, 0, n)
-        end_at = np.cumsum(n - front) - (n - front) + full.sum()
-        parts = [(docs, np.zeros_like(n), front, at + (np.cumsum(full) - full)[chain]), (docs, front, n - front, end_at)]
-        return tuple(np.concatenate([a[parts[0][2] > 0], b[parts[1][2] > 0]]) for a, b in zip(*parts))
-
-
-def _retriever(tokens: DataFrame, path: str, end_id: int, idf, hot, mean_length: float, base: np.ndarray):
-    """A function that asks seeds, given by number, against all unused documents of the table."""
+            doc, start = fresh, 0
+            used[doc] = True
+        ranked: list[int] | None = None
+        while True:
+            take = min(room, int(lengths[doc]) - start)
+            yield doc, start, take, sequence, window - room
+            start += take
+            room -= take
+            if room == 0:
+                sequence, room = sequence + 1, window
+                doc, start = (doc, start) if start < lengths[doc] else (-1, 0)
+                break
+            if ranked is None:
+                score = index.scores(doc)
+                score[used] = -1.0
+                good = np.flatnonzero(score > 0)
+                ranked = good[np.lexsort((-good, score[good]))].tolist()
+            doc, start = -1, 0
+            if not ranked:
+                break
+            doc = ranked.pop()
+            used[doc] = True
+
+
+def _slices(values: list[bytes], kind: np.dtype, docs: int = 512) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(first row, ids, lengths) of a batch of documents, a bounded number at a time."""
+    for lo in range(0, len(values), docs):
+        part = values[lo : lo + docs]
+        yield lo, np.frombuffer(b"".join(part), kind), np.array([len(v) // kind.itemsize for v in part], np.int64)
+
+
+def deal_by_content(tokens: DataFrame, path: str, counts: np.ndarray, idf, mean_length: float, n_docs: int, n_ids: int, shard_docs: int = SHARD_DOCS) -> DataFrame:
+    """(_n, shard) of every document: like documents meet in one shard of bounded size.
+
+    Documents whose rarest shared term is the same form a group; a group's mean place says which
+    leaf of a principal-axis tree it is in. Documents in the order of leaf, group and number are
+    cut into contiguous shards of at most about ``shard_docs`` documents and SHARD_IDS ids. A group
+    of any size is cut like the rest. Only narrow rows travel here."""
     spark = tokens.sparkSession
-    sc = spark.sparkContext
-    kind = id_type(path)
-    end = np.array([end_id], kind).tobytes()
+    sent = spark.sparkContext.broadcast(counts.astype(np.int32))
+    dims = [f"_v{i}" for i in range(PLACE_DIMS)]
+
+    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        marks, kind = _word_marks(path), id_type(path)
+        for b in batches:
+            for lo, ids, lengths in _slices(b.column(1).to_pylist(), kind):
+                row, term, times = document_terms(ids, lengths, marks)
+                near, place = content_keys(row, term, bm25(row, term, times, lengths + 1, idf.value, mean_length), sent.value, len(lengths))
+                number = b.column(0).slice(lo, len(lengths))
+                lone = near < 0  # a document that shares nothing is a group of its own
+                near[lone] = -1 - number.to_numpy()[lone]
+                yield pa.RecordBatch.from_arrays(
+                    [number, pa.array(near), pa.array(lengths + 1), *[pa.array(place[:, i].astype(np.float32)) for i in range(PLACE_DIMS)]], ["_n", "_near", "_len", *dims]
+                )
+
+    schema = "_n long, _near long, _len long, " + ", ".join(f"{d} float" for d in dims)
+    keyed = written(tokens.select("_n", "ids").mapInArrow(tidy(keys), schema), "packing-keys")
+    groups = written(keyed.groupBy("_near").agg(*[F.avg(d).alias(d) for d in dims]), "packing-groups")
+    sample = groups.orderBy(F.xxhash64("_near")).limit(FIT_GROUPS).select(*dims).toArrow()
+    nodes = fit_tree(np.stack([sample.column(d).to_numpy() for d in dims], 1), LEAVES)
+
+    def leaves(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            at = leaf_of(np.stack([b.column(i + 1).to_numpy() for i in range(PLACE_DIMS)], 1), nodes)
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(at)], ["_near", "_leaf"])
+
+    # written as they are joined: a group of very many documents is split by the adaptive join
+    placed = written(keyed.select("_n", "_near", "_len").join(groups.mapInArrow(leaves, "_near long, _leaf long"), "_near"), "packing-places")
+    # in units of which a shard holds shard_docs * SHARD_IDS
+    size = F.col("_len") * shard_docs + SHARD_IDS
+    n_shards = max(1, -(-(n_ids * shard_docs + n_docs * SHARD_IDS) // (shard_docs * SHARD_IDS)))
+    order = [F.col("_leaf"), F.col("_near"), F.col("_n")]
+    return byte_prefix_shards(placed, order, size, n_shards, {"_n": F.col("_n")}).select("_n", F.col("shard"))
+
+
+def _shard_files(dealt: DataFrame, folder: str) -> None:
+    """The shard of each row of the files of ids, as one small file for each of the tasks that wrote
+    them, in their order: the ids then find their shard without being shuffled for it."""
+
+    def write(table: pa.Table) -> pa.Table:
+        number = table.column("_n").to_numpy()
+        at = number & ((1 << ROW_BITS) - 1)
+        out = np.full(int(at.max()) + 1, -1, "<i4")
+        out[at] = table.column("shard").to_numpy()
+        with atomic_writer(f"{folder}/{int(number[0] >> ROW_BITS)}") as f:
+            f.write(out.tobytes())
+        return pa.table({"n": pa.array([len(number)], pa.int64())})
+
+    part = F.shiftright("_n", ROW_BITS).alias("_part")
+    dealt.select(part, "_n", "shard").groupBy("_part").applyInArrow(write, "n long").agg(F.sum("n")).collect()
 
-    def numbers(ns: np.ndarray) -> np.ndarray:
-        return base[ns >> 33] + (ns & ((1 << 33) - 1))
 
-    def chosen(batches: Iterator[pa.RecordBatch], bits, docs: int, size: int):
-        """(numbers, doc_ids, lengths, ids) of the rows whose bit is set, in parts."""
-        got: list = []
-        held = 0
+def with_shard(tokens: DataFrame, folder: str) -> DataFrame:
+    """``tokens`` and their shard, read from the files of ``_shard_files``."""
+    fields = tokens.schema.fields
+
+    def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        of: dict[int, np.ndarray] = {}
         for b in batches:
-            at = numbers(b.column("_n").to_numpy())
-            for i in np.flatnonzero(bits[at >> 3] >> (7 - (at & 7)).astype(np.uint8) & 1).tolist():
-                v = b.column("ids")[i].as_py() + end
-                got.append((int(at[i]), b.column("_place")[i].as_py(), v))
-                held += len(v) // kind.itemsize
-                if len(got) == docs or held >= size:
-                    yield got
-                    got, held = [], 0
-        if got:
-            yield got
-
-    def arrays(got):
-        lengths = np.array([len(v) // kind.itemsize for *_, v in got], np.int64)
-        place = np.array([p for _, p, _ in got], np.int64).view(np.uint64)
-        return np.array([n for n, *_ in got], np.int64), place, lengths, np.frombuffer(b"".join(v for *_, v in got), kind)
-
-    def bits_of(flags: np.ndarray):
-        return sc.broadcast(np.packbits(flags))
-
-    def ask(unused: np.ndarray, seeds: np.ndarray, most: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """(seed's index, number, score, left out): answers of all parts; a row of number -1
-        says that a part left out documents of at most that score."""
-        flags = np.zeros(len(unused), bool)
-        flags[seeds] = True
-        picked = bits_of(flags)
-
-        def terms(batches):
-            for got in chosen(batches, picked.value, 1024, 1 << 20):
-                n, place, lengths, ids = arrays(got)
-                row, t, _ = sliced_terms(ids, lengths, _word_marks(path))
-                cuts = np.searchsorted(row, np.arange(len(n) + 1))
-                blobs = [t[a:b].tobytes() for a, b in zip(cuts, cuts[1:])]
-                yield pa.RecordBatch.from_arrays([pa.array(n), pa.array(place.view(np.int64)), pa.array(blobs, pa.binary())], ["n", "place", "terms"])
-
-        table = tokens.mapInArrow(tidy(terms), "n long, place long, terms binary").toArrow()
-        of = {n: i for i, n in enumerate(seeds.tolist())}
-        found = [(of[n], p, t) for n, p, t in zip(*(table.column(c).to_pylist() for c in ("n", "place", "terms")))]
-        asked = sc.broadcast([(i, p & ((1 << 64) - 1), t, int(most[i])) for i, p, t in sorted(found)])
-        open_ = bits_of(unused)
-
-        def answer(batches):
-            for got in chosen(batches, open_.value, PART_DOCS, PART_IDS):
-                number, place, lengths, ids = arrays(got)
-                index = ShardIndex(ids, lengths, _word_marks(path), idf.value, mean_length, hot.value)
-                for lo in range(0, len(asked.value), 256):
-                    block = asked.value[lo : lo + 256]
-                    steps = np.rint(index.answers([np.frombuffer(t, np.int32) for _, _, t, _ in block]) * SCORE_STEPS).astype(np.int32)
-                    who, what, score = [], [], []
-                    for (i, p, _, k), s in zip(block, steps):
-                        top, more = _best(s, place, p, k)
-                        who.append(np.full(len(top) + more, i, np.int32))
-                        what.append(np.append(number[top], [-1] * more))
-                        score.append(np.append(s[top], s[top[len(top) - more :]]))
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array(np.concatenate(c).astype(t)) for c, t in ((who, np.int32), (what, np.int64), (score, np.int32))], ["seed", "doc", "score"]
-                    )
-
-        out = tokens.mapInArrow(tidy(answer), "seed int, doc long, score int").toArrow()
-        for b in (picked, asked, open_):
-            b.destroy()
-        return tuple(out.column(c).to_numpy() for c in ("seed", "doc", "score"))
-
-    return ask
-
-
-def pack_documents(df: DataFrame, text: str, key: str, path: str, window: int = WINDOW, end_id: int = END_ID, ids_too: bool = True) -> DataFrame:
+            number = b.column(b.schema.get_field_index("_n")).to_numpy()
+            part, at = number >> ROW_BITS, number & ((1 << ROW_BITS) - 1)
+            shard = np.empty(len(b), np.int32)
+            for p in np.unique(part).tolist():
+                if p not in of:
+                    of = {p: np.frombuffer(read_whole(f"{folder}/{p}"), "<i4")}
+                shard[part == p] = of[p][at[part == p]]
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(shard)], [*[f.name for f in fields], "shard"])
+
+    return tokens.mapInArrow(look, ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in fields] + ["shard int"]))
+
+
+def pack_documents(
+    df: DataFrame, text: str, key: str, path: str, window: int = WINDOW, end_id: int = END_ID, ids_too: bool = True, shard_docs: int = SHARD_DOCS
+) -> DataFrame:
     """Pieces of all documents, packed into sequences of ``window`` ids.
 
-    Documents are whole texts' ids and ``end_id``. The table's files are the parts of one
-    index; seeds, in blocks, are asked against all unused documents of all parts, and the best
-    of all answers fill their windows. A part answers with its best few; a seed for which they
-    are used up asks again for more, so nothing is out of reach. Memory of a task depends on
-    the size of a part and of a block; the driver holds some numbers for each document, and no
-    texts. Time grows with windows times documents. Only the last sequence can be short.
-    Returns PIECE_SCHEMA and, with ``ids_too``, the piece's ids as little-endian unsigned
+    Documents (whole texts' ids and ``end_id``) are dealt by content into shards of a bounded size
+    (``deal_by_content``); each shard is an inverted index in the memory of one task and is packed
+    there. Term weights use document frequencies, document count and mean length of the whole
+    corpus. A neighbour is looked for in the seed's own shard. Only a shard's last sequence can be
+    short. Returns PIECE_SCHEMA and, with ``ids_too``, the piece's ids as little-endian unsigned
     32-bit integers.
 
-    Null and empty texts are documents of ``end_id`` alone. Rows with equal keys are packed
-    each for itself.
+    Null and empty texts are documents of ``end_id`` alone. Rows with equal or null keys are packed
+    each for itself; equal scores go by key, then by the order of the input. An empty table gives no
+    pieces. Other columns of the input are ignored.
     """
     spark = df.sparkSession
-    tokens = with_ids(df.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("_t")), "_t", ["doc_id"], path)
-    tokens = written(tokens.withColumn("_n", F.monotonically_increasing_id()).withColumn("_place", F.xxhash64("doc_id", "_n")), "packing-ids")
-    kind = id_type(path)
-    rows = tokens.select("_n", "_place", (F.length("ids") / kind.itemsize + 1).cast("long").alias("n")).toArrow()
-    ns, place, lengths = (rows.column(c).to_numpy() for c in ("_n", "_place", "n"))
     schema = PIECE_SCHEMA + (", ids binary" if ids_too else "")
-    if not len(ns):
+    coded = with_ids(df.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("_t")), "_t", ["doc_id"], path)
+    tokens = numbered(coded, "_n", "packing-ids", keep=True)
+    width = id_type(path).itemsize
+    stats = tokens.agg(F.count("*").alias("n"), F.sum(F.length("ids") / width + 1).alias("ids")).first()
+    n_docs, n_ids = stats["n"], int(stats["ids"] or 0)
+    if not n_docs:
         return spark.createDataFrame([], schema)
-    order = np.argsort(ns)
-    ns, place, lengths = ns[order], place[order], lengths[order]
-    base = np.zeros(int(ns[-1] >> 33) + 1, np.int64)
-    base[np.unique(ns >> 33)] = np.unique(ns >> 33, return_index=True)[1]
     counts = document_frequencies(tokens, path)
-    idf = np.log1p((len(ns) - counts + 0.5) / (counts + 0.5)).astype(np.float32)
-    hot = np.full(len(counts), -1, np.int32)
-    hot[np.argsort(-counts, kind="stable")[:HOT_TERMS]] = np.arange(HOT_TERMS)
-    sc = spark.sparkContext
-    ask = _retriever(tokens, path, end_id, sc.broadcast(idf), sc.broadcast(hot), float(lengths.mean()), base)
-
-    # documents are numbered in the order of their places, in which fresh seeds are taken
-    by_place = np.lexsort((ns, place.view(np.uint64)))
-    rank = np.empty_like(by_place)
-    rank[by_place] = np.arange(len(rank))
-    chains = Chains(lengths[by_place], window)
-    parts = max(np.count_nonzero(np.diff(ns >> 33)) + 1, -(-len(ns) // PART_DOCS))
-    while True:
-        todo = chains.seeds(parts)
-        if chains.used.all() or not todo:
-            break
-        seeds = np.array([by_place[chains.seed[c]] for c in todo])
-        unused = ~chains.used[rank]
-        # chains can share no seed, so a seed's answers are one chain's
-        who, what, score = ask(unused, seeds, np.array([chains.most[c] for c in todo]))
-        away = np.where(what >= 0, place.view(np.uint64)[what] - place.view(np.uint64)[seeds][who], 0)
-        at = np.lexsort((away, -score.astype(np.int64), who))
-        who, what, score = who[at], what[at], score[at]
-        cuts = np.searchsorted(who, np.arange(len(todo) + 1))
-        for i, c in enumerate(todo):
-            docs, s = what[cuts[i] : cuts[i + 1]], score[cuts[i] : cuts[i + 1]]
-            left_out = s[docs < 0]
-            # below the best score that a part left out, better documents may be missing
-            sure = docs[(docs >= 0) & (s >= left_out.max(initial=0))]
-            chains.fill(c, rank[sure].tolist(), not len(left_out))
-    doc, start, length, pos = chains.spans()
-    plan = spark.createDataFrame(pa.table({"_n": ns[by_place[doc]], "_start": start, "_length": length, "_pos": pos}))
-    placed = tokens.select("_n", "doc_id", "ids").join(plan, "_n")
-    end = np.array([end_id], kind).tobytes()
-    names = [f.split()[0] for f in schema.split(", ")]
-    kinds = [pa.int64()] * 7 + [pa.binary()] * ids_too
-
-    def pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            rows = []
-            for doc_id, v, start, n, pos in zip(*(b.column(c).to_pylist() for c in ("doc_id", "ids", "_start", "_length", "_pos"))):
-                v += end
-                ids = np.frombuffer(v, kind).astype("<u4")
-                total = len(ids)
-                while n:
-                    take = min(n, window - pos % window)
-                    piece = ids[start : start + take].tobytes()
-                    row = (doc_id, start, take, zlib.crc32(piece), total, pos // window, pos % window)
-                    rows.append((*row, piece) if ids_too else row)
-                    start, n, pos = start + take, n - take, pos + take
-            if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names)
-
-    return placed.mapInArrow(tidy(pieces), schema)
-
-
+    idf = spark.sparkContext.broadcast(np.log1p((n_docs - counts + 0.5) / (counts + 0.5)).astype(np.float32))
+    mean_length = n_ids / n_docs
+    folder = new_shared_dir(spark, "packing-shards", keep=True)
+    store, where = open_store(folder)
+    store.create_dir(where, recursive=True)
+    _shard_files(deal_by_content(tokens, path, counts, idf, mean_length, n_docs, n_ids, shard_docs), folder)
+
+    def pack(table: pa.Table) -> pa.Table:
+        table = table.sort_by([("doc_id", "ascending"), ("_n", "ascending")])
+        number = table.column("shard")[0].as_py()
+        kind = id_type(path)
+        end = np.array([end_id], kind).tobytes()
+        values = [v + end for v in table.column("ids").to_pylist()]
+        lengths = np.array([len(v) // kind.itemsize for v in values], np.int64)
+        ids = np.frombuffer(b"".join(values), kind)
+        index = ShardIndex(ids, lengths, _word_marks(path), idf.value, mean_length)
+        keys = table.column("doc_id").to_pylist()
+        wide = ids.astype("<u4")
+        raw = memoryview(wide.tobytes())
+        first = np.cumsum(lengths) - lengths
+        rows = []
+        for doc, start, n, seq, offset in pack_shard(index, lengths, window):
+            at = int(first[doc]) + start
+            piece = raw[4 * at : 4 * (at + n)]
+            row = (keys[doc], start, n, zlib.crc32(piece), int(lengths[doc]), (number << 32) | seq, offset)
+            rows.append((*row, bytes(piece)) if ids_too else row)
+        names = [f.split()[0] for f in schema.split(", ")]
+        kinds = [pa.int64()] * 7 + [pa.binary()] * ids_too
+        return pa.Table.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names)
+
+    return with_shard(tokens, folder).groupBy("shard").applyInArrow(tidy(pack), schema)
+
+
+@settled
 def op1_retrieval_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pieces of every document; see ``pack_documents``."""
     docs = read_table(spark, sf_dir, "documents")
     return pack_documents(docs, "text", "doc_id", tokenizer_path(), ids_too=False)

@@ -31,6 +31,12 @@ def read_range(uri: str, offset: int, length: int) -> bytes:
         return f.read_at(length, offset)
 
 
+def read_whole(uri: str) -> bytes:
+    store, path = open_store(uri)
+    with store.open_input_file(path) as f:
+        return f.read()
+
+
 def sizes(uri: str) -> list[tuple[str, int]]:
     """(name, bytes) of the whole files of a folder, by name."""
     store, path = open_store(uri)
