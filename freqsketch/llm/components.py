@@ -7,7 +7,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, tidy
+from .common import scratch, tidy, written
 
 
 def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 60) -> DataFrame:
@@ -20,20 +20,20 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_round
     minima combine before the shuffle, and the join against them is an equi-join that adaptive
     execution splits. Loops and repeated edges are ignored.
     """
-    e = cut(_undirected(_local_stars(edges.select(F.col(a).cast("long").alias("a"), F.col(b).cast("long").alias("b")))))
-    state = _checksum(e)
-    for _ in range(max_rounds):
-        if not state[0]:
-            break
-        e = cut(_small_star(_large_star(e)))
-        before, state = state, _checksum(e)
-        if state == before:
-            break
-    else:
-        raise RuntimeError("components did not settle")
-    return e.select(F.col("a").alias("node"), F.col("b").alias("component")).unionByName(
-        e.select(F.col("b").alias("node"), F.col("b").alias("component"))
-    ).distinct()
+    with scratch(edges.sparkSession):
+        e = written(_undirected(_local_stars(edges.select(F.col(a).cast("long").alias("a"), F.col(b).cast("long").alias("b")))), "edges")
+        state = _checksum(e)
+        for _ in range(max_rounds):
+            if not state[0]:
+                break
+            e = written(_small_star(_large_star(e)), "edges")
+            before, state = state, _checksum(e)
+            if state == before:
+                break
+        else:
+            raise RuntimeError("components did not settle")
+        ends = F.explode(F.array("a", "b")).alias("node")
+        return written(e.select(ends, F.col("b").alias("component")).distinct(), "components", keep=True)
 
 
 def _local_stars(edges: DataFrame, chunk: int = 1 << 20) -> DataFrame:

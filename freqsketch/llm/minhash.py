@@ -10,7 +10,7 @@ import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import byte_slices, mix64, read_table, salted_powers, segment_hash, text_buffer, tidy, word_bounds, written
+from .common import byte_slices, mix64, numbered, read_table, salted_powers, segment_hash, settled, text_buffer, tidy, word_bounds, written
 from .components import connected_components
 
 #: Fixed values of the contract: words in a shingle, least similarity in percent.
@@ -79,49 +79,34 @@ def signatures(shingles: np.ndarray, counts: np.ndarray) -> np.ndarray:
     return out
 
 
-def _map_text(df: DataFrame, text: str, key: str, schema: str, make) -> DataFrame:
-    picked = df.select(F.col(key).cast("long").alias("id"), F.col(text).alias("_text"))
+def signature_rows(df: DataFrame, text: str, key: str, words: int, row: str | None = None) -> DataFrame:
+    """(id, n, set_a, set_b, sig, shingles) and the column ``row``, if one is named: set size, a
+    128-bit digest of the set, the signature, and the whole set for confirming links."""
+    picked = df.select(F.col(key).cast("long").alias("id"), F.col(text).alias("_text"), *([F.col(row).alias("row")] if row else []))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             raw, off = text_buffer(b.column(1))
             for lo, hi in byte_slices(off):
-                yield make(b.column(0).slice(lo, hi - lo), raw[off[lo] : off[hi]], off[lo : hi + 1] - off[lo])
-
-    return picked.mapInArrow(tidy(run), schema)
-
-
-def signature_rows(df: DataFrame, text: str, key: str, words: int) -> DataFrame:
-    """(id, n, set_a, set_b, sig): set size, a 128-bit digest of the set, the signature."""
-
-    def make(ids, raw, off):
-        sh, n = shingle_sets(raw, off, words)
-        sig = np.zeros((len(n), COORDINATES), np.uint32)
-        sig[n > 0] = signatures(sh, n)
-        a, b = np.zeros(len(n), np.uint64), np.zeros(len(n), np.uint64)
-        if len(sh):
-            begin = (np.cumsum(n) - n)[n > 0]
-            a[n > 0] = np.add.reduceat(sh, begin)
-            b[n > 0] = np.add.reduceat(mix64(sh ^ np.uint64(0xA5A5A5A5A5A5A5A5)), begin)
-        flat = pa.array(sig.ravel().astype(np.int64))
-        lists = pa.ListArray.from_arrays(pa.array(np.arange(len(n) + 1, dtype=np.int32) * COORDINATES), flat)
-        return pa.RecordBatch.from_arrays(
-            [ids, pa.array(n.astype(np.int64)), pa.array(a.view(np.int64)), pa.array(b.view(np.int64)), lists],
-            ["id", "n", "set_a", "set_b", "sig"],
-        )
-
-    return _map_text(df, text, key, "id long, n long, set_a long, set_b long, sig array<long>", make)
-
-
-def shingle_rows(df: DataFrame, text: str, key: str, words: int) -> DataFrame:
-    """(id, shingles): whole sets, for confirming links."""
-
-    def make(ids, raw, off):
-        sh, n = shingle_sets(raw, off, words)
-        ends = np.concatenate([[0], np.cumsum(n)]).astype(np.int32)
-        return pa.RecordBatch.from_arrays([ids, pa.ListArray.from_arrays(pa.array(ends), pa.array(sh.view(np.int64)))], ["id", "shingles"])
-
-    return _map_text(df, text, key, "id long, shingles array<long>", make)
+                sh, n = shingle_sets(raw[off[lo] : off[hi]], off[lo : hi + 1] - off[lo], words)
+                sig = np.zeros((len(n), COORDINATES), np.uint32)
+                sig[n > 0] = signatures(sh, n)
+                one, two = np.zeros(len(n), np.uint64), np.zeros(len(n), np.uint64)
+                ends = np.cumsum(n)
+                if len(sh):
+                    begin = (ends - n)[n > 0]
+                    one[n > 0] = np.add.reduceat(sh, begin)
+                    two[n > 0] = np.add.reduceat(mix64(sh ^ np.uint64(0xA5A5A5A5A5A5A5A5)), begin)
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(len(n) + 1, dtype=np.int32) * COORDINATES), pa.array(sig.ravel().astype(np.int64)))
+                sets = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]).astype(np.int32)), pa.array(sh.view(np.int64)))
+                yield pa.RecordBatch.from_arrays(
+                    [b.column(0).slice(lo, hi - lo), pa.array(n.astype(np.int64)), pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), lists, sets]
+                    + [c.slice(lo, hi - lo) for c in b.columns[2:]],
+                    ["id", "n", "set_a", "set_b", "sig", "shingles"] + ["row"] * bool(row),
+                )
+
+    schema = "id long, n long, set_a long, set_b long, sig array<long>, shingles array<long>"
+    return picked.mapInArrow(tidy(run), schema + (", row long" if row else ""))
 
 
 def prefix_postings(reps: DataFrame, matches: int = MATCHES) -> DataFrame:
@@ -162,36 +147,56 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 def _links_between(base: tuple, ask: tuple, matches: int, percent: int) -> tuple[np.ndarray, np.ndarray]:
     """Links that join classes, out of the pairs of an asking and a base document.
 
-    Pairs inside one class are skipped, also when a link found here has just made them so.
-    A document's most similar signatures are confirmed first; what is still of another class
-    and has enough equal coordinates follows."""
+    The base documents are posted under each coordinate's values. For an asking document, the
+    lists of its values are merged from the shortest to the longest: a partner with enough equal
+    coordinates is on one of the first COORDINATES - matches + 1, so those alone bring partners,
+    and the longer lists are only asked about the partners that can still get there. Partners
+    of the asking document's own class are skipped, also when a link found here has just made them
+    so. What has enough equal coordinates is confirmed on whole sets, the most similar first."""
     b_id, b_cls, b_sig, b_sets, b_n = base
     a_id, a_cls, a_sig, a_sets, a_n = ask
     b_begin, a_begin = np.cumsum(b_n) - b_n, np.cumsum(a_n) - a_n
     _, code = np.unique(np.concatenate([b_cls, a_cls]), return_inverse=True)
     label = np.arange(code.max() + 1 if len(code) else 0)  # class of each first class
     b_code, a_code = code[: len(b_cls)], code[len(b_cls) :]
+    posted = np.argsort(b_sig, axis=0, kind="stable")
+    values = np.take_along_axis(b_sig, posted, 0)
+    lo, hi = np.empty((2, len(a_id), COORDINATES), np.int64)
+    for k in range(COORDINATES):
+        lo[:, k] = np.searchsorted(values[:, k], a_sig[:, k], "left")
+        hi[:, k] = np.searchsorted(values[:, k], a_sig[:, k], "right")
+    prefix = COORDINATES - matches + 1
     found_a, found_b = [], []
-    by_coordinate = np.ascontiguousarray(b_sig.T)
     for i in range(len(a_id)):
-        equal = np.zeros(len(b_id), np.int16)
-        for k in range(COORDINATES):
-            equal += by_coordinate[k] == a_sig[i, k]
-        low, high = np.minimum(b_n, a_n[i]), np.maximum(b_n, a_n[i])
-        order = np.flatnonzero((equal >= matches) & (100 * low >= percent * high))
-        order = order[np.argsort(-equal[order], kind="stable")]
+        order = np.argsort(hi[i] - lo[i], kind="stable")
+        lists = [posted[lo[i, k] : hi[i, k], k] for k in order[:prefix].tolist() if hi[i, k] > lo[i, k]]
+        if not lists:
+            continue
+        partner, equal = np.unique(np.concatenate(lists), return_counts=True)
+        small, large = np.minimum(b_n[partner], a_n[i]), np.maximum(b_n[partner], a_n[i])
+        good = (label[b_code[partner]] != label[a_code[i]]) & (100 * small >= percent * large)
+        partner, equal = partner[good], equal[good]
+        for j, k in enumerate(order[prefix:].tolist()):
+            can = equal + (matches - 1 - j) >= matches  # coordinates still to come
+            partner, equal = partner[can], equal[can]
+            if not len(partner):
+                break
+            equal = equal + (b_sig[partner, k] == a_sig[i, k])
+        enough = equal >= matches
+        partner, equal = partner[enough], equal[enough]
+        partner = partner[np.argsort(-equal, kind="stable")]
         mine = a_sets[a_begin[i] : a_begin[i] + a_n[i]]
-        for lo, hi in ((0, 16), (16, len(order))):
-            part = order[lo:hi]
+        for first, last in ((0, 16), (16, len(partner))):
+            part = partner[first:last]
             part = part[label[b_code[part]] != label[a_code[i]]]
             if not len(part):
                 continue
             n = b_n[part]
-            first = np.cumsum(n) - n
-            values = b_sets[np.arange(int(n.sum())) + np.repeat(b_begin[part] - first, n)]
-            at = np.searchsorted(mine, values)
-            same = mine[np.minimum(at, len(mine) - 1)] == values
-            common = np.add.reduceat(same.astype(np.int64), first)
+            start = np.cumsum(n) - n
+            theirs = b_sets[np.arange(int(n.sum())) + np.repeat(b_begin[part] - start, n)]
+            at = np.searchsorted(mine, theirs)
+            same = mine[np.minimum(at, len(mine) - 1)] == theirs
+            common = np.add.reduceat(same.astype(np.int64), start)
             for j in part[100 * common >= percent * (n + a_n[i] - common)].tolist():
                 x, y = label[b_code[j]], label[a_code[i]]
                 if x != y:
@@ -201,7 +206,7 @@ def _links_between(base: tuple, ask: tuple, matches: int, percent: int) -> tuple
     return np.array(found_a, np.int64), np.array(found_b, np.int64)
 
 
-def _family_links(lists: DataFrame, reps: DataFrame, sets: DataFrame, matches: int, percent: int) -> DataFrame:
+def _family_links(lists: DataFrame, sets: DataFrame, matches: int, percent: int) -> DataFrame:
     """Links (a, b) between different classes out of posting lists (key, id, class).
 
     Lists inside one class are skipped. Documents that the other lists connect are a family; each
@@ -215,7 +220,7 @@ def _family_links(lists: DataFrame, reps: DataFrame, sets: DataFrame, matches: i
     # families join classes, of which there are fewer than documents
     families = connected_components(on_mixed.where("class <> hub").select(F.col("class").alias("a"), F.col("hub").alias("b")))
     families = families.select(F.col("node").alias("class"), F.col("component").alias("family"))
-    members = on_mixed.select("id", "class").distinct().join(families, "class").join(sets, "id").join(reps.select("id", "sig"), "id")
+    members = on_mixed.select("id", "class").distinct().join(families, "class").join(sets, "id")
     members = written(members, "families")
     weight = F.size("shingles").cast("long")
     per_class = members.groupBy("family", "class").agg(F.sum(weight).alias("_w"))
@@ -248,64 +253,70 @@ def _family_links(lists: DataFrame, reps: DataFrame, sets: DataFrame, matches: i
 
 
 def near_duplicate_classes(
-    df: DataFrame, text: str, key: str, words: int = SHINGLE_WORDS, percent: int = PERCENT, matches: int = MATCHES
+    df: DataFrame, text: str, key: str, words: int = SHINGLE_WORDS, percent: int = PERCENT, matches: int = MATCHES, row: str | None = None
 ) -> DataFrame:
-    """(id, n_shingles, component_id): classes of documents linked by similar shingle sets.
+    """(id, n_shingles, component_id, first) and ``row``, if a column is named, for each row:
+    classes of documents linked by similar shingle sets.
 
-    ``component_id`` is the smallest key that links reach; every link counts, chains too.
+    ``component_id`` is the smallest key that links reach; every link counts, chains too. ``first``
+    holds for one row of each class, one with that key. ``row`` is a column of unique row numbers
+    for joining the result with the rows.
 
     1. Documents with equal sets are one class at once; one of each set goes on.
     2. Signatures' coordinate-value pairs are posted by prefix (``prefix_postings``).
     3. Each document is compared with the first and the last of its lists' documents: links
        that hold, on whole sets, make classes. This takes a group of copies of any size
        with a number of comparisons in proportion to it.
-    4. Documents on lists that still hold different classes are compared in blocks, on
-       signatures, and on whole sets where enough coordinates are equal; pairs of one
-       class are skipped.
+    4. Documents on lists that still hold different classes are compared in blocks, by merging
+       the lists of a block with skips (``_links_between``); pairs of one class are skipped.
 
     A link is missed only if its signatures differ more than MATCHES allows. Null, empty and
-    blank texts have no shingles and stand alone. Keys are bigints and unique; rows with a
-    null key are left out of classes with a null component.
+    blank texts have no shingles and stand alone. Rows with one key are documents of their own,
+    linked like others. Rows with a null key stand alone: they link with nothing, their
+    ``component_id`` is null. Other columns are ignored; an empty table gives no rows.
     """
-    rows = written(signature_rows(df, text, key, words), "signatures")
+    rows = numbered(signature_rows(df, text, key, words, row), "_r", "signatures", keep=True)
     with_set = rows.where("n > 0 and id is not null")
-    heads = with_set.groupBy("set_a", "set_b", "n").agg(F.min("id").alias("rep"))
-    heads = written(heads, "set-heads")
-    reps = rows.join(heads.select(F.col("rep").alias("id")), "id", "left_semi").select("id", "sig")
-    posts = written(prefix_postings(reps, matches), "postings")
+    heads = written(with_set.groupBy("set_a", "set_b", "n").agg(F.min("_r").alias("rep"), F.min("id").alias("least")), "set-heads", keep=True)
+    reps = rows.join(heads.select(F.col("rep").alias("_r")), "_r", "left_semi").select(F.col("_r").alias("id"), "sig", "shingles")
+    posts = written(prefix_postings(reps.select("id", "sig"), matches), "postings")
     ends = posts.groupBy("key").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo < hi")
     listed = written(posts.join(ends, "key"), "posting-lists")
-    involved = listed.select("id").distinct()
-    sets = written(
-        shingle_rows(df.withColumn("_id", F.col(key).cast("long")).join(involved.withColumnRenamed("id", "_id"), "_id", "left_semi"), text, "_id", words),
-        "shingles",
-    )
     hubs = listed.groupBy("id").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
-    near = hubs.select("id", F.explode(F.array("lo", "hi")).alias("_h")).where("id <> _h")
-    near = near.select(F.least("id", "_h").alias("a"), F.greatest("id", "_h").alias("b")).distinct()
-    first = written(_confirmed(near, sets, percent), "links")
+    sets = written(reps.join(hubs.select("id"), "id", "left_semi"), "shingles")
+    name = written(hubs.select("id", F.explode(F.array("lo", "hi")).alias("_h")).where("id <> _h"), "hubs")
+    near = name.select(F.least("id", "_h").alias("a"), F.greatest("id", "_h").alias("b")).distinct()
+    first = written(_confirmed(near, sets.select("id", "shingles"), percent), "links")
     # a document takes the name of its first linked hub, then of that one's; documents of one
     # name are connected, and not all that are connected need to have one name yet
-    name = hubs.select("id", F.explode(F.array("lo", "hi")).alias("_h")).where("id <> _h")
-    linked = first.select(F.col("a").alias("id"), F.col("b").alias("_h")).unionByName(first.select(F.col("b").alias("id"), F.col("a").alias("_h")))
-    name = name.join(linked, ["id", "_h"], "left_semi").groupBy("id").agg(F.min("_h").alias("_h"))
-    name = written(name, "names")
+    linked = first.select(F.inline(F.array(F.struct(F.col("a").alias("id"), F.col("b").alias("_h")), F.struct(F.col("b").alias("id"), F.col("a").alias("_h")))))
+    name = written(name.join(linked, ["id", "_h"], "left_semi").groupBy("id").agg(F.min("_h").alias("_h")), "names")
     up = name.select(F.col("id").alias("_h"), F.col("_h").alias("_up"))
     classes = name.join(up, "_h", "left").select("id", F.coalesce("_up", "_h").alias("class"))
-    labelled = listed.select("key", "id").join(classes, "id", "left").select("key", "id", F.coalesce("class", "id").alias("class"))
-    labelled = written(labelled, "labelled")
-    second = written(_family_links(labelled, reps, sets, matches, percent), "links")
+    labelled = written(listed.select("key", "id").join(classes, "id", "left").select("key", "id", F.coalesce("class", "id").alias("class")), "labelled")
+    second = written(_family_links(labelled, sets, matches, percent), "links")
     joined = connected_components(first.unionByName(second)).select(F.col("node").alias("rep"), "component")
-    top = heads.join(joined, "rep", "left").select("set_a", "set_b", "n", F.coalesce("component", "rep").alias("_c"))
-    return (
-        rows.select("id", "n", "set_a", "set_b")
-        .join(top.withColumnRenamed("n", "_n").withColumnRenamed("set_a", "_a").withColumnRenamed("set_b", "_b"),
-              (F.col("set_a") == F.col("_a")) & (F.col("set_b") == F.col("_b")) & (F.col("n") == F.col("_n")), "left")
-        .select("id", F.col("n").alias("n_shingles"), F.coalesce(F.when(F.col("id").isNotNull(), F.col("_c")), F.col("id")).alias("component_id"))
+    # a class is named after its smallest key, and its first row is the first one with that key
+    top = written(heads.join(joined, "rep", "left").withColumn("_c", F.coalesce("component", "rep")), "set-classes", keep=True)
+    names = top.groupBy("_c").agg(F.min(F.struct("least", "rep")).alias("_m")).select(F.col("_c").alias("_k"), F.col("_m.least").alias("_least"), F.col("_m.rep").alias("_owner"))
+    top = top.join(names, F.col("_c") == F.col("_k")).select(
+        F.col("set_a").alias("_a"), F.col("set_b").alias("_b"), F.col("n").alias("_n"), "_least", (F.col("rep") == F.col("_owner")).alias("_own")
+    )
+    out = rows.select("id", "n", "set_a", "set_b", "_r", *["row"] * bool(row)).withColumn("_has", F.col("id").isNotNull() & (F.col("n") > 0))
+    out = out.join(top, F.col("_has") & (F.col("set_a") == F.col("_a")) & (F.col("set_b") == F.col("_b")) & (F.col("n") == F.col("_n")), "left")
+    # of the rows of the set that holds the smallest key, the first one with it
+    lead = with_set.join(top.where("_own"), (F.col("set_a") == F.col("_a")) & (F.col("set_b") == F.col("_b")) & (F.col("n") == F.col("_n")) & (F.col("id") == F.col("_least")))
+    lead = lead.groupBy("_a", "_b", "_n").agg(F.min("_r").alias("_lead")).select("_lead")
+    return out.join(lead, F.col("_r") == F.col("_lead"), "left").select(
+        "id", F.col("n").alias("n_shingles"), F.when(F.col("_has"), F.col("_least")).otherwise(F.col("id")).alias("component_id"),
+        (~F.col("_has") | F.col("_lead").isNotNull()).alias("first"), *["row"] * bool(row),
     )
 
 
+@settled
 def op2_minhash_classes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Class of every document; see ``near_duplicate_classes``."""
     docs = read_table(spark, sf_dir, "documents")
     out = near_duplicate_classes(docs, "text", "doc_id")
-    return out.select(F.col("id").alias("doc_id"), "n_shingles", "component_id", (F.col("id") == F.col("component_id")).alias("kept"))
+    kept = F.col("id").eqNullSafe(F.col("component_id"))
+    return out.select(F.col("id").alias("doc_id"), "n_shingles", "component_id", kept.alias("kept"))
