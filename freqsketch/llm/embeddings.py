@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import cut, read_table, written
+from .common import numbered, read_table, settled, tidy, written
 from .components import connected_components, settle
 from .sharding import byte_prefix_shards
 
@@ -21,13 +21,15 @@ GRID_DIMS = 8
 #: that is compared as a whole.
 BLOCK = 4096
 LEAF = 128
+#: Boxes under a node of the tree over the intervals.
+FAN = 256
 
 
 def _matrix(column: pa.Array, dim: int) -> tuple[np.ndarray, np.ndarray]:
     """Rows as doubles, zero-padded to ``dim``, and whether each can link at all."""
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
-    lens = np.array([-1 if x is None else x for x in column.value_lengths().to_pylist()], np.int64)
+    lens = column.value_lengths().fill_null(-1).to_numpy(zero_copy_only=False).astype(np.int64)
     out = np.zeros((len(lens), dim))
     flat = column.flatten().to_numpy(zero_copy_only=False).astype(float)  # null components become NaN
     have = np.maximum(lens, 0)
@@ -36,9 +38,10 @@ def _matrix(column: pa.Array, dim: int) -> tuple[np.ndarray, np.ndarray]:
     out[rows, cols] = flat
     good = (lens > 0) & np.isfinite(out).all(1)
     out[~good] = 0.0
-    norm = np.sqrt((out * out).sum(1))
-    good &= (norm > 0) & np.isfinite(norm)
-    return out, good
+    # the largest component becomes 1, so that no square overflows or vanishes
+    scale = np.abs(out).max(1, initial=0.0)
+    good &= scale > 0
+    return out / np.where(scale > 0, scale, 1.0)[:, None], good
 
 
 def _unit(m: np.ndarray) -> np.ndarray:
@@ -156,29 +159,69 @@ def join_blocks(x: dict, y: dict, same: bool, eps: float, cosine: float) -> tupl
     return ids[have], degree[have], root[have]
 
 
+def _block_pairs(blocks: DataFrame, n_blocks: int, n_axes: int, eps: float) -> DataFrame:
+    """(i, j), i <= j, of the blocks whose boxes are within ``eps``: a tree of boxes, FAN to a node,
+    is joined level by level from its root. A task sees the boxes under two nodes, and pairs of
+    nodes that are too distant are never made."""
+
+    def packed(level: DataFrame) -> DataFrame:
+        box = F.sort_array(F.collect_list(F.struct("node", "lo", "hi")))
+        return level.groupBy(F.floor(F.col("node") / FAN).cast("int").alias("node")).agg(box.alias("under"))
+
+    ends = lambda f, c: F.array(*[f(F.get(c, F.lit(i))) for i in range(n_axes)])
+    levels = [blocks.select(F.col("block").alias("node"), "lo", "hi")]
+    n = n_blocks
+    while n > FAN:
+        up = levels[-1].groupBy(F.floor(F.col("node") / FAN).cast("int").alias("node")).agg(ends(F.min, "lo").alias("lo"), ends(F.max, "hi").alias("hi"))
+        levels.append(written(up, "vector-boxes"))
+        n = -(-n // FAN)
+
+    def descend(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for r in b.to_pylist():
+                same = r["i"] == r["j"]
+                boxes = r["a"] if same else r["a"] + r["b"]
+                lo, hi = (np.array([x[k] for x in boxes], float).reshape(-1, n_axes) for k in ("lo", "hi"))
+                left = (0, len(r["a"]))
+                right = left if same else (len(r["a"]), len(boxes))
+                got = list(interval_join(lo, hi, left, right, eps))
+                yield pa.RecordBatch.from_arrays([pa.array([boxes[x[k]]["node"] for x in got], pa.int32()) for k in (0, 1)], ["i", "j"])
+
+    pairs = None
+    for level in reversed(levels):
+        under = packed(level)
+        a = under.select(F.col("node").alias("i"), F.col("under").alias("a"))
+        b = under.select(F.col("node").alias("j"), F.col("under").alias("b"))
+        if pairs is None:
+            pairs = a.select("i", F.col("i").alias("j"))
+        pairs = written(pairs.join(a, "i").join(b, "j").select("i", "j", "a", "b").mapInArrow(tidy(descend), "i int, j int"), "vector-pairs")
+    return pairs
+
+
 def vector_links(df: DataFrame, key: str, vector: str, cosine: float = COSINE, n_axes: int = GRID_DIMS, block: int = BLOCK) -> DataFrame:
     """(id, n_links, component_id) for every row of (key, vector).
 
     Unit vectors are sorted by their grid cells (side: the distance that the cosine stands
     for) on the leading principal axes of all vectors; the sequence is cut into intervals,
-    and a recursive join over their bounding boxes keeps the pairs of intervals that can
+    and a recursive join over a tree of their bounding boxes keeps the pairs of intervals that can
     hold links; a task joins one such pair, recursing further. Distances on the axes never
     exceed true ones, so no link is lost. Equal vectors are joined as one and counted.
 
     Tasks return each vector's number of links and a root of its local class, never the links
     themselves, so that a group of copies costs its size. Vectors that are null, empty, zero
     or hold null or non-finite components link with nothing, nor do vectors of different
-    length. Keys are unique bigints; a null key stays alone.
+    length. Every row is a vector of its own, also where rows or keys repeat; a row whose key
+    is null stays alone. Other columns are ignored; an empty table gives no rows.
     """
     spark = df.sparkSession
     eps = math.sqrt(max(0.0, 2 - 2 * cosine)) + 1e-9
     src = df.select(F.col(key).cast("long").alias("id"), F.col(vector).alias("v"))
     digest = F.md5(F.concat_ws(",", F.transform("v", lambda x: F.coalesce(x.cast("string"), F.lit("~")))))
     ok = F.col("v").isNotNull() & F.col("id").isNotNull() & (F.size("v") > 0)
-    rows = cut(src.withColumn("_d", F.when(ok, digest)))
-    heads = rows.where("_d is not null").groupBy("_d").agg(F.min("id").alias("head"), F.count("*").alias("times"))
-    heads = cut(heads)
-    ones = rows.join(heads.select(F.col("head").alias("id"), "times"), "id").select("id", "v", "times")
+    rows = numbered(src.withColumn("_d", F.when(ok, digest)), "_r", "vectors", keep=True)
+    heads = rows.where("_d is not null").groupBy("_d").agg(F.min("_r").alias("head"), F.count("*").alias("times"), F.min("id").alias("least"))
+    heads = written(heads, "vector-heads", keep=True)
+    ones = rows.join(heads.select(F.col("head").alias("_r"), "times"), "_r").select(F.col("_r").alias("id"), "v", "times")
     dim = rows.agg(F.max(F.size("v"))).first()[0] or 0
     dim = max(int(dim), 1)
     n_axes = min(n_axes, dim)
@@ -192,15 +235,14 @@ def vector_links(df: DataFrame, key: str, vector: str, cosine: float = COSINE, n
             keep = pa.array(good)
             packed = np.ascontiguousarray(u)
             yield pa.RecordBatch.from_arrays(
-                [b.column(0).filter(keep), b.column(2).filter(keep),
-                 pa.array([len(v) for v in b.column(1).filter(keep)], pa.int32()),
+                [b.column(0).filter(keep), b.column(2).filter(keep), b.column(1).filter(keep).value_lengths().cast(pa.int32()),
                  pa.array([r.tobytes() for r in packed], pa.binary()),
                  pa.array(list(np.floor(p / eps).astype(np.int32)), pa.list_(pa.int32())),
                  pa.array([r.tobytes() for r in np.ascontiguousarray(p)], pa.binary())],
                 ["id", "times", "dim", "u", "cell", "p"],
             )
 
-    placed = cut(ones.mapInArrow(place, "id long, times long, dim int, u binary, cell array<int>, p binary"))
+    placed = written(ones.mapInArrow(tidy(place), "id long, times long, dim int, u binary, cell array<int>, p binary"), "vector-places", keep=True)
     n = placed.count()
     n_blocks = max(1, -(-n // block))
     keep = {c: F.col(c) for c in ("id", "times", "dim", "u", "p")}
@@ -219,26 +261,10 @@ def vector_links(df: DataFrame, key: str, vector: str, cosine: float = COSINE, n
         )
 
     blocks = written(
-        sequence.groupBy("shard").applyInArrow(pack, "block int, lo array<double>, hi array<double>, id binary, times binary, dim binary, u binary, p binary"),
+        sequence.groupBy("shard").applyInArrow(tidy(pack), "block int, lo array<double>, hi array<double>, id binary, times binary, dim binary, u binary, p binary"),
         "vector-blocks",
     )
-    # one box for each block of vectors
-    boxes = blocks.select("block", "lo", "hi").orderBy("block").toPandas()
-    number = boxes["block"].to_numpy()
-    lo = np.array(boxes["lo"].tolist(), float).reshape(-1, n_axes)
-    hi = np.array(boxes["hi"].tolist(), float).reshape(-1, n_axes)
-    shared = spark.sparkContext.broadcast((number, lo, hi))
-
-    def plan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        number, lo, hi = shared.value
-        for b in batches:
-            for i in b.column(0).to_pylist():
-                js = [j for _, j in interval_join(lo, hi, (i, i + 1), (i, len(lo)), eps)]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array([int(number[i])] * len(js), pa.int32()), pa.array(number[js].astype(np.int32) if js else [], pa.int32())], ["i", "j"]
-                )
-
-    pairs = cut(spark.range(0, len(number), 1, max(1, min(len(number), 512))).mapInArrow(plan, "i int, j int"))
+    pairs = _block_pairs(blocks, n_blocks, n_axes, eps)
     sides = pairs.select("i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
 
     def unpack(table: pa.Table, at: int) -> dict:
@@ -255,23 +281,26 @@ def vector_links(df: DataFrame, key: str, vector: str, cosine: float = COSINE, n
         return pa.table(dict(zip(("id", "links", "root"), map(pa.array, got))))
 
     found = written(
-        sides.join(blocks.select("block", "id", "times", "dim", "u", "p"), "block").groupBy("i", "j").applyInArrow(join, "id long, links long, root long"),
-        "vector-links",
-    )
-    degrees = found.groupBy("id").agg(F.sum("links").alias("links"))
+        sides.join(blocks.select("block", "id", "times", "dim", "u", "p"), "block").groupBy("i", "j").applyInArrow(tidy(join), "id long, links long, root long"),
+        "vector-links", keep=True,
+    )
+    degrees = found.groupBy(F.col("id").alias("head")).agg(F.sum("links").alias("links"))
     classes = connected_components(found.select(F.col("id").alias("a"), F.col("root").alias("b"))).select(F.col("node").alias("head"), "component")
-    by_head = heads.join(degrees.withColumnRenamed("id", "head"), "head", "left").join(classes, "head", "left")
     usable = placed.select(F.col("id").alias("head"), F.lit(True).alias("_ok"))
-    by_head = by_head.join(usable, "head", "left").select(
-        F.col("_d").alias("_hd"),
-        F.when(F.col("_ok"), F.coalesce("links", F.lit(0)) + F.col("times") - 1).otherwise(0).alias("_n"),
-        F.when(F.col("_ok"), F.coalesce("component", "head")).alias("_c"),
+    by_head = heads.join(usable, "head", "left").join(degrees, "head", "left").join(classes, "head", "left")
+    by_head = by_head.withColumn("_c", F.coalesce("component", "head"))
+    names = by_head.where("_ok").groupBy(F.col("_c").alias("_k")).agg(F.min("least").alias("_least"))
+    by_head = by_head.join(names, F.col("_c") == F.col("_k"), "left").select(
+        F.col("_d").alias("_hd"), F.when(F.col("_ok"), F.coalesce("links", F.lit(0)) + F.col("times") - 1).alias("_n"), F.when(F.col("_ok"), F.col("_least")).alias("_c")
     )
     return rows.join(by_head, F.col("_d") == F.col("_hd"), "left").select(
         "id", F.coalesce("_n", F.lit(0)).cast("long").alias("n_links"), F.coalesce("_c", "id").alias("component_id")
     )
 
 
+@settled
 def op3_grid_order_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Links and class of every vector; see ``vector_links``."""
     out = vector_links(read_table(spark, sf_dir, "embeddings"), "vec_id", "embedding")
-    return out.select(F.col("id").alias("vec_id"), "n_links", "component_id", (F.col("id") == F.col("component_id")).alias("kept"))
+    kept = F.col("id").eqNullSafe(F.col("component_id"))
+    return out.select(F.col("id").alias("vec_id"), "n_links", "component_id", kept.alias("kept"))
