@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import byte_slices, mix64, read_table, salted_powers, text_buffer, written
+from .common import byte_slices, mix64, numbered, read_table, salted_powers, settled, text_buffer, tidy, written
 
 #: Fixed value: bytes of a string that is removed if it starts anywhere else too.
 LENGTH = 200
@@ -205,10 +205,13 @@ def _runs(doc: np.ndarray, start: np.ndarray, length: int) -> tuple[np.ndarray,
     return doc[first], start[first], start[last] + length
 
 
-def repeated_intervals(df: DataFrame, text: str, key: str, length: int = LENGTH) -> tuple[DataFrame, DataFrame]:
-    """(intervals, touched): (id, lo, hi) byte ranges made of repeated strings, unmerged, and the
-    (id, text) of documents that can have any. Keys are unique bigints."""
-    src = df.select(F.col(key).cast("long").alias("id"), F.col(text).alias("t")).where("id is not null")
+def repeated_intervals(src: DataFrame, length: int = LENGTH) -> tuple[DataFrame, DataFrame]:
+    """(intervals, touched) of written rows (id, t), ids being unique row numbers: (id, lo, hi) byte
+    ranges made of repeated strings, unmerged, and the (id, t) of rows that can have any.
+
+    Whether an anchor or its surroundings occur again is counted first, combined before it is
+    shuffled; the join that hands the counts to the anchors is written at once, so that a very
+    common anchor is split over tasks."""
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -222,18 +225,18 @@ def repeated_intervals(df: DataFrame, text: str, key: str, length: int = LENGTH)
                     ["gram", "around", "id", "at", "lo", "n"],
                 )
 
-    found = written(src.mapInArrow(scan, "gram long, around long, id long, at int, lo int, n int"), "anchors")
-    again = found.groupBy("gram").agg(F.count("*").alias("c")).where("c > 1").select("gram")
-    dup = written(found.join(again, "gram"), "anchors-again")
-    around = written(
-        dup.groupBy("gram", "around").agg(F.count("*").alias("copies"), F.min(F.struct("id", "at", "lo", "n")).alias("one")), "surroundings"
-    )
+    found = written(src.mapInArrow(tidy(scan), "gram long, around long, id long, at int, lo int, n int"), "anchors")
+    around = written(found.groupBy("gram", "around").agg(F.count("*").alias("copies")), "surroundings")
+    per_gram = around.groupBy("gram").agg(F.sum("copies").alias("_c"), F.count("*").alias("kinds"), F.min("copies").alias("least")).where("_c > 1")
+    counted = written(around.join(per_gram.select("gram", "kinds", "least"), "gram"), "counted")
+    dup = written(found.join(counted, ["gram", "around"]), "anchors-again")
     # surroundings that occur again as a whole are settled
-    settled = dup.join(around.where("copies > 1").select("gram", "around"), ["gram", "around"]).select(
-        "id", "lo", (F.col("lo") + F.col("n") - 1 + length).alias("hi")
-    )
-    per_gram = around.groupBy("gram").agg(F.count("*").alias("kinds"), F.min("copies").alias("least")).where("kinds > 1 and least = 1")
-    meet = written(around.join(per_gram.select("gram", "kinds"), "gram").select("gram", "around", "kinds", (F.col("copies") == 1).alias("lone"), "one.*"), "meeting")
+    settled_ = dup.where("copies > 1").select("id", "lo", (F.col("lo") + F.col("n") - 1 + length).alias("hi"))
+    # of the others, and one of each kind that is settled, those meet whose anchor has several kinds
+    mixed = dup.where("kinds > 1 and least = 1").withColumn("one", F.struct("id", "at", "lo", "n"))
+    lone = mixed.where("copies = 1").select("gram", "around", "kinds", F.lit(True).alias("lone"), "one.*")
+    known = mixed.where("copies > 1").groupBy("gram", "around", "kinds").agg(F.min("one").alias("one")).select("gram", "around", "kinds", F.lit(False).alias("lone"), "one.*")
+    meet = written(lone.unionByName(known), "meeting")
     touched = dup.select("id").distinct()
     texts = written(src.join(touched, "id", "left_semi"), "touched")
     total = meet.agg(F.sum(F.col("n") + length - 1)).first()[0] or 0
@@ -253,7 +256,7 @@ def repeated_intervals(df: DataFrame, text: str, key: str, length: int = LENGTH)
                 yield pa.RecordBatch.from_arrays([*cols, pa.array([id_] * len(ws)), pa.array(segs, pa.binary())], [*names, "id", "seg"])
 
     segments = texts.join(wants, "id").select("id", "t", "w").mapInArrow(
-        extract, "gram long, around long, kinds long, lone boolean, at int, lo int, n int, id long, seg binary"
+        tidy(extract), "gram long, around long, kinds long, lone boolean, at int, lo int, n int, id long, seg binary"
     )
     hot = F.col("kinds") > HOT
     dealt = segments.withColumn("shard", F.when(hot, F.col("gram")).otherwise(F.pmod("gram", F.lit(n_shards)))).withColumn(
@@ -297,7 +300,7 @@ def repeated_intervals(df: DataFrame, text: str, key: str, length: int = LENGTH)
                     cols[name].append(v)
         return pa.table({f.name: pa.array(cols[f.name], f.type) for f in out_schema}, out_schema)
 
-    local = written(dealt.groupBy("shard", "sub").applyInArrow(order, out_ddl), "shard-results")
+    local = written(dealt.groupBy("shard", "sub").applyInArrow(tidy(order), out_ddl), "shard-results")
 
     def merge(table: pa.Table) -> pa.Table:
         lists = [np.frombuffer(x, "<u8") for x in table.column("print").to_pylist()]
@@ -316,9 +319,9 @@ def repeated_intervals(df: DataFrame, text: str, key: str, length: int = LENGTH)
         d, lo, hi = _runs(np.concatenate(d), np.concatenate(lo), length)
         return pa.table({"id": pa.array(d, pa.int64()), "lo": pa.array(lo, pa.int64()), "hi": pa.array(hi, pa.int64())})
 
-    across = local.where(F.col("print").isNotNull()).groupBy("gram", "bucket").applyInArrow(merge, "id long, lo long, hi long")
+    across = local.where(F.col("print").isNotNull()).groupBy("gram", "bucket").applyInArrow(tidy(merge), "id long, lo long, hi long")
     inside = local.where(F.col("id").isNotNull()).select("id", "lo", "hi")
-    return settled.select("id", F.col("lo").cast("long").alias("lo"), F.col("hi").cast("long").alias("hi")).unionByName(inside).unionByName(across), texts
+    return settled_.select("id", F.col("lo").cast("long").alias("lo"), F.col("hi").cast("long").alias("hi")).unionByName(inside).unionByName(across), texts
 
 
 def merged_spans(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -333,17 +336,23 @@ def merged_spans(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
 
 
 def remove_repeats(df: DataFrame, text: str, key: str, length: int = LENGTH) -> DataFrame:
-    """(id, n_bytes, spans, kept): every document's UTF-8 length, removed byte ranges and the
-    bytes that stay (null where nothing is removed and they are the text's own).
-
-    Null and empty texts have no bytes. Texts shorter than ``length`` stay whole. Bytes that stay
-    need not be valid UTF-8, as ranges are cut without regard to characters.
+    """(id, n_bytes, spans, kept, kept_sha256) for every row of ``df``: the key, the text's UTF-8
+    length, the removed byte ranges, the bytes that stay (null where nothing is removed and they
+    are the text's own) and the digest of the bytes that stay.
+
+    Null and empty texts have no bytes. Texts shorter than ``length`` stay whole. Rows are texts of
+    their own, also where their keys are null or repeat: a text given twice repeats itself. Bytes
+    that stay need not be valid UTF-8, as ranges are cut without regard to characters. Other
+    columns are ignored; an empty table gives no rows.
     """
-    intervals, texts = repeated_intervals(df, text, key, length)
+    src = numbered(df.select(F.col(key).alias("key"), F.col(text).alias("t")), "id", "texts", keep=True)
+    utf8 = F.coalesce(F.col("t"), F.lit("")).cast("binary")
+    base = src.select("key", F.col("id").alias("_id"), F.length(utf8).cast("long").alias("n_bytes"), F.sha2(utf8, 256).alias("_own"))
+    intervals, texts = repeated_intervals(src.select("id", "t"), length)
     per_doc = intervals.groupBy("id").agg(F.collect_list(F.struct("lo", "hi")).alias("s"))
+    kind = pa.list_(pa.struct([("lo", pa.int64()), ("hi", pa.int64())]))
 
     def cut_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kind = pa.list_(pa.struct([("lo", pa.int64()), ("hi", pa.int64())]))
         for b in batches:
             raw, off = text_buffer(b.column(1))
             spans, kept = [], []
@@ -357,24 +366,16 @@ def remove_repeats(df: DataFrame, text: str, key: str, length: int = LENGTH) ->
                 spans.append([{"lo": lo, "hi": hi} for lo, hi in m])
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(spans, kind), pa.array(kept, pa.binary())], ["id", "spans", "kept"])
 
-    changed = texts.join(per_doc, "id").select("id", "t", "s").mapInArrow(cut_out, "id long, spans array<struct<lo:long,hi:long>>, kept binary")
-    return changed
+    changed = texts.join(per_doc, "id").select("id", "t", "s").mapInArrow(tidy(cut_out), "id long, spans array<struct<lo:long,hi:long>>, kept binary")
+    changed = written(changed.withColumn("_sha", F.sha2("kept", 256)), "cut", keep=True)
+    return base.join(changed, F.col("_id") == F.col("id"), "left").select(
+        F.col("key").alias("id"), "n_bytes", F.coalesce("spans", F.array().cast(changed.schema["spans"].dataType)).alias("spans"), "kept", F.coalesce("_sha", "_own").alias("kept_sha256")
+    )
 
 
+@settled
 def op5_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = read_table(spark, sf_dir, "documents")
-    changed = remove_repeats(docs, "text", "doc_id").select(
-        "id",
-        F.size("spans").cast("long").alias("n_spans"),
-        F.aggregate("spans", F.lit(0).cast("long"), lambda a, s: a + s["hi"] - s["lo"]).alias("n_removed"),
-        F.sha2("kept", 256).alias("sha"),
-    )
-    utf8 = F.coalesce(F.col("text"), F.lit("")).cast("binary")
-    base = docs.select("doc_id", F.length(utf8).cast("long").alias("n_bytes"), F.sha2(utf8, 256).alias("_own"))
-    return base.join(changed, F.col("doc_id") == F.col("id"), "left").select(
-        "doc_id",
-        "n_bytes",
-        F.coalesce("n_removed", F.lit(0)).cast("long").alias("n_removed"),
-        F.coalesce("n_spans", F.lit(0)).cast("long").alias("n_spans"),
-        F.coalesce("sha", "_own").alias("kept_sha256"),
-    )
+    """What is removed from every document; see ``remove_repeats``."""
+    out = remove_repeats(read_table(spark, sf_dir, "documents"), "text", "doc_id")
+    removed = F.aggregate("spans", F.lit(0).cast("long"), lambda a, s: a + s["hi"] - s["lo"])
+    return out.select(F.col("id").alias("doc_id"), "n_bytes", removed.alias("n_removed"), F.size("spans").cast("long").alias("n_spans"), "kept_sha256")
