@@ -1,8 +1,8 @@
 """Secret scans with corpus-wide ownership frequency (operator 7).
 
 Pattern matches are hashed and counted by distinct repositories and owners over the whole
-corpus: a value that many owners share is a copied example, one that stays with a single
-owner looks live.
+corpus: a value that several owners share, or that stands in many repositories, is a copied
+example; one that stays with few looks live.
 """
 
 from __future__ import annotations
@@ -18,7 +18,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import read_table, tidy
+from .common import numbered, read_table, settled, tidy, written
 
 #: The base kinds in their order, their patterns and least lengths.
 KINDS = ("assign", "access", "hex")
@@ -34,8 +34,10 @@ LEAST = {"assign": 6, "access": 20, "hex": 24}
 LIVE = "live"
 LIVE_PATTERN = r"[A-Za-z0-9+/_-]{24,}"
 LIVE_BITS = 3.5
-#: A value found with so many distinct owners or more is a copied example.
+#: A value found with so many distinct owners or more, or in so many distinct repositories or more
+#: whoever owns them, is a copied example.
 EXAMPLE_OWNERS = 3
+EXAMPLE_REPOSITORIES = 4
 
 _ASSIGN = re.compile(PATTERNS["assign"], re.I | re.A)
 _ACCESS = re.compile(r"AKIA[A-Z0-9]{16,}")
@@ -119,22 +121,28 @@ def ownership(candidates: DataFrame, owner: Column, repository: Column) -> DataF
     )
 
 
-def classified_spans(df: DataFrame, text: str, key: str, owner: str, repository: Column, example_owners: int = EXAMPLE_OWNERS) -> DataFrame:
+def pair_key(*columns: str) -> Column:
+    """One text for several columns; nulls and other pairs of values never give the same text."""
+    parts = [F.coalesce(F.concat(F.length(c).cast("string"), F.lit("="), F.col(c)), F.lit("-")) for c in columns]
+    return F.concat_ws(";", *parts)
+
+
+def classified_spans(
+    df: DataFrame, text: str, key: str, owner: str, repository: Column,
+    example_owners: int = EXAMPLE_OWNERS, example_repositories: int = EXAMPLE_REPOSITORIES,
+) -> DataFrame:
     """One row for each row of ``df``: key and ``spans``, an array of (kind, start, end, hash,
-    n_owners, live), by start, then kind.
+    n_owners, n_repositories, n_found, live), by start, then kind.
 
-    A span is live if fewer than ``example_owners`` owners hold its value. Spans of the
-    kind added by this method stay only if live. Null owners count as one owner; null or
-    empty texts have no spans; rows with equal keys are kept apart. Values themselves
-    are not returned, only their hashes.
+    A span is live if fewer than ``example_owners`` owners hold its value and it stands in fewer than
+    ``example_repositories`` repositories. Spans of the kind added by this method stay only if
+    live. Null owners count as one owner, null repositories as one repository; null or empty texts
+    have no spans; rows with equal or null keys are kept apart. Values themselves are not
+    returned, only their hashes. Other columns are ignored; an empty table gives no rows.
     """
-    found = with_candidates(
-        df.withColumn("_repo", repository).withColumn("_row", F.monotonically_increasing_id()), text, [key, "_row", owner, "_repo"]
-    )
-    from .common import written
-
-    found = written(found, "candidates")
-    owner_key = F.coalesce(F.concat(F.lit("o"), F.col(owner).cast("string")), F.lit("-"))
+    found = with_candidates(df.select(F.col(key).alias("_key"), F.col(owner).alias("_own"), repository.alias("_repo"), F.col(text).alias("_txt")), "_txt", ["_key", "_own", "_repo"])
+    found = numbered(found, "_row", "candidates", keep=True)
+    owner_key = F.coalesce(F.concat(F.lit("o"), F.col("_own").cast("string")), F.lit("-"))
     repo_key = F.coalesce(F.concat(F.lit("r"), F.col("_repo").cast("string")), F.lit("-"))
     hits = found.where(F.size("spans") > 0)
     counts = ownership(hits, owner_key, repo_key)
@@ -142,15 +150,15 @@ def classified_spans(df: DataFrame, text: str, key: str, owner: str, repository:
         hits.select("_row", F.explode("spans").alias("_s"))
         .select("_row", "_s.kind", "_s.start", "_s.end", F.sha2(F.col("_s.value"), 256).alias("hash"))
         .join(counts, "hash")
-        .withColumn("live", F.col("n_owners") < example_owners)
+        .withColumn("live", (F.col("n_owners") < example_owners) & (F.col("n_repositories") < example_repositories))
         .where((F.col("kind") != LIVE) | F.col("live"))
     )
     order = F.create_map(*[F.lit(x) for i, k in enumerate((*KINDS, LIVE)) for x in (k, i)])
     per_row = spans.groupBy("_row").agg(
-        F.sort_array(F.collect_list(F.struct("start", order[F.col("kind")].alias("rank"), "end", "kind", "hash", "n_owners", "live"))).alias("spans")
+        F.sort_array(F.collect_list(F.struct("start", order[F.col("kind")].alias("rank"), "end", "kind", "hash", "n_owners", "n_repositories", "n_found", "live"))).alias("spans")
     )
     return (
-        found.select("_row", key)
+        found.select("_row", F.col("_key").alias(key))
         .join(per_row, "_row", "left")
         .select(key, "_row", F.coalesce("spans", F.array().cast(per_row.schema["spans"].dataType)).alias("spans"))
     )
@@ -160,9 +168,11 @@ def _joined(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
 
 
+@settled
 def op7_ownership_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Spans of every document; a source is an owner, its texts of one language a repository."""
     docs = read_table(spark, sf_dir, "documents")
-    out = classified_spans(docs, "text", "doc_id", "source", F.concat_ws("/", "source", "lang"))
+    out = classified_spans(docs, "text", "doc_id", "source", pair_key("source", "lang"))
     base = F.filter("spans", lambda s: s["kind"] != LIVE)
     of = lambda k: F.size(F.filter("spans", lambda s: s["kind"] == k)).cast("long")
     return out.select(
@@ -189,14 +199,12 @@ def _parted(df: DataFrame, text: str, with_spans: bool) -> DataFrame:
     return df.mapInArrow(tidy(pick), schema)
 
 
-def redacted(df: DataFrame, text: str, key: str, owner: str, repository: Column, mark: str = "[secret]") -> DataFrame:
+def redacted(df: DataFrame, text: str, owner: str, repository: Column, mark: str = "[secret]") -> DataFrame:
     """``df`` with live spans of its texts replaced by ``mark``; examples stay. Overlapping
-    spans are replaced as one. Spans meet their row by a written row number, so ``key`` may be null
+    spans are replaced as one. Spans meet their row by a written row number, so keys may be null
     or repeated. Only rows with candidates meet the spans in a join; the texts of the others
-    are not shuffled."""
-    from .common import written
-
-    found = written(_parted(df, text, True).withColumn("_rid", F.monotonically_increasing_id()), "with-candidates")
+    are not shuffled. Null and empty texts stay as they are."""
+    found = numbered(_parted(df, text, True), "_rid", "with-candidates", keep=True)
     spans = classified_spans(found, text, "_rid", owner, repository)
     live = spans.where(F.exists("spans", lambda s: s["live"])).select(
         F.col("_rid"), F.transform(F.filter("spans", lambda s: s["live"]), lambda s: F.struct(s["start"].alias("s"), s["end"].alias("e"))).alias("_live")
