@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import cut, read_table
+from .common import read_table, settled, written
 
 #: Weights in the order of the sources, share of all sizes, epoch limit.
 WEIGHTS = (3, 1, 2)
@@ -17,7 +17,6 @@ SEED = 20_24
 STRIPE_DIGITS = 3
 
 
-
 def word_count(text: Column) -> Column:
     """Number of maximal runs of characters other than space and tab to carriage return."""
     plain = F.translate(text, "\t\n\x0b\x0c\r", "     ")
@@ -33,25 +32,27 @@ def fill_targets(sources: DataFrame, share: float, max_epochs: float) -> DataFra
     cap / weight, level k assumes that just the first k are clamped, and the smallest level
     that clamps no further source is the answer. Sources of weight 0 get 0.
     """
-    order = W.partitionBy(F.lit(0)).orderBy((F.col("cap") / F.col("weight")), F.col("rank"))
+    # without weight a source is clamped last and takes no part in the level
+    order = W.partitionBy(F.lit(0)).orderBy(F.try_divide("cap", "weight").asc_nulls_last(), F.col("rank"))
     s = (
         sources.withColumn("cap", F.col("size") * F.lit(float(max_epochs)))
         .withColumn("want", F.sum("size").over(W.partitionBy(F.lit(0))) * F.lit(float(share)))
         .withColumn("cap_before", F.sum("cap").over(order) - F.col("cap"))
         .withColumn("w_left", F.sum("weight").over(W.partitionBy(F.lit(0))) - F.sum("weight").over(order) + F.col("weight"))
-        .withColumn("level", (F.col("want") - F.col("cap_before")) / F.col("w_left"))
-        .withColumn("open", F.col("level") * F.col("weight") <= F.col("cap"))
+        .withColumn("level", F.try_divide(F.col("want") - F.col("cap_before"), F.col("w_left")))
+        .withColumn("open", (F.col("weight") > 0) & (F.col("level") * F.col("weight") <= F.col("cap")))
         .withColumn("answer", F.min(F.when(F.col("open"), F.struct("cap_before", "level"))).over(W.partitionBy(F.lit(0))))
     )
     return s.withColumn(
-        "target", F.least(F.col("cap"), F.coalesce(F.col("answer.level") * F.col("weight"), F.col("cap")))
+        "target", F.when(F.col("weight") > 0, F.least(F.col("cap"), F.coalesce(F.col("answer.level") * F.col("weight"), F.col("cap")))).otherwise(0.0)
     ).select("source", "rank", "size", "weight", "target")
 
 
 def mix_repetitions(
-    docs: DataFrame, weights: tuple = WEIGHTS, share: float = SHARE, max_epochs: float = MAX_EPOCHS, seed: int = SEED
+    docs: DataFrame, weights: tuple = WEIGHTS, share: float = SHARE, max_epochs: float = MAX_EPOCHS, seed: int = SEED, row: str | None = None
 ) -> DataFrame:
-    """(doc_id, source, size) rows to how often each is taken.
+    """(doc_id, source, size) rows to how often each is taken; ``row`` names a column of row numbers
+    that is passed on.
 
     Every row is taken floor(target / source size) times; the rest of the target is filled
     with the rows of smallest seeded hash, the last of them by the part that is still missing.
@@ -60,10 +61,12 @@ def mix_repetitions(
 
     Returns doc_id, source, size, source_size, target, taken (words), whole (repetitions,
     the last one rounded to all or nothing). Null sources form one source, the last; size 0
-    takes nothing; equal rows share the hash and are told apart by an arbitrary number.
+    takes nothing; equal rows share the hash and are told apart by an arbitrary number. Null ids
+    share one hash and are ordered by size. Other columns are ignored; an empty table gives no rows.
     """
     digest = F.md5(F.concat_ws(":", F.lit(str(seed)), F.coalesce(F.col("doc_id").cast("string"), F.lit("?"))))
-    rows = docs.select("doc_id", "source", "size", digest.alias("_h"))
+    own = [row] if row else []
+    rows = docs.select("doc_id", "source", "size", *own, digest.alias("_h"))
     stripes = rows.groupBy("source", F.substring("_h", 1, STRIPE_DIGITS).alias("_s")).agg(F.sum("size").alias("_words"))
     sizes = stripes.groupBy("source").agg(F.sum("_words").alias("size"))
     ranked = sizes.withColumn(
@@ -107,6 +110,7 @@ def mix_repetitions(
         "doc_id",
         "source",
         "size",
+        *own,
         "source_size",
         "target",
         (F.col("_full") * F.col("size") + F.col("_part")).cast("long").alias("taken"),
@@ -114,11 +118,13 @@ def mix_repetitions(
     )
 
 
+@settled
 def op4_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Words that the mix takes of every document; see ``mix_repetitions``."""
     docs = read_table(spark, sf_dir, "documents")
     sized = docs.select("doc_id", "source", word_count(F.col("text")).alias("size"))
     # the texts are read once; what is used again is narrow
-    return mix_repetitions(cut(sized)).select("doc_id", "size", "source_size", "target", "taken")
+    return mix_repetitions(written(sized, "sizes")).select("doc_id", "size", "source_size", "target", "taken")
 
 
 #: The whole query in SQL, with an ordering of all rows where the operator orders stripes.

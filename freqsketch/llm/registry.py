@@ -11,7 +11,7 @@ from .repair import op6_pair_grammar
 from .secrets import op7_ownership_secrets
 from .separators import op10_separator_scan
 from .suffixes import op5_suffix_array_dedup
-from .sharding import op9_byte_prefix_shards
+from .sharding import OP9_SQL, op9_byte_prefix_shards
 
 QUERIES = {
     "op1_retrieval_packing": op1_retrieval_packing,
@@ -26,4 +26,4 @@ QUERIES = {
     "op10_separator_scan": op10_separator_scan,
 }
 
-ORACLES: dict[str, str] = {"op4_mix_sources": OP4_SQL}
+ORACLES: dict[str, str] = {"op4_mix_sources": OP4_SQL, "op9_byte_prefix_shards": OP9_SQL}

@@ -62,7 +62,7 @@ def scan_separators(spark: SparkSession, folder: str, end_id: int = END_OF_TEXT,
     separator is counted too. Empty files hold no documents, nor does an empty folder. Files are
     listed and cut by tasks; the driver sees none of them.
     """
-    files = spark.read.format("binaryFile").option("pathGlobFilter", "*.bin").schema("path string, modificationTime timestamp, length long").load(folder)
+    files = spark.read.format("binaryFile").option("pathGlobFilter", "*.bin").load(folder).select("path", "length")
     files = files.where(F.col("length") > 0).select(F.element_at(F.split("path", "/"), -1).alias("file"), F.col("length").alias("total"))
     each = files.withColumn("block", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("total") - 1) / block_bytes))))
     each = each.withColumn("at", F.col("block") * block_bytes)

@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import cut, read_table
+from .common import read_table, settled, written
 
 N_SHARDS = 8
 
@@ -39,9 +39,7 @@ def byte_prefix_shards(
         *[c.alias(k) for k, c in zip(keys, order_by)],
         F.monotonically_increasing_id().alias("_tie"),
     )
-    rows = cut(
-        rows.repartitionByRange(n_parts, *keys, "_tie").withColumn("_part", F.spark_partition_id())
-    )
+    rows = written(rows.repartitionByRange(n_parts, *keys, "_tie").withColumn("_part", F.spark_partition_id()), "ranges", keep=True)
     before = W.orderBy("_part").rowsBetween(W.unboundedPreceding, -1)
     totals = (
         rows.groupBy("_part")
@@ -72,22 +70,35 @@ def byte_prefix_shards(
     )
 
 
+@settled
 def op9_byte_prefix_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Shard and slot of every document, in order of ``doc_id``; see ``byte_prefix_shards``."""
     docs = read_table(spark, sf_dir, "documents")
     utf8 = F.coalesce(F.col("text"), F.lit("")).cast("binary")
-    out = byte_prefix_shards(
-        docs,
-        [F.col("doc_id")],
-        F.length(utf8) + 1,
-        N_SHARDS,
-        {"doc_id": F.col("doc_id"), "text_crc32": F.crc32(utf8)},
-    )
+    keep = {"doc_id": F.col("doc_id"), "text_crc32": F.crc32(utf8)}
+    out = byte_prefix_shards(docs, [F.col("doc_id")], F.length(utf8) + 1, N_SHARDS, keep)
     return out.select(
-        "doc_id",
-        "size",
-        "text_crc32",
-        F.lit("bytes").alias("law"),
-        "shard",
-        "slot",
-        F.lit(None).cast("int").alias("grown_shard"),
+        "doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard")
     )
+
+
+#: Fixed value: the reversed polynomial of CRC-32; the table of 256 remainders follows from it.
+CRC32_POLYNOMIAL = 0xEDB88320
+
+#: The whole query in SQL, for tables whose ``doc_id`` is unique.
+OP9_SQL = f"""
+WITH RECURSIVE bit(k, n, v) AS (
+  SELECT 0, range::BIGINT, range::BIGINT FROM range(256)
+  UNION ALL SELECT k + 1, n, CASE WHEN v & 1 = 1 THEN xor(v >> 1, {CRC32_POLYNOMIAL}) ELSE v >> 1 END FROM bit WHERE k < 8),
+remainders AS (SELECT list(v ORDER BY n) AS r FROM bit WHERE k = 8),
+b AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+c AS (SELECT doc_id, (length(h) // 2 + 1)::BIGINT AS size,
+    xor(4294967295, list_reduce(list_prepend(4294967295::BIGINT, list_transform(regexp_extract_all(h, '..'), lambda x: ('0x' || x)::BIGINT)),
+      lambda x, y: xor(x >> 8, r[(xor(x, y) & 255) + 1])))::BIGINT AS text_crc32
+  FROM b, remainders),
+p AS (SELECT *, sum(size) OVER (ORDER BY doc_id NULLS FIRST)::BIGINT - size AS start, (SELECT sum(size) FROM c)::BIGINT AS total FROM c),
+s AS (SELECT *, least({N_SHARDS - 1}, (start * 2 + size) * {N_SHARDS} // (total * 2))::INTEGER AS shard FROM p)
+SELECT doc_id, size, text_crc32, 'bytes' AS law, shard,
+  row_number() OVER (PARTITION BY shard ORDER BY start) - 1 AS slot, NULL::INTEGER AS grown_shard
+FROM s
+"""
