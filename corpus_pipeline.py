@@ -1,8 +1,9 @@
 """From raw documents to packed training sequences: five stages over the whole table.
 
 Each stage reads what its predecessor kept, as Parquet. All but the last return the columns of
-``documents``. Rows with a null ``doc_id`` pass the filters; rows that share a ``doc_id`` share
-its verdict.
+``documents``. Every stage decides by row, through written row numbers, never by ``doc_id``: rows
+whose ``doc_id`` is null or repeated have verdicts and masks of their own. An empty table passes
+through all stages. The input's other columns, if any, are passed on as they are.
 """
 
 from __future__ import annotations
@@ -10,12 +11,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from freqsketch.llm.common import scratch, ship_package, written
+from freqsketch.llm.common import numbered, scratch, ship_package, written
 from freqsketch.llm.minhash import near_duplicate_classes
 from freqsketch.llm.mixing import mix_repetitions, word_count
 from freqsketch.llm.packing import pack_documents
 from freqsketch.llm.quality import quality_verdicts, with_statistics
-from freqsketch.llm.secrets import redacted
+from freqsketch.llm.secrets import pair_key, redacted
 from freqsketch.llm.tokens import tokenizer_path
 
 #: Words in a shingle of the near-duplicate stage.
@@ -23,7 +24,11 @@ SHINGLE_WORDS = 5
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that fail the base rules or are robust outliers of their group go."""
+    """Documents that fail the base rules or are robust outliers of their group go.
+
+    Null, empty and blank texts have fewer words than the base rules ask for, so they go. Null
+    languages and sources are groups of their own; equal rows share their verdict; a very long text
+    is judged like others."""
     ship_package(spark)
     with scratch(spark):
         verdicts = quality_verdicts(with_statistics(docs, "text", docs.columns))
@@ -31,36 +36,53 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each class of near-duplicates the document with the smallest id stays."""
+    """Of each class of near-duplicates one document stays, a first one with the smallest id.
+
+    Of repeated rows one stays, also where they share an id; rows with a null id or a text without
+    words stand alone and stay. Ties go to the first row in the order of the input."""
     ship_package(spark)
     with scratch(spark):
-        classes = near_duplicate_classes(docs, "text", "doc_id", words=SHINGLE_WORDS)
-        extra = classes.where(F.col("id") != F.col("component_id")).select(F.col("id").alias("doc_id")).distinct()
-        extra = written(extra, "extra-copies", keep=True)
-    return docs.join(extra, "doc_id", "left_anti").select(docs.columns)
+        rows = numbered(docs, "_row", "near-duplicate-rows", keep=True)
+        classes = near_duplicate_classes(rows, "text", "doc_id", words=SHINGLE_WORDS, row="_row")
+        extra = written(classes.where("not first").select(F.col("row").alias("_row")), "extra-copies", keep=True)
+    return rows.join(extra, "_row", "left_anti").select(docs.columns)
 
 
 def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Values that look live are masked; widely copied examples stay. No document goes."""
+    """Values that look live are masked; widely copied examples stay. No document goes.
+
+    Null and empty texts stay as they are; a null source is one owner; ``n_chars`` follows the text
+    and stays where the text is null; equal rows are masked alike."""
     ship_package(spark)
-    out = redacted(docs, "text", "doc_id", "source", F.concat_ws("/", "source", "lang"))
+    with scratch(spark):
+        out = redacted(docs, "text", "source", pair_key("source", "lang"))
     n_chars = F.coalesce(F.char_length("text").cast("long"), F.col("n_chars"))
     return out.withColumn("n_chars", n_chars).select(docs.columns)
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Whole documents, repeated or left out so that sources come near their targets."""
-    sized = docs.select("doc_id", "source", word_count(F.col("text")).alias("size"))
-    times = mix_repetitions(written(sized, "sizes")).groupBy("doc_id").agg(F.max("whole").alias("_times"))
-    times = times.withColumnRenamed("doc_id", "_id").where("_times > 0")
-    joined = docs.join(times, F.col("doc_id").eqNullSafe(F.col("_id")))
+    """Whole documents, repeated or left out so that sources come near their targets.
+
+    Null sources form one source, the last in order; texts without words have size 0: they come as
+    often as their source comes whole, and half-way cases come once more. Equal rows are told apart by their row
+    numbers."""
+    with scratch(spark):
+        rows = numbered(docs, "_row", "mixing-rows", keep=True)
+        sized = rows.select("_row", "doc_id", "source", word_count(F.col("text")).alias("size"))
+        times = mix_repetitions(written(sized, "sizes"), row="_row").select("_row", F.col("whole").alias("_times")).where("_times > 0")
+        times = written(times, "times", keep=True)
+    joined = rows.join(times, "_row")
     return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(docs.columns)
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of all documents in sequences of 2048 ids, neighbours together."""
+    """Pieces of all documents in sequences of 2048 ids, neighbours together.
+
+    Null and empty texts are documents of the end id alone; rows with equal or null ids are packed
+    each for itself; a text longer than a sequence goes on in the next."""
     ship_package(spark)
-    return pack_documents(docs, "text", "doc_id", tokenizer_path())
+    with scratch(spark):
+        return pack_documents(docs, "text", "doc_id", tokenizer_path())
 
 
 STAGES = [
