@@ -98,10 +98,14 @@ def scratch(spark: SparkSession, everything: bool = False) -> Iterator[None]:
 
 def written(df: DataFrame, tag: str, keep: bool = False) -> DataFrame:
     """Columnar, compressed lineage cut: a Parquet table in the shared folder."""
-    spark = df.sparkSession
-    path = new_shared_dir(spark, tag, keep)
+    return df.sparkSession.read.schema(df.schema).parquet(saved(df, tag, keep))
+
+
+def saved(df: DataFrame, tag: str, keep: bool = False) -> str:
+    """The folder of a table that is written as in ``written``."""
+    path = new_shared_dir(df.sparkSession, tag, keep)
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return path
 
 
 def numbered(df: DataFrame, name: str, tag: str, keep: bool = False) -> DataFrame:

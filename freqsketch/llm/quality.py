@@ -13,7 +13,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import byte_slices, read_table, segment_hash, settled, text_buffer, tidy, word_bounds, written
+from .common import byte_slices, read_table, saved, segment_hash, settled, text_buffer, tidy, word_bounds, written
+from .shared_files import read_groups
 
 #: Characters counted as symbols.
 SYMBOLS = b"#*$%&|<>"
@@ -166,171 +167,327 @@ def _features() -> dict[str, Column]:
 D = len(FEATURES)
 UPPER = [(i, j) for i in range(D) for j in range(i, D)]
 _FLOOR = np.array(list(FLOORS.values()))
-ESTIMATE = "_g string, _start int, _n long, centre array<double>, inverse array<double>, _det double, _open boolean"
+_SCHEMA = pa.schema([("_g", pa.string()), ("_start", pa.int32()), ("_n", pa.int64()), ("centre", pa.list_(pa.float64())),
+                     ("inverse", pa.list_(pa.float64())), ("_det", pa.float64()), ("_open", pa.bool_())])
+_DDL = "_g string, _start int, _n long, centre array<double>, inverse array<double>, _det double, _open boolean"
+#: Sums that a task has made for one group and start: places (bins, or statistic and value) and
+#: numbers for each, with the estimates they rest on.
+_PART = pa.schema([("_g", pa.string()), ("_start", pa.int32()), ("at", pa.binary()), ("sums", pa.binary()), ("old", pa.binary())])
+_PART_DDL = "_g string, _start int, at binary, sums binary, old binary"
 
 
-def _squares(columns: list[Column]) -> list[Column]:
-    return [F.sum(columns[i] * columns[j]).alias(f"_s{i}_{j}") for i, j in UPPER]
+def _packed(centre: np.ndarray, inverse: np.ndarray, det: float, n: int) -> bytes:
+    return np.concatenate([centre, inverse.ravel(), [det, n]]).tobytes()
 
 
-def _spread(total: np.ndarray, n: float) -> np.ndarray:
-    """Symmetric matrix of the upper triangle's sums, divided by n."""
+def _unpacked(raw: bytes) -> tuple[np.ndarray, np.ndarray, float, int]:
+    v = np.frombuffer(raw)
+    return v[:D], v[D : D + D * D].reshape(D, D), float(v[-2]), int(v[-1])
+
+
+def _row(g: str, start: int, n: int, centre: np.ndarray, spread: np.ndarray, det: float, open_: bool) -> dict:
+    inverse = np.linalg.inv(spread).ravel().tolist()
+    return {"_g": g, "_start": start, "_n": n, "centre": centre.tolist(), "inverse": inverse, "_det": det, "_open": open_}
+
+
+def _full(total: np.ndarray) -> np.ndarray:
+    """Symmetric matrix of an upper triangle."""
     out = np.zeros((D, D))
     for (i, j), v in zip(UPPER, total):
-        out[i, j] = out[j, i] = v / n
+        out[i, j] = out[j, i] = v
     return out
 
 
-def _squared_distance() -> Column:
-    diff = [F.col(f) - F.get(F.col("centre"), F.lit(i)) for i, f in enumerate(FEATURES)]
-    total: Column = F.lit(0.0)
-    for i, j in UPPER:
-        term = F.get(F.col("inverse"), F.lit(i * D + j)) * diff[i] * diff[j]
-        total = total + (term if i == j else term * 2)
-    return F.greatest(total, F.lit(1e-9))
+def _parent(g: str) -> str:
+    """A group's language and a language's ``*``, all rows; see ``_group_key``."""
+    if g[0] == "=" or g == "*":
+        return "*" if g[0] == "=" else ""
+    size, rest = g.split(":", 1)
+    return "=" + rest[: int(size)]
 
 
-def _bin() -> Column:
-    return F.floor(F.log(_squared_distance()) / BIN).cast("int").alias("_b")
+def _logs(x: np.ndarray, centre: np.ndarray, inverse: np.ndarray) -> np.ndarray:
+    """Logarithms of squared distances, each row from the centre of its own group."""
+    diff = x - centre
+    return np.log(np.maximum(np.einsum("ij,ijk,ik->i", diff, inverse, diff), 1e-9))
 
 
-def _estimate_row(g: str, start: int, n: int, centre: np.ndarray, spread: np.ndarray, open_: bool) -> dict:
-    return {
-        "_g": g, "_start": start, "_n": n, "centre": centre.tolist(), "inverse": np.linalg.inv(spread).ravel().tolist(),
-        "_det": float(np.linalg.slogdet(spread)[1]), "_open": open_,
-    }
+class _Sums:
+    """Sums by (group, start, place), which stay as small as the groups and places seen."""
+
+    def __init__(self, width: int):
+        self.width, self.names, self.held, self.n = width, {}, [], 0
+
+    def add(self, names: list[str], code: np.ndarray, start: int, place: np.ndarray, values: np.ndarray) -> None:
+        of = np.array([self.names.setdefault(g, len(self.names)) for g in names], np.int64)
+        self.held.append(self._combined((of[code] * 2 + start) * (1 << 32) + (place + (1 << 31)), values))
+        self.n += len(self.held[-1][0])
+        if self.n > 1 << 18:
+            self._combine()
+
+    @staticmethod
+    def _combined(key: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        order = np.argsort(key, kind="stable")
+        key = key[order]
+        first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
+        return key[first], np.add.reduceat(values[order], first, 0) if len(key) else values
+
+    def _combine(self) -> None:
+        self.held = [self._combined(*(np.concatenate(c) for c in zip(*self.held)))]
+        self.n = len(self.held[0][0])
+
+    def batches(self, old: dict) -> Iterator[pa.RecordBatch]:
+        if not self.held:
+            return
+        self._combine()
+        key, values = self.held[0]
+        owner = key >> 32
+        cuts = np.flatnonzero(np.diff(owner, prepend=-1, append=-1))
+        names = list(self.names)
+        rows = []
+        for lo, hi in zip(cuts, cuts[1:]):
+            g, start = names[owner[lo] >> 1], int(owner[lo] & 1)
+            at = ((key[lo:hi] & 0xFFFFFFFF) - (1 << 31)).astype("<i8")
+            rows.append({"_g": g, "_start": start, "at": at.tobytes(), "sums": values[lo:hi].astype("<f8").tobytes(), "old": old.get((g, start))})
+        yield pa.RecordBatch.from_pylist(rows, _PART)
+
+
+def _added(table: pa.Table, width: int) -> Iterator[tuple[int, np.ndarray, np.ndarray, bytes]]:
+    """(start, places in order, sums, old estimates) of all tasks' parts of one group."""
+    for start in sorted(set(table.column("_start").to_pylist())):
+        mine = [r for r in table.to_pylist() if r["_start"] == start]
+        at = np.concatenate([np.frombuffer(r["at"], "<i8") for r in mine])
+        sums = np.concatenate([np.frombuffer(r["sums"], "<f8").reshape(-1, width) for r in mine])
+        yield start, *_Sums._combined(at, sums), mine[0]["old"]
+
+
+def _levels(b: pa.RecordBatch) -> Iterator[tuple[list[str], np.ndarray]]:
+    """(names, number of the name for each row): groups, languages, all rows."""
+    for c in (b.column(0), b.column(1)):
+        d = c.dictionary_encode()
+        yield d.dictionary.to_pylist(), d.indices.to_numpy()
+    yield ["*"], np.zeros(len(b), np.int64)
+
+
+def _points(b: pa.RecordBatch) -> np.ndarray:
+    return np.stack([b.column(i + 2).to_numpy() for i in range(D)], 1)
+
+
+class _Table:
+    """Rows of a written table by group, read by a task as it meets the groups: of a table of any
+    size a task holds the groups that it sees."""
+
+    def __init__(self, uri: str, where: str | None = None):
+        self.uri, self.where, self.rows = uri, where, {}
 
+    def of(self, names: list[str]) -> list[list[dict]]:
+        new = sorted(set(names) - self.rows.keys())
+        if new:
+            self.rows |= {g: [] for g in new}
+            for r in read_groups(self.uri, "_g", new):
+                if self.where is None or r[self.where]:
+                    self.rows[r["_g"]].append(r)
+        return [self.rows[g] for g in names]
 
-_ARROW = pa.schema([("_g", pa.string()), ("_start", pa.int32()), ("_n", pa.int64()), ("centre", pa.list_(pa.float64())),
-                    ("inverse", pa.list_(pa.float64())), ("_det", pa.float64()), ("_open", pa.bool_())])
 
+def _estimates_of(found: list[list[dict]], start: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(has any, centre, inverse) for each name."""
+    pick = [next((r for r in rows if r["_start"] == start), None) for rows in found]
+    centre = np.array([r["centre"] if r else [0.0] * D for r in pick]).reshape(-1, D)
+    inverse = np.array([r["inverse"] if r else [0.0] * D * D for r in pick]).reshape(-1, D, D)
+    return np.array([r is not None for r in pick]), centre, inverse
 
-def _starts(fit: DataFrame) -> DataFrame:
+
+def _starts(good: DataFrame) -> str:
     """Two first estimates for each group: medians with the middle 80 % of each statistic alone,
-    and the same with the correlations of the rows' directions from the medians.
+    and the same with the correlations of the rows' directions from the medians."""
 
-    Statistics are counted in steps first, so a group of any size reaches a task as its counts."""
-    steps = F.array(*[F.round(F.col(f) / GRAIN).cast("int") for f in FEATURES])
-    counts = fit.select("_g", F.posexplode(steps).alias("_i", "_v")).groupBy("_g", "_i", "_v").agg(F.count("*").alias("_c"))
+    def count(batches):
+        sums = _Sums(1)
+        for b in batches:
+            steps = np.rint(_points(b) / GRAIN).astype(np.int64)
+            for names, code in _levels(b):
+                for i in range(D):
+                    sums.add(names, code, 0, steps[:, i] * 8 + i, np.ones((len(b), 1)))
+        yield from sums.batches({})
 
     def middle(table: pa.Table) -> pa.Table:
-        i, v, c = (table.column(k).to_numpy() for k in ("_i", "_v", "_c"))
+        ((_, at, sums, _),) = _added(table, 1)
+        value, which, c = (at >> 3) * GRAIN, at & 7, sums[:, 0]
         centre, spread = np.zeros(D), np.zeros(D)
         for k in range(D):
-            mine = i == k
-            order = np.argsort(v[mine])
-            value, run = v[mine][order] * GRAIN, np.cumsum(c[mine][order])
-            low, centre[k], high = (value[np.searchsorted(run, s * run[-1])] for s in (0.1, 0.5, 0.9))
+            v, run = value[which == k], np.cumsum(c[which == k])
+            low, centre[k], high = (v[np.searchsorted(run, s * run[-1])] for s in (0.1, 0.5, 0.9))
             # 2.563 standard deviations of a normal lie between its tenth and ninetieth percent
             spread[k] = max((high - low) / 2.563, _FLOOR[k])
-        row = _estimate_row(table.column("_g")[0].as_py(), 0, int(c[i == 0].sum()), centre, np.diag(spread**2), True)
-        return pa.Table.from_pylist([row], _ARROW)
+        n = int(c[which == 0].sum())
+        return pa.Table.from_pylist([_row(table.column("_g")[0].as_py(), 0, n, centre, np.diag(spread**2), np.inf, True)], _SCHEMA)
 
-    plain = written(counts.groupBy("_g").applyInArrow(middle, ESTIMATE), "quality-start")
-    z = [(F.col(f) - F.get("centre", F.lit(i))) * F.sqrt(F.get("inverse", F.lit(i * D + i))) for i, f in enumerate(FEATURES)]
-    around = fit.join(plain, "_g").select("_g", *[c.alias(f"_z{i}") for i, c in enumerate(z)])
-    z = [F.col(f"_z{i}") for i in range(D)]
-    length = F.greatest(sum((c * c for c in z[1:]), z[0] * z[0]), F.lit(1e-12))
-    sums = around.withColumn("_l", length).groupBy("_g").agg(*[F.sum(z[i] * z[j] / F.col("_l")).alias(f"_s{i}_{j}") for i, j in UPPER])
+    plain = saved(good.mapInArrow(tidy(count), _PART_DDL).groupBy("_g").applyInArrow(middle, _DDL), "quality-start")
 
-    def directions(batches):
+    def turn(batches):
+        sums, table, old = _Sums(len(UPPER)), _Table(plain), {}
         for b in batches:
-            rows = []
-            for r in b.to_pylist():
-                centre, scale = np.array(r["centre"]), np.diag(np.reshape(r["inverse"], (D, D))) ** -0.5
-                cov = _spread([r[f"_s{i}_{j}"] for i, j in UPPER], r["_n"]) * D * np.outer(scale, scale) + np.diag(_FLOOR**2)
-                rows.append({k: r[k] for k in _ARROW.names})
-                rows.append(_estimate_row(r["_g"], 1, r["_n"], centre, cov, True))
-            yield pa.RecordBatch.from_pylist(rows, _ARROW)
-
-    return written(plain.join(sums, "_g").mapInArrow(directions, ESTIMATE), "quality-start")
-
-
-def mcd_estimates(fit: DataFrame, support: float = SUPPORT) -> DataFrame:
-    """Minimum-covariance-determinant estimates (_g, _n, centre, inverse) of rows (_g, FEATURES).
+            x = _points(b)
+            for names, code in _levels(b):
+                found = table.of(names)
+                _, centre, inverse = _estimates_of(found, 0)
+                old |= {(g, 0): _packed(np.array(r["centre"]), np.array(r["inverse"]), 0.0, r["_n"]) for g, (r,) in zip(names, found)}
+                z = (x - centre[code]) * np.sqrt(inverse[:, range(D), range(D)])[code]
+                u = z / np.sqrt(np.maximum((z * z).sum(1, keepdims=True), 1e-12))
+                sums.add(names, code, 0, np.zeros(len(b), np.int64), np.stack([u[:, i] * u[:, j] for i, j in UPPER], 1))
+        yield from sums.batches(old)
+
+    def both(table: pa.Table) -> pa.Table:
+        ((_, _, sums, old),) = _added(table, len(UPPER))
+        centre, inverse, _, n = _unpacked(old)
+        scale = np.diag(inverse) ** -0.5
+        turned = _full(sums[0] / n) * D * np.outer(scale, scale) + np.diag(_FLOOR**2)
+        g = table.column("_g")[0].as_py()
+        return pa.Table.from_pylist([_row(g, k, n, centre, m, np.inf, True) for k, m in enumerate((np.diag(scale**2), turned))], _SCHEMA)
+
+    return saved(good.mapInArrow(tidy(turn), _PART_DDL).groupBy("_g").applyInArrow(both, _DDL), "quality-start")
+
+
+def mcd_estimates(good: DataFrame, support: float = SUPPORT) -> str:
+    """Minimum-covariance-determinant estimates (_g, _n, centre, inverse) of rows (group, language,
+    FEATURES), for groups, languages and all rows; returns the folder of the table.
 
     From each of two deterministic starts, concentration steps: keep the share ``support`` of
     rows nearest to the present estimates, take their mean and covariance, and go on until the
     determinant falls no more; the start that ends with the smaller determinant is taken.
 
-    A step is one aggregation over all rows, never a sample: rows are summed by group and bin of
-    distance, so a task that renews a group's estimates sees its bins, however many rows the
-    group has. Estimates are a small table; whether it is broadcast is decided by its size.
+    A step reads all rows, never a sample. Tasks sum them by group and bin of distance, so what
+    renews a group's estimates is its bins, however many rows the group has.
     """
-    est = _starts(fit)
-    f = [F.col(c) for c in FEATURES]
-
-    def renew(table: pa.Table) -> pa.Table:
-        order = np.argsort(table.column("_b").to_numpy())
-        get = lambda k: table.column(k).to_numpy()[order]
-        run = np.cumsum(get("_c"))
-        inside = slice(0, int(np.searchsorted(run, support * run[-1])) + 1)
-        n = float(get("_c")[inside].sum())
-        mean = np.array([get(f"_m{i}")[inside].sum() for i in range(D)]) / n
-        cov = _spread([get(f"_s{i}_{j}")[inside].sum() for i, j in UPPER], n) - np.outer(mean, mean) + np.diag(_FLOOR**2)
-        row = _estimate_row(table.column("_g")[0].as_py(), table.column("_start")[0].as_py(), int(run[-1]), mean, cov, True)
-        return pa.Table.from_pylist([row], _ARROW)
-
-    for step in range(MOST_STEPS):
-        todo = est.where("_open").select("_g", "_start", "centre", "inverse")
-        sums = fit.join(todo, "_g").groupBy("_g", "_start", _bin()).agg(
-            F.count("*").alias("_c"), *[F.sum(c).alias(f"_m{i}") for i, c in enumerate(f)], *_squares(f)
-        )
-        now = sums.groupBy("_g", "_start").applyInArrow(renew, ESTIMATE)
-        now = now.select("_g", "_start", F.struct("centre", "inverse", "_det").alias("_now"))
-        # the start is no mean of rows: determinants are comparable from the second step on
-        better = F.col("_now").isNotNull() & (F.lit(step == 0) | (F.col("_now._det") < F.col("_det") - 1e-6))
-        take = lambda k: F.when(better, F.col(f"_now.{k}")).otherwise(F.col(k)).alias(k)
-        merged = est.join(now, ["_g", "_start"], "left")
-        merged = merged.select("_g", "_start", "_n", take("centre"), take("inverse"), take("_det"), F.coalesce(better, F.lit(False)).alias("_open"))
-        est = written(merged, "quality-step")
-        if not est.where("_open").limit(1).count():
+    spark = good.sparkSession
+    width = 1 + D + len(UPPER)
+    est, done = _starts(good), []
+    for _ in range(MOST_STEPS):
+        now = est
+
+        def count(batches):
+            sums, table, old = _Sums(width), _Table(now, "_open"), {}
+            for b in batches:
+                x = _points(b)
+                moments = np.concatenate([np.ones((len(x), 1)), x, np.stack([x[:, i] * x[:, j] for i, j in UPPER], 1)], 1)
+                for names, code in _levels(b):
+                    found = table.of(names)
+                    old |= {(r["_g"], r["_start"]): _packed(np.array(r["centre"]), np.array(r["inverse"]), r["_det"], r["_n"]) for rows in found for r in rows}
+                    for start in (0, 1):
+                        has, centre, inverse = _estimates_of(found, start)
+                        at = np.flatnonzero(has[code])
+                        if len(at):
+                            c = code[at]
+                            place = np.floor(_logs(x[at], centre[c], inverse[c]) / BIN).astype(np.int64)
+                            sums.add(names, c, start, place, moments[at])
+            yield from sums.batches(old)
+
+        def renew(table: pa.Table) -> pa.Table:
+            g, rows = table.column("_g")[0].as_py(), []
+            for start, _, sums, old in _added(table, width):
+                run = np.cumsum(sums[:, 0])
+                total = sums[: int(np.searchsorted(run, support * run[-1])) + 1].sum(0)
+                mean = total[1 : 1 + D] / total[0]
+                cov = _full(total[1 + D :] / total[0]) - np.outer(mean, mean) + np.diag(_FLOOR**2)
+                det = float(np.linalg.slogdet(cov)[1])
+                centre, inverse, before, n = _unpacked(old)
+                if det < before - 1e-6:
+                    rows.append(_row(g, start, n, mean, cov, det, True))
+                else:
+                    rows.append(_row(g, start, n, centre, np.linalg.inv(inverse), before, False))
+            return pa.Table.from_pylist(rows, _SCHEMA)
+
+        est = saved(good.mapInArrow(tidy(count), _PART_DDL).groupBy("_g").applyInArrow(renew, _DDL), "quality-step")
+        done.append(est)
+        if not spark.read.schema(_DDL).parquet(est).where("_open").limit(1).count():
             break
-    best = est.groupBy("_g").agg(F.min_by(F.struct("_n", "centre", "inverse"), F.struct("_det", "_start")).alias("_e"))
-    return best.select("_g", "_e.*")
+    ended = spark.read.schema(_DDL).parquet(*done).where("not _open")
+    best = ended.groupBy("_g").agg(F.min_by(F.struct("_n", "centre", "inverse"), F.struct("_det", "_start")).alias("_e"))
+    return saved(best.select("_g", F.lit(0).alias("_start"), "_e.*"), "quality-estimates")
 
 
-def _blended(est: DataFrame, parents: DataFrame, shrink: float) -> DataFrame:
-    """(_g, centre, inverse, _w): a language's estimates drawn towards those of all rows, and a
-    group's towards its language's, as if these were ``shrink`` more rows."""
-    up = est.select(F.col("_g").alias("_p"), F.col("_n").alias("_pn"), F.col("centre").alias("_pc"), F.col("inverse").alias("_pi"))
-    top = est.where("_g = '*'").select(F.col("centre").alias("_tc"), F.col("inverse").alias("_ti"), F.lit(1).alias("_one"))
-    rows = est.join(parents, "_g").join(up, "_p", "left").withColumn("_one", F.lit(1)).join(top, "_one")
-    schema = "_g string, _p string, centre array<double>, inverse array<double>, _w double"
-    cols = ("_g", "_p", "_n", "centre", "inverse", "_pn", "_pc", "_pi", "_tc", "_ti")
+def _limits(good: DataFrame, shrink: float, fence: float) -> DataFrame:
+    """(_group, centre, inverse, _limit) of every group: estimates, quartiles of the logarithms of
+    squared distances and the fence that follows, each drawn towards the language's and these
+    towards those of all rows, as if the parents were ``shrink`` more rows."""
+    spark = good.sparkSession
+    est = mcd_estimates(good)
+    weight = lambda r: r["_n"] / (r["_n"] + shrink)
+    kind = pa.schema([("_g", pa.string()), ("_start", pa.int32()), ("_n", pa.int64()), ("centre", pa.list_(pa.float64())), ("inverse", pa.list_(pa.float64()))])
 
     def blend(batches):
-        back = lambda x: np.linalg.inv(np.reshape(x, (D, D)))
+        table = _Table(est)
+        back = lambda r: (np.array(r["centre"]), np.linalg.inv(np.reshape(r["inverse"], (D, D))))
+
+        def whole(r):
+            c, m = back(r)
+            up = _parent(r["_g"])
+            if up:
+                w, (pc, pm) = weight(r), whole(table.of([up])[0][0])
+                c, m = w * c + (1 - w) * pc, w * m + (1 - w) * pm
+            return c, m
+
         for b in batches:
-            out = []
+            rows = []
             for r in b.to_pylist():
-                c, m, w = np.array(r["centre"]), back(r["inverse"]), 1.0
-                if r["_p"]:
-                    pc, pm = np.array(r["_pc"]), back(r["_pi"])
-                    if r["_p"] != "*":
-                        v = r["_pn"] / (r["_pn"] + shrink)
-                        pc, pm = v * pc + (1 - v) * np.array(r["_tc"]), v * pm + (1 - v) * back(r["_ti"])
-                    w = r["_n"] / (r["_n"] + shrink)
-                    c, m = w * c + (1 - w) * pc, w * m + (1 - w) * pm
-                out.append({"_g": r["_g"], "_p": r["_p"], "centre": c.tolist(), "inverse": np.linalg.inv(m).ravel().tolist(), "_w": w})
-            kinds = [pa.string(), pa.string(), pa.list_(pa.float64()), pa.list_(pa.float64()), pa.float64()]
-            yield pa.RecordBatch.from_pylist(out, pa.schema(list(zip(("_g", "_p", "centre", "inverse", "_w"), kinds))))
+                c, m = whole(r)
+                rows.append(r | {"centre": c.tolist(), "inverse": np.linalg.inv(m).ravel().tolist()})
+            yield pa.RecordBatch.from_pylist(rows, kind)
 
-    return rows.select(*cols).mapInArrow(blend, schema)
+    ddl = "_g string, _start int, _n long, centre array<double>, inverse array<double>"
+    mixed = saved(spark.read.schema(ddl).parquet(est).mapInArrow(blend, ddl), "quality-blended")
 
+    def count(batches):
+        sums, table, old = _Sums(1), _Table(mixed), {}
+        for b in batches:
+            x = _points(b)
+            for names, code in _levels(b):
+                found = table.of(names)
+                old |= {(g, 0): _packed(np.array(r["centre"]), np.array(r["inverse"]), 0.0, r["_n"]) for g, (r,) in zip(names, found)}
+                _, centre, inverse = _estimates_of(found, 0)
+                sums.add(names, code, 0, np.floor(_logs(x, centre[code], inverse[code]) / BIN).astype(np.int64), np.ones((len(b), 1)))
+        yield from sums.batches(old)
 
-def _quartiles(fit: DataFrame, est: DataFrame) -> DataFrame:
-    """(_g, _q1, _q3) of the logarithms of squared distances in each group, at the bins' middles."""
-    counts = fit.join(est.select("_g", "centre", "inverse"), "_g").groupBy("_g", _bin()).agg(F.count("*").alias("_c"))
+    quarter = pa.schema([*kind, ("_q1", pa.float64()), ("_q3", pa.float64())])
 
     def cuts(table: pa.Table) -> pa.Table:
-        b, c = table.column("_b").to_numpy(), table.column("_c").to_numpy()
-        order = np.argsort(b)
-        run = np.cumsum(c[order])
-        q1, q3 = (float((b[order][np.searchsorted(run, s * run[-1])] + 0.5) * BIN) for s in (0.25, 0.75))
-        return pa.table({"_g": [table.column("_g")[0].as_py()], "_q1": [q1], "_q3": [q3]})
+        ((_, at, sums, old),) = _added(table, 1)
+        run = np.cumsum(sums[:, 0])
+        q1, q3 = (float((at[np.searchsorted(run, s * run[-1])] + 0.5) * BIN) for s in (0.25, 0.75))
+        centre, inverse, _, n = _unpacked(old)
+        row = {"_g": table.column("_g")[0].as_py(), "_start": 0, "_n": n, "centre": centre.tolist(), "inverse": inverse.ravel().tolist(), "_q1": q1, "_q3": q3}
+        return pa.Table.from_pylist([row], quarter)
+
+    ddl += ", _q1 double, _q3 double"
+    own = saved(good.mapInArrow(tidy(count), _PART_DDL).groupBy("_g").applyInArrow(cuts, ddl), "quality-quartiles")
+
+    def limit(batches):
+        table = _Table(own)
+
+        def whole(r):
+            q = np.array([r["_q1"], r["_q3"]])
+            up = _parent(r["_g"])
+            return weight(r) * q + (1 - weight(r)) * whole(table.of([up])[0][0]) if up else q
 
-    return counts.groupBy("_g").applyInArrow(cuts, "_g string, _q1 double, _q3 double")
+        for b in batches:
+            rows = []
+            for r in b.to_pylist():
+                q1, q3 = whole(r)
+                rows.append({"_group": r["_g"], "centre": r["centre"], "inverse": r["inverse"], "_limit": float(q3 + fence * (q3 - q1))})
+            yield pa.RecordBatch.from_pylist(rows, pa.schema([("_group", pa.string()), kind.field("centre"), kind.field("inverse"), ("_limit", pa.float64())]))
+
+    groups = spark.read.schema(ddl).parquet(own).where("not startswith(_g, '=') and _g <> '*'")
+    return written(groups.mapInArrow(limit, "_group string, centre array<double>, inverse array<double>, _limit double"), "quality-limits", keep=True)
+
+
+def _squared_distance() -> Column:
+    diff = [F.col(f) - F.get(F.col("centre"), F.lit(i)) for i, f in enumerate(FEATURES)]
+    total: Column = F.lit(0.0)
+    for i, j in UPPER:
+        term = F.get(F.col("inverse"), F.lit(i * D + j)) * diff[i] * diff[j]
+        total = total + (term if i == j else term * 2)
+    return F.greatest(total, F.lit(1e-9))
 
 
 def quality_verdicts(
@@ -354,25 +511,11 @@ def quality_verdicts(
     failed = (F.col("q_n_words") < MIN_WORDS) | (100 * F.col("q_n_repeat_words") > MAX_REPEAT_PERCENT * F.col("q_n_words"))
     lang_key = F.coalesce(F.concat(F.lit("l"), F.col(lang)), F.lit("-"))
     source_key = F.coalesce(F.concat(F.lit("s"), F.col(source)), F.lit("-"))
-    judged = df.withColumns({"_base": failed, "_lang": lang_key, "_group": F.concat_ws("\x01", lang_key, source_key), **_features()})
+    # the length of the language's key says where the source's begins
+    group = F.concat(F.length(lang_key).cast("string"), F.lit(":"), lang_key, source_key)
+    judged = df.withColumns({"_base": failed, "_lang": F.concat(F.lit("="), lang_key), "_group": group, **_features()})
     judged = written(judged, "quality-rows", keep=True)
-    good = judged.where("not _base").select("_lang", "_group", *FEATURES)
-    # a row enters the fit of each level; names cannot clash, as keys begin with l or -
-    language = F.concat(F.lit("="), "_lang")
-    fit = good.select(*FEATURES, F.explode(F.array(F.col("_group"), language, F.lit("*"))).alias("_g"))
-    parents = good.select(F.inline(F.array(
-        F.struct(F.col("_group").alias("_g"), language.alias("_p")),
-        F.struct(language.alias("_g"), F.lit("*").alias("_p")),
-        F.struct(F.lit("*").alias("_g"), F.lit("").alias("_p")),
-    ))).distinct()
-    est = written(_blended(written(mcd_estimates(fit), "quality-estimates"), parents, shrink), "quality-blended")
-    own = written(_quartiles(fit, est).join(est, "_g"), "quality-quartiles")
-    up = own.select(F.col("_g").alias("_p"), F.col("_p").alias("_pp"), F.col("_w").alias("_pw"), F.col("_q1").alias("_p1"), F.col("_q3").alias("_p3"))
-    top = own.select(F.col("_g").alias("_pp"), F.col("_q1").alias("_t1"), F.col("_q3").alias("_t3"))
-    groups = own.where("_p <> '' and _p <> '*'").join(up, "_p").join(top, "_pp")
-    mean = lambda k: F.col("_w") * F.col(f"_q{k}") + (1 - F.col("_w")) * (F.col("_pw") * F.col(f"_p{k}") + (1 - F.col("_pw")) * F.col(f"_t{k}"))
-    limit = mean(3) + F.lit(fence) * (mean(3) - mean(1))
-    limits = written(groups.select(F.col("_g").alias("_group"), "centre", "inverse", limit.alias("_limit")), "quality-limits", keep=True)
+    limits = _limits(judged.where("not _base").select("_group", "_lang", *FEATURES), shrink, fence)
     ratio = F.when(~F.col("_base") & F.col("centre").isNotNull(), _squared_distance() / F.exp("_limit"))
     out = judged.join(limits, "_group", "left").withColumn("_ratio", ratio)
     added = {**{c: F.col(f"q_{c}") for c in STAT_COLUMNS}, "base_failed": F.col("_base"), "distance_ratio": F.col("_ratio"),

@@ -3,9 +3,10 @@
 from __future__ import annotations
 
 import uuid
+from collections.abc import Iterator
 from contextlib import contextmanager
 
-from pyarrow import fs
+from pyarrow import dataset, fs
 
 
 def open_store(uri: str) -> tuple[fs.FileSystem, str]:
@@ -37,6 +38,14 @@ def read_whole(uri: str) -> bytes:
         return f.read()
 
 
+def read_groups(uri: str, column: str, values: list[str]) -> Iterator[dict]:
+    """Rows of a Parquet table whose column has one of the values."""
+    store, path = open_store(uri)
+    table = dataset.dataset(path, format="parquet", filesystem=store)
+    for b in table.to_batches(filter=dataset.field(column).isin(values), batch_size=4096):
+        yield from b.to_pylist()
+
+
 def sizes(uri: str) -> list[tuple[str, int]]:
     """(name, bytes) of the whole files of a folder, by name."""
     store, path = open_store(uri)

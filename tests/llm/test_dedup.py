@@ -100,8 +100,7 @@ def brute_removed(texts, length):
 
 
 def removal(df):
-    n = {r.id: (sum(s.hi - s.lo for s in r.spans), len(r.spans), hashlib.sha256(r.kept).hexdigest()) for r in suffixes.remove_repeats(df, "text", "doc_id").collect()}
-    return n
+    return {r.id: (r.n_bytes, sum(s.hi - s.lo for s in r.spans), len(r.spans), r.kept_sha256) for r in suffixes.remove_repeats(df, "text", "doc_id").collect()}
 
 
 @pytest.mark.parametrize("hot", [4096, 2])
@@ -114,12 +113,26 @@ def test_repeats(spark, monkeypatch, hot):
     texts = {n: noise(rnd.randrange(300)) + passage[rnd.randrange(60) : 260 - rnd.randrange(60)] + noise(rnd.randrange(300)) for n in range(40)}
     texts |= {50: noise(900), 51: None, 52: "", 53: passage[:199], 54: "z" * 700, 55: (noise(150) + passage) * 2, 56: BASE, 57: BASE}
     df = spark.createDataFrame(list(texts.items()), "doc_id long, text string").repartition(4)
-    got = removal(df)
-    for k, (n, removed, spans, sha) in brute_removed({k: (t or "").encode() for k, t in texts.items()}, 200).items():
-        assert got.get(k, (0, 0, sha)) == (removed, spans, sha), k
+    assert removal(df) == brute_removed({k: (t or "").encode() for k, t in texts.items()}, 200)
     assert suffixes.remove_repeats(df.where("doc_id < 0"), "text", "doc_id").count() == 0
 
 
+def test_merged_lists_find_what_all_pairs_hold():
+    """Collisions counted over posting lists with skips, against signatures compared one by one."""
+    rnd = random.Random(5)
+    base = [f"b{i}" for i in range(80)]
+    texts = [mutated(rnd, base, rnd.choice([0, 1, 2, 4, 9, 30])).encode() for _ in range(70)]
+    off = np.concatenate([[0], np.cumsum([len(t) for t in texts])])
+    sets, n = minhash.shingle_sets(np.frombuffer(b"".join(texts), np.uint8), off, 4)
+    sig = minhash.signatures(sets, n)
+    ids, cls, begin = np.arange(70), np.arange(70), np.cumsum(n) - n
+    side = lambda lo, hi: (ids[lo:hi], cls[lo:hi], sig[lo:hi], sets[begin[lo] : begin[hi - 1] + n[hi - 1]], n[lo:hi])
+    a, b = minhash._links_between(side(0, 40), side(40, 70), minhash.MATCHES, 80)
+    common = lambda x, y: len(np.intersect1d(sets[begin[x] : begin[x] + n[x]], sets[begin[y] : begin[y] + n[y]]))
+    links = [(x, y) for x in range(40) for y in range(40, 70) if (sig[x] == sig[y]).sum() >= minhash.MATCHES and 100 * common(x, y) >= 80 * (n[x] + n[y] - common(x, y))]
+    assert classes(range(70), zip(a.tolist(), b.tolist())) == classes(range(70), links) and len(links) > len(a)
+
+
 def test_suffix_array_kernels():
     rnd = random.Random(3)
     segs = [bytes(rnd.choice(b"ab\x00") for _ in range(rnd.randint(1, 60))) for _ in range(40)]
@@ -138,7 +151,8 @@ def test_suffix_array_kernels():
 
 
 def brute_vectors(rows):
-    good = {k: np.array(v, float) for k, v in rows if v is not None and v and all(x is not None and np.isfinite(x) for x in v) and any(v)}
+    """Links and smallest linked key of (key, vector) rows with unique keys."""
+    good = {k: np.array(v, float) / np.max(np.abs(v)) for k, v in rows if v is not None and v and all(x is not None and np.isfinite(x) for x in v) and any(v)}
     keys = sorted(good)
     link = [(a, b) for i, a in enumerate(keys) for b in keys[:i] if len(good[a]) == len(good[b]) and good[a] @ good[b] / np.linalg.norm(good[a]) / np.linalg.norm(good[b]) >= 0.95]
     n = {k: 0 for k, _ in rows}
@@ -148,9 +162,10 @@ def brute_vectors(rows):
     return n, classes(n, link)
 
 
-@pytest.mark.parametrize("block,leaf", [(4096, 128), (20, 4)])
-def test_vectors(spark, monkeypatch, block, leaf):
+@pytest.mark.parametrize("block,leaf,fan", [(4096, 128, 256), (12, 4, 3)])
+def test_vectors(spark, monkeypatch, block, leaf, fan):
     monkeypatch.setattr(embeddings, "LEAF", leaf)
+    monkeypatch.setattr(embeddings, "FAN", fan)
     rnd = np.random.default_rng(1)
     centres = rnd.normal(size=(12, 16))
     rows = [(n, (centres[n % 12] + rnd.normal(size=16) * rnd.choice([0.05, 0.3])).astype(np.float32).tolist()) for n in range(150)]

@@ -19,13 +19,3 @@ def test_stages(spark, sf, tmp_path):
     packed = kept["packing"].groupBy("doc_id").agg(F.sum("length").alias("n"), F.max("doc_tokens").alias("one"))
     copies = kept["mixing"].groupBy("doc_id").agg(F.count("*").alias("copies"))
     assert packed.join(copies, "doc_id").where("n <> one * copies").count() == 0 and packed.count() == mixed.count()
-
-
-def test_awkward_rows_pass(spark, docs, nothing, sf):
-    for rows in (docs, nothing):
-        df = rows.select(*COLUMNS)
-        for _, stage in corpus_pipeline.STAGES[:-1]:
-            df = stage(spark, df, sf)
-            assert df.columns == COLUMNS
-            df = df.persist()
-            df.count()

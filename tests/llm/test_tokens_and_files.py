@@ -16,7 +16,6 @@ from .conftest import TEXTS, by_id
 @pytest.fixture(scope="module")
 def library():
     t = Tokenizer.from_file(tokenizer_path())
-    t.encode_special_tokens = True
     return lambda x: t.encode(x or "", add_special_tokens=False).ids
 
 
@@ -28,6 +27,7 @@ def test_ids_equal_the_library(library):
         ids, counts = encoder(tokenizer_path()).encode(part)
         assert counts.tolist() == [len(library(t)) for t in part]
         assert ids.tolist() == [i for t in part for i in library(t)]
+    assert 50256 in library("<|endoftext|> x") and 50256 not in encoder(tokenizer_path(), escape=True).encode(["<|endoftext|> x"])[0]
 
 
 def test_cache_survives_its_limit(library, monkeypatch):
@@ -46,21 +46,35 @@ def test_grammar_round_trip(seed):
     lengths = rnd.integers(0, 60, 40)
     ids = np.minimum(rnd.zipf(1.4, int(lengths.sum())), 300).astype(np.uint32)
     ids[:50] = 7  # chains of equal pairs
-    raw = repair.pack_block(np.arange(40), lengths, ids, 50257)
-    block = repair.Block(raw)
-    assert (block.ids() == ids).all() and (block.lengths == lengths).all() and block.end == len(raw)
+    keys = [None, -5, *range(38)]
+    block = repair.Block(repair.pack_block(keys, lengths, ids, 50257))
+    assert (block.ids() == ids).all() and (block.lengths == lengths).all() and block.keys == keys
     at = np.cumsum(lengths) - lengths
     for i in (0, 7, 39):
         assert block.document(i).tolist() == ids[at[i] : at[i] + lengths[i]].tolist()
-    _, expanded = repair.expansions(block.rules, 50257)
-    assert expanded.tolist() == block.expanded.tolist()
-    assert len(block.symbols) < len(ids)
+        assert block.document(i, 3, 9).tolist() == ids[at[i] : at[i] + lengths[i]][3:9].tolist()
 
+    def under(s):
+        return [s] if s < 50257 else under(int(block.rules[s - 50257, 0])) + under(int(block.rules[s - 50257, 1]))
 
-def test_ranges():
-    from freqsketch.llm.repair import range_number  # noqa: F401
+    assert [len(under(50257 + k)) for k in range(len(block.rules))] == block.expanded.tolist()
+    assert block.n_symbols.sum() < len(ids) and len(block.rules)
 
-    assert repair.Block(repair.pack_block(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint32), 50257)).ids().tolist() == []
+
+def test_grammar_goes_on_until_no_pair_repays():
+    rnd = np.random.default_rng(9)
+    phrases = [rnd.integers(0, 50257, rnd.integers(40, 90)) for _ in range(5)]
+    ids = np.concatenate([phrases[rnd.integers(5)] for _ in range(400)]).astype(np.uint32)
+    g = repair.compress(ids, np.array([len(ids)]), 50257)
+    s = g["symbols"].astype(np.uint64)
+    pairs, counts = np.unique((s[:-1] << np.uint64(32)) | s[1:], return_counts=True)
+    assert counts.max() < repair.LEAST_COUNT
+    assert g["expanded"].max() > 64 and len(s) < len(ids) / 25
+    assert repair.expand(g["symbols"], g["rules"], g["expanded"], 50257).tolist() == ids.tolist()
+
+
+def test_an_empty_block():
+    assert repair.Block(repair.pack_block([], np.zeros(0, np.int64), np.zeros(0, np.uint32), 50257)).ids().tolist() == []
 
 
 def test_grammar_files(spark, docs, nothing, library):
@@ -75,6 +89,12 @@ def test_grammar_files(spark, docs, nothing, library):
         r = got[i * 3]
         assert (r.start, r.n_tokens, r.ids_crc32) == (start, len(a), zlib.crc32(a.tobytes()))
         start += len(a)
+    # one document, read alone by the index
+    at = index.orderBy("file", "block").first()
+    block = repair.Block(read_range(f"{folder}/{at.file}", at["at"], at.bytes))
+    for i, key in enumerate(block.keys):
+        want = [*library(TEXTS[key // 3]), 0]
+        assert repair.read_document(folder, at.file, at["at"], at.bytes, i, 2, 40).tolist() == want[2:40]
     empty = new_shared_dir(spark, "g")
     index = repair.write_grammar_files(nothing, "text", "doc_id", empty, tokenizer_path()).persist()
     assert repair.read_grammar_files(index, empty).count() == 0
@@ -168,15 +188,25 @@ def test_scores_are_bm25():
         assert index.scores(i) == pytest.approx([bm25(q, d) for d in docs], rel=1e-6)
 
 
-def test_neighbours_come_from_all_parts(spark):
-    # related pairs lie in different parts of the table, among more documents than a part held before
+def test_related_documents_meet_in_one_shard(spark):
+    # related pairs lie in different parts of a table that fills many shards
     filler = [(n, " ".join(f"f{(n * 7 + j) % 5003}" for j in range(12))) for n in range(2000)]
     pairs = [(10000 + n, " ".join(f"pair{n}w{j}" for j in range(30))) for n in range(40)]
     rows = pairs + filler + [(n + 10000, f"{text} end{n}") for n, text in pairs]
     df = spark.createDataFrame(rows, "doc_id long, text string").repartitionByRange(4, "doc_id")
-    got = packing.pack_documents(df, "text", "doc_id", tokenizer_path(), window=512).collect()
-    of = {}
+    got = packing.pack_documents(df, "text", "doc_id", tokenizer_path(), window=512, shard_docs=64).collect()
+    of, shards = {}, {}
     for r in got:
         of.setdefault(r.doc_id, set()).add(r.sequence_id)
-    assert len(of) == 2080
+        shards.setdefault(r.sequence_id >> 32, set()).add(r.doc_id)
+    assert len(of) == 2080 and len(shards) >= 30 and max(map(len, shards.values())) <= 2 * 64
     assert sum(bool(of[10000 + n] & of[20000 + n]) for n in range(40)) >= 36
+
+
+def test_tree_orders_like_points():
+    rnd = np.random.default_rng(0)
+    points = np.concatenate([rnd.normal(c, 0.05, (200, packing.PLACE_DIMS)) for c in range(4)])
+    nodes = packing.fit_tree(points, 16)
+    leaf = packing.leaf_of(points, nodes)
+    assert leaf.max() < 16 and np.bincount(leaf, minlength=16).max() <= 60
+    assert all(len(set(np.flatnonzero(leaf == k) // 200)) == 1 for k in range(16))
