@@ -94,6 +94,8 @@ def scratch(spark: SparkSession, everything: bool = False) -> Iterator[None]:
             drop_dir(spark, path)
         if _SCRATCH and not everything:
             _SCRATCH[-1][1].extend(made[1])
+        # plans and shuffles that nothing refers to any more: Spark drops their files once they are collected
+        spark.sparkContext._jvm.System.gc()
 
 
 def written(df: DataFrame, tag: str, keep: bool = False) -> DataFrame:

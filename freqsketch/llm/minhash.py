@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from .common import byte_slices, mix64, numbered, read_table, salted_powers, segment_hash, settled, text_buffer, tidy, word_bounds, written
 from .components import connected_components
+from .positions import Positions, write_positions
 
 #: Fixed values of the contract: words in a shingle, least similarity in percent.
 SHINGLE_WORDS = 4
@@ -79,34 +80,47 @@ def signatures(shingles: np.ndarray, counts: np.ndarray) -> np.ndarray:
     return out
 
 
-def signature_rows(df: DataFrame, text: str, key: str, words: int, row: str | None = None) -> DataFrame:
-    """(id, n, set_a, set_b, sig, shingles) and the column ``row``, if one is named: set size, a
-    128-bit digest of the set, the signature, and the whole set for confirming links."""
-    picked = df.select(F.col(key).cast("long").alias("id"), F.col(text).alias("_text"), *([F.col(row).alias("row")] if row else []))
+def signature_rows(rows: DataFrame, words: int) -> DataFrame:
+    """(row, id, n, set_a, set_b, sig) of (row, id, t) rows: set size, a 128-bit digest of the set, the
+    signature."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            raw, off = text_buffer(b.column(1))
+            raw, off = text_buffer(b.column(2))
             for lo, hi in byte_slices(off):
                 sh, n = shingle_sets(raw[off[lo] : off[hi]], off[lo : hi + 1] - off[lo], words)
                 sig = np.zeros((len(n), COORDINATES), np.uint32)
                 sig[n > 0] = signatures(sh, n)
                 one, two = np.zeros(len(n), np.uint64), np.zeros(len(n), np.uint64)
-                ends = np.cumsum(n)
                 if len(sh):
-                    begin = (ends - n)[n > 0]
+                    begin = (np.cumsum(n) - n)[n > 0]
                     one[n > 0] = np.add.reduceat(sh, begin)
                     two[n > 0] = np.add.reduceat(mix64(sh ^ np.uint64(0xA5A5A5A5A5A5A5A5)), begin)
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(len(n) + 1, dtype=np.int32) * COORDINATES), pa.array(sig.ravel().astype(np.int64)))
-                sets = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]).astype(np.int32)), pa.array(sh.view(np.int64)))
+                own = [b.column(k).slice(lo, hi - lo) for k in (0, 1)]
                 yield pa.RecordBatch.from_arrays(
-                    [b.column(0).slice(lo, hi - lo), pa.array(n.astype(np.int64)), pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), lists, sets]
-                    + [c.slice(lo, hi - lo) for c in b.columns[2:]],
-                    ["id", "n", "set_a", "set_b", "sig", "shingles"] + ["row"] * bool(row),
+                    [*own, pa.array(n.astype(np.int64)), pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), lists], ["row", "id", "n", "set_a", "set_b", "sig"]
                 )
 
-    schema = "id long, n long, set_a long, set_b long, sig array<long>, shingles array<long>"
-    return picked.mapInArrow(tidy(run), schema + (", row long" if row else ""))
+    return rows.mapInArrow(tidy(run), "row long, id long, n long, set_a long, set_b long, sig array<long>")
+
+
+def shingle_rows(rows: DataFrame, words: int, folder: str) -> DataFrame:
+    """(id, shingles) of the (row, id, t) rows that have a value in a folder of positions: their row
+    numbers and whole sets, for confirming links. Rows are picked where they lie, without a join."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        asked = Positions(folder)
+        for b in batches:
+            mask = asked.of(b.column(0).to_numpy()) >= 0
+            b = b.filter(pa.array(mask))
+            raw, off = text_buffer(b.column(2))
+            for lo, hi in byte_slices(off):
+                sh, n = shingle_sets(raw[off[lo] : off[hi]], off[lo : hi + 1] - off[lo], words)
+                ends = np.concatenate([[0], np.cumsum(n)]).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(lo, hi - lo), pa.ListArray.from_arrays(pa.array(ends), pa.array(sh.view(np.int64)))], ["id", "shingles"])
+
+    return rows.mapInArrow(tidy(run), "id long, shingles array<long>")
 
 
 def prefix_postings(reps: DataFrame, matches: int = MATCHES) -> DataFrame:
@@ -206,7 +220,7 @@ def _links_between(base: tuple, ask: tuple, matches: int, percent: int) -> tuple
     return np.array(found_a, np.int64), np.array(found_b, np.int64)
 
 
-def _family_links(lists: DataFrame, sets: DataFrame, matches: int, percent: int) -> DataFrame:
+def _family_links(lists: DataFrame, sets: DataFrame, sigs: DataFrame, matches: int, percent: int) -> DataFrame:
     """Links (a, b) between different classes out of posting lists (key, id, class).
 
     Lists inside one class are skipped. Documents that the other lists connect are a family; each
@@ -220,7 +234,7 @@ def _family_links(lists: DataFrame, sets: DataFrame, matches: int, percent: int)
     # families join classes, of which there are fewer than documents
     families = connected_components(on_mixed.where("class <> hub").select(F.col("class").alias("a"), F.col("hub").alias("b")))
     families = families.select(F.col("node").alias("class"), F.col("component").alias("family"))
-    members = on_mixed.select("id", "class").distinct().join(families, "class").join(sets, "id")
+    members = on_mixed.select("id", "class").distinct().join(families, "class").join(sets, "id").join(sigs, "id")
     members = written(members, "families")
     weight = F.size("shingles").cast("long")
     per_class = members.groupBy("family", "class").agg(F.sum(weight).alias("_w"))
@@ -259,8 +273,8 @@ def near_duplicate_classes(
     classes of documents linked by similar shingle sets.
 
     ``component_id`` is the smallest key that links reach; every link counts, chains too. ``first``
-    holds for one row of each class, one with that key. ``row`` is a column of unique row numbers
-    for joining the result with the rows.
+    holds for one row of each class, one with that key. ``row`` is a column of row numbers from
+    ``numbered``, in a table that is written already; else the texts are written with numbers first.
 
     1. Documents with equal sets are one class at once; one of each set goes on.
     2. Signatures' coordinate-value pairs are posted by prefix (``prefix_postings``).
@@ -275,18 +289,21 @@ def near_duplicate_classes(
     linked like others. Rows with a null key stand alone: they link with nothing, their
     ``component_id`` is null. Other columns are ignored; an empty table gives no rows.
     """
-    rows = numbered(signature_rows(df, text, key, words, row), "_r", "signatures", keep=True)
+    texts = df.select(*([F.col(row).alias("row")] if row else []), F.col(key).cast("long").alias("id"), F.col(text).alias("t"))
+    texts = (texts if row else numbered(texts, "row", "texts")).select("row", "id", "t")
+    rows = written(signature_rows(texts, words), "signatures", keep=True)
     with_set = rows.where("n > 0 and id is not null")
-    heads = written(with_set.groupBy("set_a", "set_b", "n").agg(F.min("_r").alias("rep"), F.min("id").alias("least")), "set-heads", keep=True)
-    reps = rows.join(heads.select(F.col("rep").alias("_r")), "_r", "left_semi").select(F.col("_r").alias("id"), "sig", "shingles")
-    posts = written(prefix_postings(reps.select("id", "sig"), matches), "postings")
+    heads = written(with_set.groupBy("set_a", "set_b", "n").agg(F.min("row").alias("rep"), F.min("id").alias("least")), "set-heads", keep=True)
+    reps = rows.join(heads.select(F.col("rep").alias("row")), "row", "left_semi").select(F.col("row").alias("id"), "sig")
+    posts = written(prefix_postings(reps, matches), "postings")
     ends = posts.groupBy("key").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo < hi")
     listed = written(posts.join(ends, "key"), "posting-lists")
     hubs = listed.groupBy("id").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
-    sets = written(reps.join(hubs.select("id"), "id", "left_semi"), "shingles")
+    asked = write_positions(hubs.select("id", F.lit(1).alias("v")), "asked")
+    sets = written(shingle_rows(texts, words, asked), "shingles")
     name = written(hubs.select("id", F.explode(F.array("lo", "hi")).alias("_h")).where("id <> _h"), "hubs")
     near = name.select(F.least("id", "_h").alias("a"), F.greatest("id", "_h").alias("b")).distinct()
-    first = written(_confirmed(near, sets.select("id", "shingles"), percent), "links")
+    first = written(_confirmed(near, sets, percent), "links")
     # a document takes the name of its first linked hub, then of that one's; documents of one
     # name are connected, and not all that are connected need to have one name yet
     linked = first.select(F.inline(F.array(F.struct(F.col("a").alias("id"), F.col("b").alias("_h")), F.struct(F.col("b").alias("id"), F.col("a").alias("_h")))))
@@ -294,7 +311,7 @@ def near_duplicate_classes(
     up = name.select(F.col("id").alias("_h"), F.col("_h").alias("_up"))
     classes = name.join(up, "_h", "left").select("id", F.coalesce("_up", "_h").alias("class"))
     labelled = written(listed.select("key", "id").join(classes, "id", "left").select("key", "id", F.coalesce("class", "id").alias("class")), "labelled")
-    second = written(_family_links(labelled, sets, matches, percent), "links")
+    second = written(_family_links(labelled, sets, reps, matches, percent), "links")
     joined = connected_components(first.unionByName(second)).select(F.col("node").alias("rep"), "component")
     # a class is named after its smallest key, and its first row is the first one with that key
     top = written(heads.join(joined, "rep", "left").withColumn("_c", F.coalesce("component", "rep")), "set-classes", keep=True)
@@ -302,12 +319,13 @@ def near_duplicate_classes(
     top = top.join(names, F.col("_c") == F.col("_k")).select(
         F.col("set_a").alias("_a"), F.col("set_b").alias("_b"), F.col("n").alias("_n"), "_least", (F.col("rep") == F.col("_owner")).alias("_own")
     )
-    out = rows.select("id", "n", "set_a", "set_b", "_r", *["row"] * bool(row)).withColumn("_has", F.col("id").isNotNull() & (F.col("n") > 0))
-    out = out.join(top, F.col("_has") & (F.col("set_a") == F.col("_a")) & (F.col("set_b") == F.col("_b")) & (F.col("n") == F.col("_n")), "left")
+    same_set = (F.col("set_a") == F.col("_a")) & (F.col("set_b") == F.col("_b")) & (F.col("n") == F.col("_n"))
+    out = rows.select("row", "id", "n", "set_a", "set_b").withColumn("_has", F.col("id").isNotNull() & (F.col("n") > 0))
+    out = out.join(top, F.col("_has") & same_set, "left")
     # of the rows of the set that holds the smallest key, the first one with it
-    lead = with_set.join(top.where("_own"), (F.col("set_a") == F.col("_a")) & (F.col("set_b") == F.col("_b")) & (F.col("n") == F.col("_n")) & (F.col("id") == F.col("_least")))
-    lead = lead.groupBy("_a", "_b", "_n").agg(F.min("_r").alias("_lead")).select("_lead")
-    return out.join(lead, F.col("_r") == F.col("_lead"), "left").select(
+    lead = with_set.select("row", "id", "n", "set_a", "set_b").join(top.where("_own"), same_set & (F.col("id") == F.col("_least")))
+    lead = lead.groupBy("_a", "_b", "_n").agg(F.min("row").alias("_lead")).select("_lead")
+    return out.join(lead, F.col("row") == F.col("_lead"), "left").select(
         "id", F.col("n").alias("n_shingles"), F.when(F.col("_has"), F.col("_least")).otherwise(F.col("id")).alias("component_id"),
         (~F.col("_has") | F.col("_lead").isNotNull()).alias("first"), *["row"] * bool(row),
     )

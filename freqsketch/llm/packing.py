@@ -11,8 +11,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import mix64, new_shared_dir, numbered, read_table, segment_hash, settled, tidy, written
-from .shared_files import atomic_writer, open_store, read_whole
+from .common import mix64, numbered, read_table, segment_hash, settled, tidy, written
+from .positions import with_positions, write_positions
 from .sharding import byte_prefix_shards
 from .tokens import encoder, id_type, tokenizer_path, with_ids
 
@@ -28,11 +28,9 @@ SHARD_DOCS = 1024
 SHARD_IDS = 4 << 20
 #: Dimensions in which documents are placed by their words, the leaves of the tree that orders
 #: places, and the groups, a bounded sample, that the tree is fitted to.
-PLACE_DIMS = 16
+PLACE_DIMS = 8
 LEAVES = 256
 FIT_GROUPS = 16384
-#: Bits of the place of a row in the files of ids.
-ROW_BITS = 33
 
 PIECE_SCHEMA = (
     "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
@@ -91,28 +89,35 @@ def document_frequencies(tokens: DataFrame, path: str) -> np.ndarray:
     return out
 
 
-def term_signs(term: np.ndarray) -> np.ndarray:
+#: A factor modulo 2^TERM_BITS and its inverse, by which terms of equal frequency are
+#: put in an order of their own.
+SCATTER = 0x9E375
+GATHER = pow(SCATTER, -1, 1 << TERM_BITS)
+
+
+@cache
+def _term_signs() -> np.ndarray:
     """(terms, PLACE_DIMS) of 1 and -1: a fixed random projection of the space of terms."""
-    bits = mix64(term.astype(np.uint64) + np.uint64(1 << 40))
-    return 1.0 - 2.0 * ((bits[:, None] >> np.arange(PLACE_DIMS, dtype=np.uint64)) & np.uint64(1)).astype(np.float64)
+    bits = mix64(np.arange(1 << TERM_BITS, dtype=np.uint64) + np.uint64(1 << 40))
+    return (1 - 2 * ((bits[:, None] >> np.arange(PLACE_DIMS, dtype=np.uint64)) & np.uint64(1)).astype(np.int8)).astype(np.float32)
 
 
 def content_keys(row: np.ndarray, term: np.ndarray, weight: np.ndarray, counts: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
     """Where documents belong: (near, place). ``near`` is the term that a document shares with the
-    fewest others, ties by a hash of the term, -1 where it shares none. ``place`` is the direction
-    of its weighted terms in PLACE_DIMS random dimensions."""
-    near = np.full(n, -1, np.int64)
-    shared = np.flatnonzero(counts[term] > 1)
-    if len(shared):
-        order = shared[np.lexsort((mix64(term[shared].astype(np.uint64)), counts[term[shared]], row[shared]))]
-        first = np.flatnonzero(np.diff(row[order], prepend=-1))
-        near[row[order[first]]] = term[order[first]]
-    place = np.zeros((n, PLACE_DIMS))
-    if len(row):
-        begin = np.flatnonzero(np.diff(row, prepend=-1))
-        place[row[begin]] = np.add.reduceat(term_signs(term) * weight[:, None], begin)
-        place /= np.maximum(np.sqrt((place * place).sum(1, keepdims=True)), 1e-12)
-    return near, place
+    fewest others, ties by a fixed order of the terms, -1 where it shares none. ``place`` is the
+    direction of its weighted terms in PLACE_DIMS random dimensions."""
+    near, place = np.full(n, -1, np.int64), np.zeros((n, PLACE_DIMS), np.float32)
+    if not len(row):
+        return near, place
+    begin = np.flatnonzero(np.diff(row, prepend=-1))
+    own = row[begin]
+    df = counts[term]
+    scattered = (term * SCATTER) & ((1 << TERM_BITS) - 1)
+    none = np.int64(1) << 62
+    least = np.minimum.reduceat(np.where(df > 1, (df.astype(np.int64) << TERM_BITS) | scattered, none), begin)
+    near[own] = np.where(least < none, ((least & ((1 << TERM_BITS) - 1)) * GATHER) & ((1 << TERM_BITS) - 1), -1)
+    place[own] = np.add.reduceat(_term_signs()[term] * weight[:, None].astype(np.float32), begin)
+    return near, place / np.maximum(np.sqrt((place * place).sum(1, keepdims=True)), 1e-12)
 
 
 def fit_tree(points: np.ndarray, leaves: int) -> list[tuple[np.ndarray, float]]:
@@ -154,12 +159,14 @@ class ShardIndex:
         row, term, times = document_terms(ids, lengths, marks)
         self.n = len(lengths)
         weight = bm25(row, term, times, lengths, idf, mean_length)
-        by_term = np.argsort(term, kind="stable")
+        by_term = np.argsort((term << max(1, self.n.bit_length())) | row)
         self.rows, self.weights = row[by_term], weight[by_term]
         self.row_begin = np.searchsorted(row, np.arange(self.n + 1))
         ordered = term[by_term]
-        self.post_begin = np.searchsorted(ordered, term, "left")
-        self.post_n = np.searchsorted(ordered, term, "right") - self.post_begin
+        first = np.flatnonzero(np.diff(ordered, prepend=-1))
+        slot = np.empty(len(term), np.int64)
+        slot[by_term] = np.repeat(np.arange(len(first)), np.diff(first, append=len(term)))
+        self.post_begin, self.post_n = first[slot], np.diff(first, append=len(term))[slot]
 
     def scores(self, doc: int) -> np.ndarray:
         """BM25 of every document of the shard for the words of one of them."""
@@ -269,42 +276,6 @@ def deal_by_content(tokens: DataFrame, path: str, counts: np.ndarray, idf, mean_
     return byte_prefix_shards(placed, order, size, n_shards, {"_n": F.col("_n")}).select("_n", F.col("shard"))
 
 
-def _shard_files(dealt: DataFrame, folder: str) -> None:
-    """The shard of each row of the files of ids, as one small file for each of the tasks that wrote
-    them, in their order: the ids then find their shard without being shuffled for it."""
-
-    def write(table: pa.Table) -> pa.Table:
-        number = table.column("_n").to_numpy()
-        at = number & ((1 << ROW_BITS) - 1)
-        out = np.full(int(at.max()) + 1, -1, "<i4")
-        out[at] = table.column("shard").to_numpy()
-        with atomic_writer(f"{folder}/{int(number[0] >> ROW_BITS)}") as f:
-            f.write(out.tobytes())
-        return pa.table({"n": pa.array([len(number)], pa.int64())})
-
-    part = F.shiftright("_n", ROW_BITS).alias("_part")
-    dealt.select(part, "_n", "shard").groupBy("_part").applyInArrow(write, "n long").agg(F.sum("n")).collect()
-
-
-def with_shard(tokens: DataFrame, folder: str) -> DataFrame:
-    """``tokens`` and their shard, read from the files of ``_shard_files``."""
-    fields = tokens.schema.fields
-
-    def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        of: dict[int, np.ndarray] = {}
-        for b in batches:
-            number = b.column(b.schema.get_field_index("_n")).to_numpy()
-            part, at = number >> ROW_BITS, number & ((1 << ROW_BITS) - 1)
-            shard = np.empty(len(b), np.int32)
-            for p in np.unique(part).tolist():
-                if p not in of:
-                    of = {p: np.frombuffer(read_whole(f"{folder}/{p}"), "<i4")}
-                shard[part == p] = of[p][at[part == p]]
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(shard)], [*[f.name for f in fields], "shard"])
-
-    return tokens.mapInArrow(look, ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in fields] + ["shard int"]))
-
-
 def pack_documents(
     df: DataFrame, text: str, key: str, path: str, window: int = WINDOW, end_id: int = END_ID, ids_too: bool = True, shard_docs: int = SHARD_DOCS
 ) -> DataFrame:
@@ -333,10 +304,7 @@ def pack_documents(
     counts = document_frequencies(tokens, path)
     idf = spark.sparkContext.broadcast(np.log1p((n_docs - counts + 0.5) / (counts + 0.5)).astype(np.float32))
     mean_length = n_ids / n_docs
-    folder = new_shared_dir(spark, "packing-shards", keep=True)
-    store, where = open_store(folder)
-    store.create_dir(where, recursive=True)
-    _shard_files(deal_by_content(tokens, path, counts, idf, mean_length, n_docs, n_ids, shard_docs), folder)
+    folder = write_positions(deal_by_content(tokens, path, counts, idf, mean_length, n_docs, n_ids, shard_docs), "packing-shards")
 
     def pack(table: pa.Table) -> pa.Table:
         table = table.sort_by([("doc_id", "ascending"), ("_n", "ascending")])
@@ -361,7 +329,7 @@ def pack_documents(
         kinds = [pa.int64()] * 7 + [pa.binary()] * ids_too
         return pa.Table.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names)
 
-    return with_shard(tokens, folder).groupBy("shard").applyInArrow(tidy(pack), schema)
+    return with_positions(tokens, "_n", folder, "shard").groupBy("shard").applyInArrow(tidy(pack), schema)
 
 
 @settled
