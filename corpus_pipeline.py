@@ -15,6 +15,7 @@ from freqsketch.llm.common import numbered, scratch, ship_package, written
 from freqsketch.llm.minhash import near_duplicate_classes
 from freqsketch.llm.mixing import mix_repetitions, word_count
 from freqsketch.llm.packing import pack_documents
+from freqsketch.llm.positions import picked, write_positions
 from freqsketch.llm.quality import quality_verdicts, with_statistics
 from freqsketch.llm.secrets import pair_key, redacted
 from freqsketch.llm.tokens import tokenizer_path
@@ -44,8 +45,8 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     with scratch(spark):
         rows = numbered(docs, "_row", "near-duplicate-rows", keep=True)
         classes = near_duplicate_classes(rows, "text", "doc_id", words=SHINGLE_WORDS, row="_row")
-        extra = written(classes.where("not first").select(F.col("row").alias("_row")), "extra-copies", keep=True)
-    return rows.join(extra, "_row", "left_anti").select(docs.columns)
+        extra = write_positions(classes.where("not first").select("row", F.lit(1).alias("extra")), "extra-copies")
+    return picked(rows, "_row", extra, -1).select(docs.columns)
 
 
 def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -69,10 +70,9 @@ def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     with scratch(spark):
         rows = numbered(docs, "_row", "mixing-rows", keep=True)
         sized = rows.select("_row", "doc_id", "source", word_count(F.col("text")).alias("size"))
-        times = mix_repetitions(written(sized, "sizes"), row="_row").select("_row", F.col("whole").alias("_times")).where("_times > 0")
-        times = written(times, "times", keep=True)
-    joined = rows.join(times, "_row")
-    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(docs.columns)
+        times = mix_repetitions(written(sized, "sizes"), row="_row").select("_row", F.col("whole").alias("_times"))
+        times = written(times.where("_times > 0"), "times", keep=True)
+    return rows.join(times, "_row").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(docs.columns)
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
