@@ -6,6 +6,8 @@ import hashlib
 from functools import lru_cache
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -117,18 +119,61 @@ def columns(items: np.ndarray, spec: SketchSpec, layout: str = "paired") -> np.n
     return hash_values(items, spec, layout) % spec.width
 
 
-def columns_udf(spec: SketchSpec, layout: str = "paired"):
-    """Arrow function BIGINT -> array of column ids, one for each sketch row."""
+@lru_cache(maxsize=32)
+def _row_pair_tables(depth: int, chars: int, seed: int, pair: int) -> list[np.ndarray]:
+    """What ``paired_tables`` hold for two neighbouring functions, each a vector of its own."""
+    return [np.ascontiguousarray(t[:, pair]) for t in paired_tables(depth, chars, seed)]
+
+
+def columns_by_row(items: np.ndarray, spec: SketchSpec, layout: str = "paired"):
+    """(row, column ids) one sketch row after the other, with the memory of two rows."""
+    if layout != "paired" or spec.hash_family == "modular" or spec.width >= 1 << 32:
+        cols = columns(items, spec, layout)
+        yield from ((r, cols[:, r]) for r in range(spec.depth))
+        return
+    x = items.astype(np.int64, copy=False)
+    parts = [((x >> (16 * k)) & 0xFFFF).astype(np.int32) for k in range(spec.chars // 2)]
+    for pair in range(-(-spec.depth // 2)):
+        tables = _row_pair_tables(spec.depth, spec.chars, spec.seed, pair)
+        h = tables[0].take(parts[0])
+        for t, k in zip(tables[1:], parts[1:]):
+            h ^= t.take(k)
+        two = h.view(np.uint32).reshape(-1, 2)
+        w = np.uint32(spec.width)
+        for r in range(2 * pair, min(2 * pair + 2, spec.depth)):
+            one = np.ascontiguousarray(two[:, r % 2])
+            yield r, (one - (one // w) * w).astype(np.int64)
+
+
+def _lists(values: np.ndarray, kind) -> pa.Array:
+    """Rows of an array as Arrow lists."""
+    n, d = values.shape
+    flat = pa.array(np.ascontiguousarray(values).ravel().astype(kind))
+    return pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * d), flat)
+
 
-    @F.pandas_udf("array<int>")
-    def cols(item):
-        import pandas as pd
+def columns_udf(spec: SketchSpec, layout: str = "paired"):
+    """Arrow function BIGINT -> array of column ids, one for each sketch row; null for null."""
 
-        return pd.Series(list(columns(item.to_numpy(), spec, layout).astype(np.int32)))
+    @F.arrow_udf("array<int>")
+    def cols(item: pa.Array) -> pa.Array:
+        filled = item.fill_null(0)
+        out = _lists(columns(filled.to_numpy(zero_copy_only=False), spec, layout), np.int32)
+        return pc.if_else(item.is_null(), None, out) if item.null_count else out
 
     return cols
 
 
+def hashes_udf(spec: SketchSpec):
+    """Arrow function BIGINT -> array of 32-bit hash values, one for each sketch row."""
+
+    @F.arrow_udf("array<bigint>")
+    def values(item: pa.Array) -> pa.Array:
+        return _lists(hash_values(item.fill_null(0).to_numpy(zero_copy_only=False), spec), np.int64)
+
+    return values
+
+
 def with_cells(df: DataFrame, item: str, spec: SketchSpec) -> DataFrame:
     """One row for each row and sketch row: the input's columns, sketch_row, sketch_col."""
     return df.select("*", F.posexplode(columns_udf(spec)(F.col(item))).alias("sketch_row", "sketch_col"))

@@ -2,18 +2,20 @@
 
 from __future__ import annotations
 
+import json
 import struct
+from dataclasses import asdict
 from functools import reduce
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from freqsketch.operators.build import summed
-from freqsketch.spec import SketchSpec
+from freqsketch.spec import VERSION, SketchSpec
 
-_HEAD = struct.Struct("<4sIIqI")
-_MAGIC = b"FQS1"
+_HEAD = struct.Struct("<4sI")
+_MAGIC = b"FQS2"
 
 
 def merge(*sketches: tuple[DataFrame, SketchSpec]) -> DataFrame:
@@ -49,16 +51,37 @@ def row_totals(cells: DataFrame) -> DataFrame:
     return cells.groupBy("sketch_row").agg(F.sum("cnt").alias("total"))
 
 
-def pack(dense: np.ndarray, spec: SketchSpec) -> bytes:
-    return _HEAD.pack(_MAGIC, spec.depth, spec.width, spec.seed, spec.item_bits) + dense.astype("<i8").tobytes()
+def pack(dense: np.ndarray, spec: SketchSpec, total: int | None = None) -> bytes:
+    """A sketch as bytes: all of its spec, the stream's length, the counters."""
+    fields = asdict(spec) | {"total": int(dense[0].sum()) if total is None else total}
+    head = json.dumps(fields, sort_keys=True).encode()
+    return _HEAD.pack(_MAGIC, len(head)) + head + dense.astype("<i8").tobytes()
 
 
 def unpack(raw: bytes) -> tuple[np.ndarray, SketchSpec]:
-    magic, depth, width, seed, bits = _HEAD.unpack_from(raw)
+    magic, size = _HEAD.unpack_from(raw)
     if magic != _MAGIC:
         raise ValueError("not a packed sketch")
-    dense = np.frombuffer(raw, "<i8", depth * width, _HEAD.size).reshape(depth, width)
-    return dense, SketchSpec(depth, width, seed, bits)
+    fields = json.loads(raw[_HEAD.size : _HEAD.size + size])
+    if fields.pop("version") != VERSION:
+        raise ValueError("a packed sketch of another version")
+    fields.pop("total")
+    spec = SketchSpec(**fields)
+    dense = np.frombuffer(raw, "<i8", spec.depth * spec.width, _HEAD.size + size).reshape(spec.depth, spec.width)
+    return dense, spec
+
+
+def packed_total(raw: bytes) -> int:
+    """Length of the stream that a packed sketch has seen."""
+    return json.loads(raw[_HEAD.size : _HEAD.size + _HEAD.unpack_from(raw)[1]])["total"]
+
+
+def identity(spark: SparkSession, spec: SketchSpec, total: int | None = None) -> DataFrame:
+    """One row that says which sketch this is, to be stored beside its cells."""
+    kinds = "depth int, width int, seed bigint, item_bits int, hash_family string, eps double, delta double, fingerprint string, layout string, version int, total bigint"
+    fields = asdict(spec) | {"total": total}
+    names = [f.split()[0] for f in kinds.split(", ")]
+    return spark.createDataFrame([tuple(fields[n] for n in names)], kinds)
 
 
 def write_cells(cells: DataFrame, path: str) -> None:

@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from freqsketch.functions.hashing import columns, with_cells
+from freqsketch.functions.hashing import columns, columns_by_row, with_cells
 from freqsketch.spec import BATCH, SketchSpec
 
 CELLS = "sketch_row int, sketch_col int, cnt long"
@@ -112,30 +112,116 @@ def build_relational(items: DataFrame, spec: SketchSpec) -> DataFrame:
     return summed(cells.select("sketch_row", "sketch_col", _weight(items).alias("cnt")))
 
 
-def build_row_owned(items: DataFrame, spec: SketchSpec, batch: int = BATCH, segments: int = 1, layout: str = "paired") -> DataFrame:
-    """Two phases: tasks hash batches into a buffer and combine it; then each sketch row, or
-    each of ``segments`` column ranges of it, has one owner that alone updates it.
+def _buffered(items: DataFrame, spec: SketchSpec, buffer: int, segments: int, layout: str, cut: tuple[int, int] | None = None) -> DataFrame:
+    """First phase: tasks gather ``buffer`` items, hash them one sketch row after the other and
+    combine a row's column ids: (owner, at, cnt), packed, one record for an owner and a buffer.
+
+    A task holds its buffer and one row of ids, never a table. An owner is a column range of a
+    sketch row. With ``cut`` (fast, slow) it is a worker of a pair instead: the pair owns two
+    rows; the first stage goes up to the cut, fast / (fast + slow) of the buffer on an even row and
+    the rest of that on an odd one, then the workers exchange rows."""
+    part = -(-spec.width // segments)
+
+    def combined(cols: np.ndarray, weight: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
+        if spec.width <= 4 * len(cols):
+            dense = np.bincount(cols, minlength=spec.width) if weight is None else np.zeros(spec.width, np.int64)
+            if weight is not None:
+                np.add.at(dense, cols, weight)
+            at = np.flatnonzero(dense)
+            return at, dense[at]
+        at, back, n = np.unique(cols, return_inverse=True, return_counts=True)
+        if weight is not None:
+            n = np.zeros(len(at), np.int64)
+            np.add.at(n, back, weight)
+        return at, n
+
+    def stretches(row: int, n: int) -> list[tuple[int, int, int]]:
+        """(worker, from, to) of a row's updates."""
+        if cut is None:
+            return [(row, 0, n)]
+        fast, slow = cut
+        even, lone = row % 2 == 0, row % 2 == 0 and row == spec.depth - 1
+        mid = n * (fast if even else slow) // (fast + slow)
+        first = row - row % 2 + (0 if even else 1)
+        second = first if lone else row - row % 2 + (1 if even else 0)
+        return [(first, 0, mid), (second, mid, n)]
+
+    def phase(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        size = 0
+
+        def flush(x: np.ndarray, weight: np.ndarray | None) -> pa.RecordBatch:
+            rows = []
+            for r, cols in columns_by_row(x, spec, layout):
+                for worker, lo, hi in stretches(r, len(x)):
+                    if lo == hi:
+                        continue
+                    at, n = combined(cols[lo:hi], None if weight is None else weight[lo:hi])
+                    edges = np.searchsorted(at, np.arange(segments + 1) * part)
+                    for k in np.flatnonzero(np.diff(edges)).tolist():
+                        one = slice(edges[k], edges[k + 1])
+                        rows.append((worker * segments + k, r, at[one].astype("<i4").tobytes(), n[one].astype("<i8").tobytes()))
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), _PACKED.types)], schema=_PACKED)
+
+        def join(k: int) -> np.ndarray:
+            return np.concatenate([b.column(k).to_numpy() for b in held])
+
+        for b in batches:
+            while len(b):
+                take = min(len(b), buffer - size)
+                held.append(b.slice(0, take))
+                size, b = size + take, b.slice(take)
+                if size == buffer:
+                    yield flush(join(0), join(1) if held[0].num_columns > 1 else None)
+                    held, size = [], 0
+        if size:
+            yield flush(join(0), join(1) if held[0].num_columns > 1 else None)
+
+    return items.mapInArrow(phase, "owner int, sketch_row int, at binary, cnt binary")
+
 
-    The shuffle between the phases stands for the barrier; no counter is ever shared. Owners
-    are depth * segments, so segments let more than depth tasks work."""
+_PACKED = pa.schema([("owner", pa.int32()), ("sketch_row", pa.int32()), ("at", pa.binary()), ("cnt", pa.binary())])
+
+
+def _owned(parts: DataFrame, spec: SketchSpec, owners: int, segments: int) -> DataFrame:
+    """Second phase: every owner is a task that alone updates the counters that are its own: a
+    column range of a row, or of a pair's two rows. It holds these counters and nothing else."""
     part = -(-spec.width // segments)
-    combined = partial_tables(items, spec, layout, batch).withColumn("segment", F.floor(F.col("sketch_col") / part).cast("int"))
 
-    def own(table: pa.Table) -> pa.Table:
-        row, seg = table.column("sketch_row")[0].as_py(), table.column("segment")[0].as_py()
-        local = np.zeros(part, np.int64)
-        np.add.at(local, table.column("sketch_col").to_numpy() - seg * part, table.column("cnt").to_numpy())
-        at = np.flatnonzero(local)
-        return pa.table(
-            {"sketch_row": pa.array(np.full(len(at), row, np.int32)), "sketch_col": pa.array((at + seg * part).astype(np.int32)), "cnt": pa.array(local[at])}
-        )
+    def update(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own: dict[tuple[int, int], np.ndarray] = {}
+        for b in batches:
+            for owner, row, at, n in zip(*(c.to_pylist() for c in b.columns)):
+                base = owner % segments * part
+                if (row, base) not in own:
+                    own[row, base] = np.zeros(min(part, spec.width - base), np.int64)
+                # a record's places are distinct
+                own[row, base][np.frombuffer(at, "<i4") - base] += np.frombuffer(n, "<i8")
+        for (row, base), counters in own.items():
+            at = np.flatnonzero(counters)
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(np.full(len(at), row, np.int32)), pa.array((at + base).astype(np.int32)), pa.array(counters[at])], ["sketch_row", "sketch_col", "cnt"]
+            )
+
+    return parts.repartitionById(owners, F.col("owner")).mapInArrow(update, CELLS)
+
 
-    # an owner receives at most one row per task and counter: combined before the exchange
-    return summed_owned(combined).groupBy("sketch_row", "segment").applyInArrow(own, CELLS)
+def buffer_items(spec: SketchSpec) -> int:
+    """Items that a task gathers: so many that a row's counters are met several times, and 32 MB
+    of them at most."""
+    return min(1 << 22, max(1 << 16, 16 * spec.width))
 
 
-def summed_owned(combined: DataFrame) -> DataFrame:
-    return combined.groupBy("sketch_row", "segment", "sketch_col").agg(F.sum("cnt").alias("cnt"))
+def build_row_owned(items: DataFrame, spec: SketchSpec, batch: int | None = None, segments: int = 1, layout: str = "paired") -> DataFrame:
+    """Two phases: tasks hash batches into a buffer and combine it; then each sketch row, or
+    each of ``segments`` column ranges of it, has one owner that alone updates it.
+
+    The one shuffle between the phases stands for the barrier; no counter is ever shared, and there
+    is one table in all: a task of the first phase holds ``batch`` items, an owner its range.
+    Owners are depth * segments, so segments let more than depth tasks work."""
+    parts = _buffered(items, spec, batch or buffer_items(spec), segments, layout)
+    cells = _owned(parts, spec, spec.depth * segments, segments)
+    return cells.where("cnt <> 0")
 
 
 def build_barrier(items: DataFrame, spec: SketchSpec, workers: int, batch: int = BATCH) -> DataFrame:
@@ -192,16 +278,20 @@ def build_two_stage(df: DataFrame, pos: str, item: str, spec: SketchSpec, fast:
     return summed(staged)
 
 
-def build_balanced(items: DataFrame, spec: SketchSpec, shares: list[float], layout: str = "paired") -> DataFrame:
-    """Tasks of unequal size: worker k of a class gets its share of the stream, as a controller
-    has measured it. A hash of the item's place deals rows into slots in proportion."""
-    edges = np.cumsum(np.asarray(shares, float) / sum(shares))
-    u = (F.xxhash64(F.monotonically_increasing_id(), "item").bitwiseAND((1 << 30) - 1)) / float(1 << 30)
-    slot: Column = F.lit(len(shares) - 1)
-    for k in range(len(shares) - 2, -1, -1):
-        slot = F.when(u < float(edges[k]), k).otherwise(slot)
-    dealt = items.withColumn("_slot", slot).repartition(len(shares), "_slot").drop("_slot")
-    return summed(partial_tables(dealt, spec, layout))
+#: Fixed value: the best split of a batch of updates between a fast and a slow worker.
+UPDATE_SPLIT = (1.8, 1.0)
+
+
+def build_balanced(
+    items: DataFrame, spec: SketchSpec, split: tuple[float, float] = UPDATE_SPLIT, batch: int | None = None, segments: int = 1, layout: str = "paired"
+) -> DataFrame:
+    """The row-owned construction for unequal workers: buffers are hashed in chunks that go to
+    whichever worker is free, and pairs of a fast and a slow worker own two rows each, which they
+    exchange half-way. ``split`` (fast, slow) is what a controller has measured for the updates;
+    ``streaming.balance`` measures it. A pair's partial rows are added at the end."""
+    cut = (round(1000 * split[0]), round(1000 * split[1]))
+    workers = spec.depth + spec.depth % 2
+    return summed(_owned(_buffered(items, spec, batch or buffer_items(spec), segments, layout, cut), spec, workers * segments, segments))
 
 
 def build_combined(items: DataFrame, spec: SketchSpec) -> DataFrame:
@@ -219,7 +309,7 @@ def build(df: DataFrame, item: str, spec: SketchSpec, strategy: str = "partials"
         "shared_atomic": build_relational,
         "row_owned": build_row_owned,
         "combine_items": build_combined,
-        "row_owned_balanced": lambda i, s, **o: build_balanced(i, s, o.pop("shares", [1.8] * 4 + [1.0] * 4), **o),
+        "row_owned_balanced": build_balanced,
     }[strategy]
     return make(items, spec, **options)
 

@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from freqsketch.functions.hashing import columns_udf, with_cells
+from freqsketch.functions.hashing import columns_udf, hashes_udf, with_cells
 from freqsketch.spec import SketchSpec
 
 #: Cells below this number are sent to every task; more are joined by shuffle. 4 million cells
@@ -32,20 +34,28 @@ def estimate(cells: DataFrame, items: DataFrame, item: str, spec: SketchSpec) ->
 
 
 def dense_rows(cells: DataFrame, spec: SketchSpec) -> DataFrame:
-    """(sketch_row, counters): one array of ``width`` counters for each row."""
-    maps = cells.groupBy("sketch_row").agg(F.map_from_entries(F.collect_list(F.struct("sketch_col", "cnt"))).alias("_m"))
-    return maps.select(
-        "sketch_row",
-        F.transform(F.sequence(F.lit(0), F.lit(spec.width - 1)), lambda c: F.coalesce(F.element_at("_m", c), F.lit(0).cast("long"))).alias("counters"),
-    )
+    """(sketch_row, counters): one array of ``width`` counters for each row, filled in one pass."""
+
+    def fill(table: pa.Table) -> pa.Table:
+        dense = np.zeros(spec.width, np.int64)
+        dense[table.column("sketch_col").to_numpy()] = table.column("cnt").to_numpy()
+        return pa.table({"sketch_row": pa.array([table.column("sketch_row")[0].as_py()], pa.int32()), "counters": pa.array([dense], pa.list_(pa.int64()))})
+
+    return cells.select("sketch_row", "sketch_col", "cnt").groupBy("sketch_row").applyInArrow(fill, "sketch_row int, counters array<bigint>")
 
 
 def estimate_dense(rows: DataFrame, items: DataFrame, item: str, spec: SketchSpec) -> DataFrame:
-    """Estimates from dense rows: ``depth`` records, gathered in one array; no shuffle of items."""
+    """Estimates from dense rows: ``depth`` records, gathered in one array; no shuffle of items.
+    A sketch of more than BROADCAST_CELLS cells is joined as cells instead."""
+    if spec.depth * spec.width > BROADCAST_CELLS:
+        cells = rows.select("sketch_row", F.posexplode("counters").alias("sketch_col", "cnt"))
+        return estimate(cells, items, item, spec)
     table = rows.groupBy(F.lit(1).alias("_one")).agg(F.array_sort(F.collect_list(F.struct("sketch_row", "counters"))).alias("_t"))
     asked = items.select(item, columns_udf(spec)(F.col(item)).alias("_c"), F.lit(1).alias("_one"))
-    picked = F.zip_with(F.col("_t"), F.col("_c"), lambda t, c: F.get(t["counters"], c))
-    return asked.join(F.broadcast(table), "_one").select(item, F.array_min(picked).alias("estimate"))
+    # a row that was never touched has no record: its counters are 0
+    picked = F.transform(F.sequence(F.lit(0), F.lit(spec.depth - 1)), lambda r: F.coalesce(
+        F.get(F.get(F.filter("_t", lambda t: t["sketch_row"] == r), F.lit(0))["counters"], F.get("_c", r)), F.lit(0)))
+    return asked.join(F.broadcast(table), "_one").select(item, F.array_min(picked).cast("long").alias("estimate"))
 
 
 def with_exact(estimates: DataFrame, counts: DataFrame, item: str) -> DataFrame:
@@ -75,16 +85,7 @@ def inner_product(a: DataFrame, b: DataFrame, spec: SketchSpec) -> DataFrame:
 
 def signed_cells(df: DataFrame, item: str, spec: SketchSpec) -> DataFrame:
     """(item, sketch_row, sketch_col, sign): the sign is the top bit of the hash value."""
-    import numpy as np
-    import pandas as pd
-
-    from freqsketch.functions.hashing import hash_values
-
-    @F.pandas_udf("array<long>")
-    def values(x):
-        return pd.Series(list(hash_values(x.to_numpy(), spec).astype(np.int64)))
-
-    h = df.select(item, F.posexplode(values(F.col(item))).alias("sketch_row", "_h"))
+    h = df.select(item, F.posexplode(hashes_udf(spec)(F.col(item))).alias("sketch_row", "_h"))
     sign = 1 - 2 * F.shiftright("_h", 31).bitwiseAND(F.lit(1))
     return h.select(item, "sketch_row", (F.col("_h") % spec.width).cast("int").alias("sketch_col"), sign.alias("sign"))
 

@@ -28,6 +28,14 @@ def hashed_cte(items: str, spec: SketchSpec, name: str = "hashed", tab: str = "t
   FROM (SELECT DISTINCT item FROM {items} WHERE item IS NOT NULL) i {joins})"""
 
 
+def xor_sql(items: str, spec: SketchSpec) -> str:
+    """(item, sketch_row, sketch_col) with one narrow row for a byte of an item, XORed by aggregation:
+    for wide items, where a join for each byte would be too many."""
+    return f"""WITH {table_cte(spec)}, bytes AS (SELECT item, c.range AS char_pos, (item >> (8 * c.range)) & 255 AS char_val FROM ({items}) i, range({spec.chars}) c)
+  SELECT item, hash_id::INTEGER AS sketch_row, (bit_xor(rnd) % {spec.width})::INTEGER AS sketch_col
+  FROM bytes JOIN tab USING (char_pos, char_val) GROUP BY item, hash_id"""
+
+
 def counts_cte(stream: str, name: str = "counts") -> str:
     return f"{name} AS (SELECT item, count(*)::BIGINT AS cnt FROM {stream} WHERE item IS NOT NULL GROUP BY item)"
 

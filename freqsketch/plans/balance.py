@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 import heapq
 from dataclasses import dataclass, field
 
@@ -69,11 +70,15 @@ class PhaseControllers:
     """Hashing and counter updates differ in their best split, so each has a controller."""
 
     batch: int
+    warmup: int = 30
     hashing: SplitController = field(init=False)
     updating: SplitController = field(init=False)
 
     def __post_init__(self):
-        self.hashing, self.updating = SplitController(self.batch), SplitController(self.batch)
+        self.hashing, self.updating = SplitController(self.batch, self.warmup), SplitController(self.batch, self.warmup)
+
+    def of(self, phase: str) -> SplitController:
+        return {"hash": self.hashing, "update": self.updating}[phase]
 
 
 def static_plan(spark: SparkSession, n: int, batch: int, depth: int, workers: int) -> DataFrame:
@@ -145,22 +150,29 @@ POOLS = {
 }
 
 
-def jitter(text: Column) -> Column:
+def jitter(text: str) -> float:
     """A fixed disturbance in [-5 %, 5 %) from the digits of a text."""
-    return (F.conv(F.substring(F.md5(text), 1, 8), 16, 10).cast("double") / float(2**32) - 0.5) * 0.1
-
-
-def rebalance_trace(spark: SparkSession, batches: int = 256, batch: int = 1024, seed: int = 42) -> DataFrame:
-    """(phase, sketch, batch_id, fast, slow, f2s) under declared speeds with fixed noise.
-
-    As the measured speed of a batch does not depend on its split, the split that the controller
-    reaches follows from the batch before alone; no recursion is needed."""
-    rows = None
-    for phase, ratio in BEST_SPLIT.items():
-        for sketch in ("small", "medium"):
-            at = lambda who: F.concat_ws(":", F.lit(f"{seed}:{phase}:{sketch}"), F.col("id") - 1, F.lit(who))
-            v_fast, v_slow = ratio * (1 + jitter(at("fast"))), 1.0 * (1 + jitter(at("slow")))
-            fast = F.when(F.col("id") == 0, batch / 2).otherwise(F.greatest(batch * v_fast / (v_fast + v_slow), F.lit(batch / 2)))
-            one = spark.range(batches).select(F.lit(phase).alias("phase"), F.lit(sketch).alias("sketch"), F.col("id").alias("batch_id"), fast.alias("fast"))
-            rows = one if rows is None else rows.unionByName(one)
-    return rows.withColumn("slow", F.lit(float(batch)) - F.col("fast")).withColumn("f2s", F.col("fast") / F.col("slow"))
+    return (int(hashlib.md5(text.encode()).hexdigest()[:8], 16) / 2**32 - 0.5) * 0.1
+
+
+def closed_loop(batches: int = 256, batch: int = 1024, seed: int = 42, warmup: int | None = None) -> list[tuple]:
+    """(phase, sketch, batch_id, fast, slow, mean) of controllers that see, batch after batch, the times
+    that their present shares take at declared speeds with a fixed disturbance. Without
+    ``warmup`` they never freeze. ``mean``: of the fast shares seen so far, held once frozen."""
+    rows = []
+    for sketch in ("small", "medium"):
+        control = PhaseControllers(batch, batches if warmup is None else warmup)
+        for phase, ratio in BEST_SPLIT.items():
+            c = control.of(phase)
+            for k in range(batches):
+                rows.append((phase, sketch, k, c.fast, c.slow, sum(c.seen) / len(c.seen) if c.seen else None))
+                speed = {who: v * (1 + jitter(f"{seed}:{phase}:{sketch}:{k}:{who}")) for who, v in (("fast", ratio), ("slow", 1.0))}
+                c.observe(c.fast / speed["fast"], c.slow / speed["slow"])
+    return rows
+
+
+def rebalance_trace(spark: SparkSession, batches: int = 256, batch: int = 1024, seed: int = 42, warmup: int | None = None) -> DataFrame:
+    """(phase, sketch, batch_id, fast, slow, mean, f2s) of ``closed_loop``."""
+    rows = closed_loop(batches, batch, seed, warmup)
+    t = spark.createDataFrame(rows, "phase string, sketch string, batch_id long, fast double, slow double, mean double")
+    return t.withColumn("f2s", F.col("fast") / F.col("slow"))

@@ -34,16 +34,18 @@ def choose(df: DataFrame, item: str, spec: SketchSpec, sample_rows: int = 100_00
     tasks = items.rdd.getNumPartitions()
     bytes_ = spec.depth * spec.width * 8
     exchange = tasks * spec.depth * spec.width * 16
+    if bytes_ > task_budget:
+        return BuildPlan("row_owned", "the table is too large for a task", tasks, bytes_, exchange, share)
     if seen["n"] == sample_rows and share < 0.05 or seen["d"] * 4 < spec.width:
         return BuildPlan("combine_items", "few distinct items", tasks, bytes_, exchange, share)
-    if bytes_ <= task_budget:
-        return BuildPlan("partials", "a task holds the whole table", tasks, bytes_, exchange, share)
-    return BuildPlan("row_owned", "the table is too large for a task", tasks, bytes_, exchange, share)
+    return BuildPlan("partials", "a task holds the whole table", tasks, bytes_, exchange, share)
 
 
-def build_planned(df: DataFrame, item: str, spec: SketchSpec) -> tuple[DataFrame, BuildPlan]:
-    plan = choose(df, item, spec)
-    more = {"segments": max(1, plan.table_bytes // spec.depth // (256 << 10))} if plan.strategy == "row_owned" else {}
+def build_planned(df: DataFrame, item: str, spec: SketchSpec, task_budget: int = 256 << 20) -> tuple[DataFrame, BuildPlan]:
+    """The sketch by the strategy that ``choose`` names. Beyond the budget, segments keep an owner's
+    counters within a quarter of it."""
+    plan = choose(df, item, spec, task_budget=task_budget)
+    more = {"segments": -(-4 * plan.table_bytes // (spec.depth * task_budget))} if plan.strategy == "row_owned" else {}
     return build(df, item, spec, plan.strategy, **more), plan
 
 

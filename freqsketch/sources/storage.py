@@ -31,14 +31,41 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def scratch(spark: SparkSession, tag: str) -> str:
-    """A new folder that all executors share: under the session's checkpoint folder, if it has
-    one, else a temporary one (tests)."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
+    """A new folder that all executors share, under the session's checkpoint folder. Without one a
+    temporary folder is used if all of Spark is on this machine; on a cluster that is an error."""
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        set_ = spark.sparkContext._jsc.sc().getCheckpointDir()
+        if not set_.isEmpty():
+            root = set_.get()
+        elif spark.sparkContext.master.startswith("local"):
+            root = tempfile.gettempdir()
+        else:
+            raise RuntimeError("name a folder that driver and executors share in spark.checkpoint.dir")
     if "://" not in root and not root.startswith("file:"):
         root = "file://" + os.path.abspath(root)
     return f"{root.rstrip('/')}/{tag}-{uuid.uuid4().hex}"
 
 
+def stored(df: DataFrame, tag: str) -> DataFrame:
+    """A table that is written once and then read wherever it is used."""
+    path = scratch(df.sparkSession, tag)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def csv_copy(df: DataFrame, tag: str = "csv") -> DataFrame:
+    """The rows of a flat table through CSV files, read with the table's schema."""
+    path = scratch(df.sparkSession, tag)
+    df.write.option("header", True).csv(path)
+    return df.sparkSession.read.schema(df.schema).option("header", True).csv(path)
+
+
+def rate_stream(spark: SparkSession, rows: int) -> DataFrame:
+    """A stream of (timestamp, value) with the values 0, 1, 2, ..., ``rows`` of them a micro-batch."""
+    return spark.readStream.format("rate-micro-batch").option("rowsPerBatch", rows).load()
+
+
 def stream(spark: SparkSession, sf_dir: str, name: str, max_files: int = 1) -> DataFrame:
     """A file stream over a table, with the schema of its batch form."""
     schema = table(spark, sf_dir, name).schema

@@ -12,6 +12,8 @@ PRESET_EPS = {"small": 1e-3, "medium": 1e-4, "large": 1e-5}
 DELTA = 0.003
 #: Fixed value: batch size of the buffered construction.
 BATCH = 1024
+#: Version of the hash functions and of the packed form.
+VERSION = 2
 
 DEPTH_RULES = ("ln", "log2", "inverse", "fixed")
 WIDTH_RULES = ("e_over_eps", "prime_2_over_eps", "fixed")
@@ -50,7 +52,8 @@ def width_for(eps: float, rule: str = "e_over_eps", fixed: int | None = None) ->
 
 @dataclass(frozen=True)
 class SketchSpec:
-    """What two sketches must share to be added: sizes, seed and hash family."""
+    """What two sketches must share to be added: sizes, seed, hash family, how keys become items,
+    the layout of the hash tables and the version of all this. Error targets are for the record."""
 
     depth: int = PRESET_DEPTH
     width: int = 2003
@@ -59,6 +62,9 @@ class SketchSpec:
     hash_family: str = "tabulation"
     eps: float | None = None
     delta: float | None = None
+    fingerprint: str = "md5"
+    layout: str = "paired"
+    version: int = VERSION
 
     def __post_init__(self):
         if self.depth < 1 or self.width < 1 or self.item_bits not in (32, 64):
@@ -81,6 +87,6 @@ class SketchSpec:
         return (1 / ((eps or self.eps) * self.width)) ** self.depth
 
     def require_same(self, other: SketchSpec) -> None:
-        drop = {"eps": None, "delta": None}
+        drop = {"eps": None, "delta": None, "layout": "paired"}  # layouts hash alike
         if asdict(replace(self, **drop)) != asdict(replace(other, **drop)):
             raise IncompatibleSketch(f"{self} and {other}")

@@ -4,18 +4,20 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
 from freqsketch.functions.hashing import columns, columns_udf
 from freqsketch.operators.algebra import pack, unpack
+from freqsketch.operators.build import build_by_group
 from freqsketch.spec import SketchSpec
 
 
 def sketch_aggregate(spec: SketchSpec):
-    """Grouped aggregate BIGINT -> packed sketch. A group is gathered by its task: count items
-    first (``sketch_per_group``) where groups are large."""
+    """Grouped aggregate BIGINT -> packed sketch, for small groups: a group is gathered by its task.
+    ``sketch_per_group`` takes groups of any size."""
 
     @F.pandas_udf("binary")
     def sketch_agg(item: pd.Series, weight: pd.Series) -> bytes:
@@ -28,6 +30,20 @@ def sketch_aggregate(spec: SketchSpec):
     return sketch_agg
 
 
+def sketch_per_group(df: DataFrame, keys: list[str], item: str, spec: SketchSpec, weight: Column | None = None) -> DataFrame:
+    """(keys, sketch): a packed sketch for each group of any size. Cells are added before they are
+    gathered, so a task sees depth * width of them for a group at most, whatever the group's rows."""
+    cells = build_by_group(df, keys, item, spec, weight)
+    kinds = dict(cells.dtypes)
+
+    def fold(table: pa.Table) -> pa.Table:
+        dense = np.zeros((spec.depth, spec.width), np.int64)
+        dense[table.column("sketch_row").to_numpy(), table.column("sketch_col").to_numpy()] = table.column("cnt").to_numpy()
+        return pa.table({k: table.column(k).slice(0, 1) for k in keys} | {"sketch": pa.array([pack(dense, spec)], pa.binary())})
+
+    return cells.groupBy(*keys).applyInArrow(fold, ", ".join(f"`{k}` {kinds[k]}" for k in keys) + ", sketch binary")
+
+
 @udtf(returnType="sketch_row: int, sketch_col: int, cnt: bigint")
 class CellsOf:
     """Cells of a packed sketch."""

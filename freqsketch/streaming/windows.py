@@ -34,12 +34,47 @@ def window_cells(df: DataFrame, ts: str, item: str, spec: SketchSpec, size: str,
 def session_cells(df: DataFrame, ts: str, item: str, key: str, spec: SketchSpec, gap: str) -> DataFrame:
     """(key, win_start, sketch_row, sketch_col, cnt): one sketch for each session of a key.
 
-    Sessions form on events, before items are hashed: a session's first cell need not be the
-    session's first event."""
+    Sessions' bounds are aggregated first, without their items; an item then finds its session
+    among those of its key and hour. No task gathers a session, however long it is."""
     d = event_time(df, ts).where(F.col(item).isNotNull())
-    s = d.groupBy(F.session_window(ts, gap).alias("_w"), key).agg(F.collect_list(F.col(item).cast("long")).alias("_items"))
-    each = s.select(key, F.col("_w.start").cast("timestamp_ntz").alias("win_start"), F.explode("_items").alias("_item"))
-    return with_cells(each, "_item", spec).groupBy(key, "win_start", "sketch_row", "sketch_col").agg(F.count("*").alias("cnt"))
+    s = d.groupBy(F.session_window(ts, gap).alias("_w"), key).agg(F.count("*").alias("_n"))
+    hour = lambda c: F.floor(F.unix_timestamp(c) / 3600)
+    bounds = s.select(F.col(key).alias("_key"), F.col("_w.start").alias("_from"), F.col("_w.end").alias("_to"))
+    bounds = bounds.withColumn("_hour", F.explode(F.sequence(hour("_from"), hour("_to"))))
+    each = d.select(key, F.col(ts).alias("_ts"), F.col(item).cast("long").alias("_item"), hour(F.col(ts)).alias("_h"))
+    inside = F.col(key).eqNullSafe(F.col("_key")) & (F.col("_h") == F.col("_hour")) & (F.col("_ts") >= F.col("_from")) & (F.col("_ts") < F.col("_to"))
+    met = each.join(bounds, inside).select(key, F.col("_from").cast("timestamp_ntz").alias("win_start"), "_item")
+    return with_cells(met, "_item", spec).groupBy(key, "win_start", "sketch_row", "sketch_col").agg(F.count("*").alias("cnt"))
+
+
+def deduplicated(stream: DataFrame, ts: str, keys: list[str], delay: str) -> DataFrame:
+    """Rows whose keys have not been seen within the watermark's delay; state is bounded by it."""
+    return event_time(stream, ts).withWatermark(ts, delay).dropDuplicatesWithinWatermark(keys)
+
+
+def merge_into_table(stream: DataFrame, item: str, spec: SketchSpec, tag: str) -> DataFrame:
+    """A stored sketch that every micro-batch is added to. Each batch writes a new version of the
+    table, made of the one before and its own cells, so a batch that is run again replaces
+    its own version and counts once; readers see whole versions."""
+    from freqsketch.operators.build import build, summed
+
+    spark = stream.sparkSession
+    out = scratch(spark, tag)
+    done: list[int] = []
+
+    def merge(batch: DataFrame, number: int) -> None:
+        cells = build(batch, item, spec)
+        old = [n for n in done if n < number]
+        if old:
+            cells = summed(cells.unionByName(spark.read.parquet(f"{out}/version={old[-1]}")))
+        cells.write.mode("overwrite").parquet(f"{out}/version={number}")
+        done.append(number)
+
+    q = stream.writeStream.option("checkpointLocation", f"{out}-state").trigger(availableNow=True).foreachBatch(merge).start()
+    q.awaitTermination()
+    if not done:
+        return spark.createDataFrame([], "sketch_row int, sketch_col int, cnt long")
+    return spark.read.parquet(f"{out}/version={done[-1]}")
 
 
 def drain(stream: DataFrame, tag: str, mode: str = "complete") -> DataFrame:

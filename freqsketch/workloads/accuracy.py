@@ -10,7 +10,9 @@ from freqsketch.functions.keys import fingerprint
 from freqsketch.operators import query as Q
 from freqsketch.operators.build import build
 from freqsketch.operators.measures import accuracy, union_all
+from freqsketch.operators.ranks import tiles
 from freqsketch.oracles import WORDS_SQL, estimates_cte, hashed_cte, sketch_ctes, table_cte, word_key
+from freqsketch.sources.storage import stored
 from freqsketch.spec import SketchSpec
 from freqsketch.workloads.common import PARTS_SQL, SPEC, STRESS, catalogue, parts, word_counts
 
@@ -79,7 +81,7 @@ def error_quantiles(spark: SparkSession, sf: str) -> DataFrame:
     f"WITH {_PTS}, d AS (SELECT *, ntile(10) OVER (ORDER BY exact, item)::INTEGER AS decile FROM pts) SELECT decile, count(*)::BIGINT AS items, min(exact)::BIGINT AS least, round(avg(estimate - exact), 6) AS mean_excess FROM d GROUP BY decile",
 )
 def error_deciles(spark: SparkSession, sf: str) -> DataFrame:
-    d = _points(spark, sf).withColumn("decile", F.ntile(10).over(W.orderBy("exact", "item")))
+    d = tiles(_points(spark, sf), ["exact", "item"], 10, "decile")
     return d.groupBy("decile").agg(F.count("*").alias("items"), F.min("exact").alias("least"), F.round(F.avg(F.col("estimate") - F.col("exact")), 6).alias("mean_excess"))
 
 
@@ -91,7 +93,7 @@ _WORD_PTS = f"""w AS ({WORDS_SQL}), counts AS (SELECT {word_key()} AS item, sum(
 
 def word_points(spark: SparkSession, sf: str) -> DataFrame:
     """(word, estimate, exact): keys are fingerprints, so equal fingerprints add to the error."""
-    w = word_counts(spark, sf).withColumn("item", fingerprint(F.col("word")))
+    w = stored(word_counts(spark, sf).withColumn("item", fingerprint(F.col("word"))), "words")
     cells = build(w, "item", SPEC, weight=F.col("cnt"))
     est = Q.estimate(cells, w.select("item").distinct(), "item", SPEC)
     return w.join(est, "item").select("word", "estimate", F.col("cnt").alias("exact"))
@@ -102,7 +104,7 @@ def word_points(spark: SparkSession, sf: str) -> DataFrame:
     f"WITH {_WORD_PTS}, d AS (SELECT *, ntile(10) OVER (ORDER BY exact, word)::INTEGER AS decile FROM pts) SELECT decile, count(*)::BIGINT AS words, max(exact)::BIGINT AS most, round(avg(estimate / exact), 6) AS mean_ratio FROM d GROUP BY decile",
 )
 def relative_error_by_decile(spark: SparkSession, sf: str) -> DataFrame:
-    d = word_points(spark, sf).withColumn("decile", F.ntile(10).over(W.orderBy("exact", "word")))
+    d = tiles(word_points(spark, sf), ["exact", "word"], 10, "decile")
     return d.groupBy("decile").agg(F.count("*").alias("words"), F.max("exact").alias("most"), F.round(F.avg(F.col("estimate") / F.col("exact")), 6).alias("mean_ratio"))
 
 
@@ -123,5 +125,5 @@ def word_sketch(spark: SparkSession, sf: str) -> DataFrame:
 
 @register("word_heavy_hitters", f"WITH {_WORD_PTS} SELECT word, estimate, exact FROM pts WHERE estimate >= 0.005 * (SELECT sum(cnt) FROM w)")
 def word_heavy_hitters(spark: SparkSession, sf: str) -> DataFrame:
-    pts = word_points(spark, sf)
+    pts = stored(word_points(spark, sf), "word-points")
     return Q.heavy_hitters(pts, pts.agg(F.sum("exact")).first()[0], 0.005)

@@ -10,8 +10,10 @@ from freqsketch.operators import build as B
 from freqsketch.operators.measures import conflicts, union_all
 from freqsketch.operators.query import estimate, exact_counts
 from freqsketch.oracles import cells_sql, counts_cte, hashed_cte, sketch_ctes, table_cte, zipf_sql
+from freqsketch.plans.planner import build_planned
 from freqsketch.sources.storage import stream, table
 from freqsketch.spec import BATCH, SketchSpec
+from freqsketch.streaming.balance import balanced_stream
 from freqsketch.streaming.windows import drain, row_owned_stream, unpack_rows
 from freqsketch.workloads.common import LANES, PARTS_SQL, SPEC, USERS_SQL, ZIPF_N, catalogue, parts, users, zipf
 
@@ -37,6 +39,7 @@ for _size in ("small", "medium", "large"):
     _spec = SketchSpec.preset(_size)
     _simple(f"build_{_size}", "row_owned", _spec, cells_sql(PARTS_SQL, _spec), segments=4)
 
+_LARGE = cells_sql(PARTS_SQL, SketchSpec.preset("large"))
 _MOD = SketchSpec(hash_family="modular")
 _FACTORS = ", ".join(f"({r}, {a}::BIGINT, {b}::BIGINT)" for r, (a, b) in enumerate(modular_factors(8, 42)))
 _simple(
@@ -53,6 +56,19 @@ def build_two_stage(spark: SparkSession, sf: str) -> DataFrame:
     return B.build_two_stage(users(spark, sf), "pos", "item", SPEC, fast=658, slow=366)
 
 
+@register("build_balanced_stream", _USERS)
+def build_balanced_stream(spark: SparkSession, sf: str) -> DataFrame:
+    """Micro-batches whose shares follow the times that the batches before have taken."""
+    return balanced_stream(stream(spark, sf, "events"), "user_id", SPEC).cells()
+
+
+@register("build_large_segments", _LARGE)
+def build_large_segments(spark: SparkSession, sf: str) -> DataFrame:
+    """A table that no task could hold under the planner's budget, which is set low here: owners hold
+    a column range of a row each."""
+    return build_planned(parts(spark, sf), "item", SketchSpec.preset("large"), task_budget=1 << 20)[0]
+
+
 @register("build_row_owned_stream", _USERS)
 def build_row_owned_stream(spark: SparkSession, sf: str) -> DataFrame:
     return unpack_rows(drain(row_owned_stream(stream(spark, sf, "events"), "user_id", SPEC), "row-owned", "update"))
@@ -60,12 +76,12 @@ def build_row_owned_stream(spark: SparkSession, sf: str) -> DataFrame:
 
 @register(
     "insert_trace",
-    f"""WITH {table_cte(SPEC)}, s AS (SELECT event_id AS pos, user_id AS item FROM events WHERE event_id < 100), {hashed_cte('s', SPEC)}
+    f"""WITH {table_cte(SPEC)}, s AS (SELECT event_id AS pos, user_id AS item FROM events), {hashed_cte('s', SPEC)}
   SELECT pos, item, sketch_row, sketch_col FROM s JOIN hashed USING (item)""",
 )
 def insert_trace(spark: SparkSession, sf: str) -> DataFrame:
-    """What the first hundred insertions touch; the hundred is the report's size."""
-    return with_cells(users(spark, sf).where("pos < 100"), "item", SPEC)
+    """What every insertion touches."""
+    return with_cells(users(spark, sf), "item", SPEC)
 
 
 @register(
@@ -154,5 +170,3 @@ def strategies_equal(spark: SparkSession, sf: str) -> DataFrame:
         different = F.sum((~F.col("cnt").eqNullSafe(F.col("_base"))).cast("long"))
         out.append(both.agg(F.count("cnt").alias("cells"), different.alias("different")).select(F.lit(name).alias("strategy"), "cells", "different"))
     return union_all(out)
-
-

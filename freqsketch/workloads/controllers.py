@@ -122,11 +122,9 @@ def rebalance_trace(spark: SparkSession, sf: str) -> DataFrame:
   SELECT t.phase, t.sketch, t.batch_id, round(r.run / (1024 - r.run), 6) AS f2s FROM trace t JOIN r ON r.phase = t.phase AND r.sketch = t.sketch AND r.batch_id = least(t.batch_id, 30) WHERE t.batch_id >= 1""",
 )
 def f2s_frozen(spark: SparkSession, sf: str) -> DataFrame:
-    """Running mean of the split during thirty batches, then held."""
-    t = P.rebalance_trace(spark).where("batch_id >= 1")
-    run = W.partitionBy("phase", "sketch").orderBy("batch_id").rowsBetween(W.unboundedPreceding, W.currentRow)
-    mean = F.avg(F.when(F.col("batch_id") <= 30, F.col("fast"))).over(run)
-    return t.withColumn("_m", mean).select("phase", "sketch", "batch_id", F.round(F.col("_m") / (BATCH - F.col("_m")), 6).alias("f2s"))
+    """Controllers that adjust for thirty batches and then keep the mean of what they saw."""
+    t = P.rebalance_trace(spark, warmup=30).where("batch_id >= 1")
+    return t.select("phase", "sketch", "batch_id", F.round(F.col("mean") / (BATCH - F.col("mean")), 6).alias("f2s"))
 
 
 @register(

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from freqsketch.functions.hashing import hash_table_df, merged_cells, separate_cells, with_cells
 from freqsketch.functions.keys import byte_columns
-from freqsketch.oracles import hashed_cte, table_cte
+from freqsketch.oracles import hashed_cte, table_cte, xor_sql
 from freqsketch.sources.storage import table
 from freqsketch.spec import DELTA, DEPTH_RULES, PRESET_EPS, WIDTH_RULES, SketchSpec
 from freqsketch.workloads.common import SPEC, catalogue, parts
@@ -71,7 +71,7 @@ def tabulation_hash_merged(spark: SparkSession, sf: str) -> DataFrame:
 
 @register(
     "tabulation_hash_64",
-    f"WITH {table_cte(_WIDE)}, items AS ({_PAIRS}), {hashed_cte('items', _WIDE)} SELECT item, sketch_row, sketch_col FROM hashed",
+    xor_sql(_PAIRS, _WIDE),
 )
 def tabulation_hash_64(spark: SparkSession, sf: str) -> DataFrame:
     items = table(spark, sf, "lineitem").select((F.col("l_orderkey") * F.lit(1 << 32) + F.col("l_partkey")).alias("item")).distinct()

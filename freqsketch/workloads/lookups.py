@@ -179,7 +179,11 @@ def noise_corrected_estimates(spark: SparkSession, sf: str) -> DataFrame:
     return out.select("item", F.round("estimate", 6).alias("estimate"))
 
 
-@register("builtin_sketch_header")
+@register(
+    "builtin_sketch_header",
+    """SELECT 1::BIGINT AS version, count(l_partkey)::BIGINT AS total, ceil(-ln(1 - 0.997::DOUBLE) / ln(2))::BIGINT AS "rows",
+    ceil(2 / 0.001::DOUBLE)::BIGINT AS "columns" FROM lineitem""",
+)
 def builtin_sketch_header(spark: SparkSession, sf: str) -> DataFrame:
     """Sizes of Spark's own count-min sketch of the same column, read from its binary form."""
     s = parts(spark, sf).agg(F.count_min_sketch("item", F.lit(1e-3), F.lit(0.997), F.lit(42)).alias("s"))

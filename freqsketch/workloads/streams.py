@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from freqsketch.operators.build import build_by_group
-from freqsketch.oracles import hashed_cte, table_cte
-from freqsketch.sources.storage import stream, table
-from freqsketch.streaming.windows import drain, session_cells, window_cells
+from freqsketch.functions.hashing import with_cells
+from freqsketch.operators.build import build, build_by_group
+from freqsketch.oracles import cells_sql, hashed_cte, table_cte
+from freqsketch.sources.storage import csv_copy, rate_stream, scratch, stored, stream, table
+from freqsketch.streaming.windows import deduplicated, drain, event_time, merge_into_table, session_cells, window_cells
 from freqsketch.workloads.common import STRESS, catalogue
 
 CATALOGUE, register = catalogue()
@@ -76,3 +79,68 @@ def late_data_effect(spark: SparkSession, sf: str) -> DataFrame:
     hours = seen.withColumn("delay_hours", F.explode(F.array(*[F.lit(h) for h in (1, 3, 6, 12)])))
     late = F.col("ts") < F.col("seen") - F.make_dt_interval(hours=F.col("delay_hours"))
     return hours.groupBy("delay_hours").agg(F.count("*").alias("n_events"), F.sum(late.cast("long")).alias("n_late"))
+
+
+_USERS_CELLS = cells_sql("SELECT user_id AS item FROM events", STRESS)
+
+
+@register("stream_merged_into_table", _USERS_CELLS)
+def stream_merged_into_table(spark: SparkSession, sf: str) -> DataFrame:
+    """A stored sketch that micro-batches of a folder of files are added to."""
+    folder = scratch(spark, "event-files")
+    table(spark, sf, "events").repartition(3, "event_id").write.parquet(folder)
+    schema = table(spark, sf, "events").schema
+    return merge_into_table(spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(folder), "user_id", STRESS, "stored-sketch")
+
+
+@register("stream_without_repeats", _USERS_CELLS)
+def stream_without_repeats(spark: SparkSession, sf: str) -> DataFrame:
+    """Every event comes twice and counts once."""
+    folder = scratch(spark, "event-files")
+    ev = table(spark, sf, "events")
+    ev.unionByName(ev).write.parquet(folder)
+    once = deduplicated(spark.readStream.schema(ev.schema).parquet(folder), "ts", ["event_id"], "60 days")
+    cells = with_cells(once.select(F.col("user_id").cast("long").alias("_item")), "_item", STRESS)
+    return drain(cells.select("sketch_row", "sketch_col"), "once", "append").groupBy("sketch_row", "sketch_col").agg(F.count("*").alias("cnt"))
+
+
+_BATCHES = 5
+
+
+@register(
+    "watermark_drops",
+    f"""WITH a AS (SELECT ts, {_ARRIVAL} AS arrival, event_id FROM events), n AS (SELECT max(arrival) + 1 AS n FROM a),
+  b AS (SELECT ts, arrival * {_BATCHES} // n AS batch FROM a, n),
+  m AS (SELECT batch, max(max(ts)) OVER (ORDER BY batch ROWS BETWEEN UNBOUNDED PRECEDING AND 2 PRECEDING) - INTERVAL 1 HOUR AS mark FROM b GROUP BY batch)
+  SELECT date_trunc('hour', ts)::TIMESTAMP AS win_start, count(*)::BIGINT AS cnt FROM b JOIN m USING (batch)
+  WHERE mark IS NULL OR date_trunc('hour', ts) + INTERVAL 1 HOUR > date_trunc('milliseconds', mark) GROUP BY 1""",
+)
+def watermark_drops(spark: SparkSession, sf: str) -> DataFrame:
+    """Hourly counts of a stream that arrives out of order, with a watermark of an hour: events whose
+    window has closed are dropped by Spark. It judges lateness by the watermark that the batch
+    before went by, which rests on the batches before that one."""
+    folder = scratch(spark, "late-files")
+    ev = table(spark, sf, "events")
+    arrival = F.col("event_id") + F.conv(F.substring(F.md5(F.concat(F.lit("late:"), F.col("event_id"))), 1, 8), 16, 10).cast("long") % 200
+    a = stored(ev.select("ts", arrival.alias("arrival")), "arrivals")
+    n = a.agg(F.max("arrival")).first()[0] + 1
+    placed = a.withColumn("batch", F.floor(F.col("arrival") * _BATCHES / n))
+    for k in range(_BATCHES):  # one file after the other: a file source takes them by age
+        placed.where(F.col("batch") == k).select("ts").coalesce(1).write.mode("append").parquet(folder)
+        time.sleep(0.05)
+    late = event_time(spark.readStream.schema("ts timestamp_ntz").option("maxFilesPerTrigger", 1).parquet(folder), "ts").withWatermark("ts", "1 hour")
+    counts = late.groupBy(F.window("ts", "1 hour").alias("_w")).agg(F.count("*").alias("cnt"))
+    out = drain(counts.select(F.col("_w.start").cast("timestamp_ntz").alias("win_start"), "cnt"), "late", "update")
+    return out.groupBy("win_start").agg(F.max("cnt").alias("cnt"))
+
+
+@register("rate_source_sketch", cells_sql("SELECT range AS item FROM range(1000)", STRESS))
+def rate_source_sketch(spark: SparkSession, sf: str) -> DataFrame:
+    """Cells of the first micro-batch of a generated stream."""
+    cells = with_cells(rate_stream(spark, 1000).where("value < 1000").select(F.col("value").alias("_item")), "_item", STRESS)
+    return drain(cells.groupBy("sketch_row", "sketch_col").agg(F.count("*").alias("cnt")), "rate")
+
+
+@register("csv_source_sketch", cells_sql("SELECT l_partkey AS item FROM lineitem", STRESS))
+def csv_source_sketch(spark: SparkSession, sf: str) -> DataFrame:
+    return build(csv_copy(table(spark, sf, "lineitem").select("l_orderkey", "l_partkey", "l_returnflag")), "l_partkey", STRESS)

@@ -10,7 +10,7 @@ from freqsketch.operators.build import build
 from freqsketch.oracles import cells_sql, estimates_cte, sketch_ctes
 from freqsketch.sources.storage import table
 from freqsketch.sqlapi import register as register_functions
-from freqsketch.sqlapi import sketch_aggregate
+from freqsketch.sqlapi import sketch_per_group
 from freqsketch.workloads.common import PARTS_SQL, SPEC, STRESS, catalogue, parts
 
 CATALOGUE, register = catalogue()
@@ -36,8 +36,7 @@ def udaf_equals_relational(spark: SparkSession, sf: str) -> DataFrame:
     from freqsketch.sqlapi import CellsOf
 
     li = table(spark, sf, "lineitem")
-    once = li.groupBy("l_returnflag", "l_partkey").agg(F.count("*").alias("w"))
-    packed = once.groupBy("l_returnflag").agg(sketch_aggregate(STRESS)("l_partkey", "w").alias("sketch"))
+    packed = sketch_per_group(li, ["l_returnflag"], "l_partkey", STRESS)
     spark.udtf.register("sketch_cells", CellsOf)
     packed.createOrReplaceTempView("_packed_sketches")
     cells = spark.sql("SELECT l_returnflag, c.* FROM _packed_sketches, LATERAL sketch_cells(sketch) c")
@@ -50,7 +49,7 @@ def udaf_equals_relational(spark: SparkSession, sf: str) -> DataFrame:
 def udtf_cells(spark: SparkSession, sf: str) -> DataFrame:
     from freqsketch.sqlapi import CellsOf
 
-    once = Q.exact_counts(parts(spark, sf), "item")
-    once.agg(sketch_aggregate(STRESS)("item", "cnt").alias("sketch")).createOrReplaceTempView("_packed_parts")
+    whole = parts(spark, sf).withColumn("all", F.lit(1))
+    sketch_per_group(whole, ["all"], "item", STRESS).createOrReplaceTempView("_packed_parts")
     spark.udtf.register("sketch_cells", CellsOf)
     return spark.sql("SELECT c.* FROM _packed_parts, LATERAL sketch_cells(sketch) c")
