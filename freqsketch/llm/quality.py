@@ -490,6 +490,11 @@ def _squared_distance() -> Column:
     return F.greatest(total, F.lit(1e-9))
 
 
+def base_rule() -> Column:
+    """Too few words, or too many of them in repeated windows."""
+    return (F.col("q_n_words") < MIN_WORDS) | (100 * F.col("q_n_repeat_words") > MAX_REPEAT_PERCENT * F.col("q_n_words"))
+
+
 def quality_verdicts(
     df: DataFrame, lang: str = "lang", source: str = "source", fence: float = FENCE, shrink: float = SHRINK
 ) -> DataFrame:
@@ -508,7 +513,7 @@ def quality_verdicts(
     The rows are written once with their statistics; fits read the statistics alone, and the
     verdicts join the rows with the small table of limits, so no row is shuffled.
     """
-    failed = (F.col("q_n_words") < MIN_WORDS) | (100 * F.col("q_n_repeat_words") > MAX_REPEAT_PERCENT * F.col("q_n_words"))
+    failed = base_rule()
     lang_key = F.coalesce(F.concat(F.lit("l"), F.col(lang)), F.lit("-"))
     source_key = F.coalesce(F.concat(F.lit("s"), F.col(source)), F.lit("-"))
     # the length of the language's key says where the source's begins
@@ -530,3 +535,27 @@ def op8_robust_outliers(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents")
     out = quality_verdicts(with_statistics(docs, "text", ["doc_id", "lang", "source"]))
     return out.select("doc_id", *BASE_COLUMNS, "base_failed", "kept", "distance_ratio", "n_stutter")
+
+
+def quality_base_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The statistics and the base rule of every document, which SQL can express too."""
+    rows = with_statistics(read_table(spark, sf_dir, "documents"), "text", ["doc_id"])
+    return rows.select("doc_id", *[F.col(f"q_{c}").alias(c) for c in STAT_COLUMNS], base_rule().alias("base_failed"))
+
+
+_W = r"[^\x20\x09-\x0D]+"
+BASE_SQL = f"""
+WITH d AS (SELECT doc_id, coalesce(text, '') AS t, regexp_extract_all(coalesce(text, ''), '{_W}') AS w FROM documents),
+l AS (SELECT doc_id, unnest(string_split(t, chr(10))) AS line FROM d),
+lines AS (SELECT doc_id, count(*) - count(DISTINCT line) AS dup FROM l WHERE regexp_matches(line, '{_W}') GROUP BY doc_id),
+pos AS (SELECT doc_id, unnest(w) AS x, generate_subscripts(w, 1) AS i FROM d),
+win AS (SELECT doc_id, i, x, lag(x) OVER p AS before, {", ".join(f"lead(x, {k}) OVER p AS x{k}" for k in range(1, WINDOW))} FROM pos WINDOW p AS (PARTITION BY doc_id ORDER BY i)),
+again AS (SELECT doc_id, unnest(list(i)) AS i FROM win WHERE x{WINDOW - 1} IS NOT NULL GROUP BY doc_id, x, {", ".join(f"x{k}" for k in range(1, WINDOW))} HAVING count(*) > 1),
+covered AS (SELECT doc_id, count(DISTINCT i + k.range) AS n FROM again, range({WINDOW}) k GROUP BY doc_id),
+stutter AS (SELECT doc_id, count(*) AS n FROM win WHERE x = before GROUP BY doc_id),
+s AS (SELECT d.doc_id, len(w)::BIGINT AS n_words, coalesce(list_sum(list_transform(w, lambda x: length(x))), 0)::BIGINT AS word_chars,
+    length(regexp_replace(t, '[^#*$%&|<>]', '', 'g'))::BIGINT AS n_symbols, coalesce(lines.dup, 0)::BIGINT AS n_dup_lines,
+    coalesce(covered.n, 0)::BIGINT AS n_repeat_words, coalesce(stutter.n, 0)::BIGINT AS n_stutter
+  FROM d LEFT JOIN lines USING (doc_id) LEFT JOIN covered USING (doc_id) LEFT JOIN stutter USING (doc_id))
+SELECT *, n_words < {MIN_WORDS} OR 100 * n_repeat_words > {MAX_REPEAT_PERCENT} * n_words AS base_failed FROM s
+"""

@@ -231,3 +231,20 @@ def redacted(df: DataFrame, text: str, owner: str, repository: Column, mark: str
 
     joined = found.join(live, "_rid", "left")
     return joined.select(*df.columns, "_live").mapInArrow(tidy(cover), schema).unionByName(_parted(df, text, False))
+
+
+def secret_base_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Numbers of base spans of every document, which SQL can express too."""
+    found = with_candidates(read_table(spark, sf_dir, "documents"), "text", ["doc_id"])
+    return found.select("doc_id", *[F.size(F.filter("spans", lambda s, k=k: s["kind"] == k)).cast("long").alias(f"n_{k}") for k in KINDS])
+
+
+def _counted(kind: str, pattern: str, group: int) -> str:
+    found = f"regexp_extract_all(coalesce(text, ''), '{pattern.replace(chr(39), chr(39) * 2)}', {group})"
+    return f"len(list_filter({found}, lambda x: length(x) >= {LEAST[kind]}))::BIGINT AS n_{kind}"
+
+
+#: Letters of the names in either case, spelt out: a flag for all cases would fold other letters in.
+_NAMES = re.sub("[a-z]", lambda m: f"[{m[0]}{m[0].upper()}]", PATTERNS["assign"].split(")")[0]) + ")"
+BASE_SQL = f"""SELECT doc_id, {_counted('assign', _NAMES + PATTERNS['assign'].split(')', 1)[1], 2)}, {_counted('access', PATTERNS['access'], 0)},
+  {_counted('hex', PATTERNS['hex'], 0)} FROM documents"""
