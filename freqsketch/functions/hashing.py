@@ -48,58 +48,74 @@ def merged_table_df(spark: SparkSession, spec: SketchSpec) -> DataFrame:
     return g.agg(F.transform(F.array_sort(F.collect_list(F.struct("hash_id", "rnd"))), lambda s: s["rnd"]).alias("rnd"))
 
 
+def _words(t: np.ndarray) -> np.ndarray:
+    """32-bit entries of the last axis packed two by two in 64-bit words."""
+    if t.shape[-1] % 2:
+        t = np.concatenate([t, np.zeros_like(t[..., :1])], -1)
+    return np.ascontiguousarray(t).view(np.uint64)
+
+
+@lru_cache(maxsize=8)
+def merged_tables(depth: int, chars: int, seed: int) -> list[np.ndarray]:
+    """For each character (256, depth) 32-bit entries: a slice holds what it adds to every function."""
+    return list(_words(hash_tables(depth, chars, seed).astype(np.uint32)))
+
+
+@lru_cache(maxsize=8)
+def separate_tables(depth: int, chars: int, seed: int) -> list[list[np.ndarray]]:
+    """For each function a table of 256 32-bit entries for each character."""
+    t = hash_tables(depth, chars, seed).astype(np.uint32)
+    return [[np.ascontiguousarray(t[c, :, r]) for c in range(chars)] for r in range(depth)]
+
+
 @lru_cache(maxsize=8)
 def paired_tables(depth: int, chars: int, seed: int) -> list[np.ndarray]:
     """The merged tables of two neighbouring characters combined: (65536, depth) for each pair,
     packed in 64-bit words, so that half as many slices are read and XORed."""
     t = hash_tables(depth, chars, seed).astype(np.uint32)
-    if depth % 2:
-        t = np.concatenate([t, np.zeros_like(t[:, :, :1])], 2)
-    pairs = [t[c][None, :, :] ^ t[c + 1][:, None, :] for c in range(0, chars, 2)]
-    return [np.ascontiguousarray(p.reshape(65536, -1)).view(np.uint64) for p in pairs]
+    return [_words((t[c][None, :, :] ^ t[c + 1][:, None, :]).reshape(65536, -1)) for c in range(0, chars, 2)]
 
 
 #: Items hashed at a time: their slices stay in a core's cache.
 CHUNK = 8192
 
 
-def _paired(x: np.ndarray, spec: SketchSpec, width: int | None) -> np.ndarray:
+def _mod(h: np.ndarray, width: int | None) -> np.ndarray:
+    if width is None:
+        return h
+    w = np.uint32(width)
+    return h - (h // w) * w  # division by a scalar is vectorised, the remainder is not
+
+
+def _hashed(x: np.ndarray, spec: SketchSpec, layout: str, width: int | None) -> np.ndarray:
     """(n, depth) hash values, or column ids with a width; stored row after row."""
-    tables = paired_tables(spec.depth, spec.chars, spec.seed)
+    key = (spec.depth, spec.chars, spec.seed)
     out = np.empty((spec.depth, len(x)), np.int64)
+    if layout == "separate":
+        tables = separate_tables(*key)
+        for lo in range(0, len(x), CHUNK):
+            part = x[lo : lo + CHUNK]
+            chars = [(part >> (8 * c)) & 255 for c in range(spec.chars)]
+            for r in range(spec.depth):
+                h = tables[r][0].take(chars[0])
+                for c in range(1, spec.chars):
+                    h ^= tables[r][c].take(chars[c])
+                out[r, lo : lo + len(part)] = _mod(h, width)
+        return out.T
+    tables, bits = (merged_tables(*key), 8) if layout == "merged" else (paired_tables(*key), 16)
     for lo in range(0, len(x), CHUNK):
         part = x[lo : lo + CHUNK]
-        h = tables[0].take(part & 0xFFFF, 0)
+        h = tables[0].take(part & ((1 << bits) - 1), 0)
         for k in range(1, len(tables)):
-            h ^= tables[k].take((part >> (16 * k)) & 0xFFFF, 0)
-        h = h.view(np.uint32)
-        if width is not None:
-            w = np.uint32(width)
-            h = h - (h // w) * w  # division by a scalar is vectorised, the remainder is not
-        out[:, lo : lo + len(part)] = h[:, : spec.depth].T
+            h ^= tables[k].take((part >> (bits * k)) & ((1 << bits) - 1), 0)
+        out[:, lo : lo + len(part)] = _mod(h.view(np.uint32), width)[:, : spec.depth].T
     return out.T
 
 
 def hash_values(items: np.ndarray, spec: SketchSpec, layout: str = "paired") -> np.ndarray:
     """(n, depth) 32-bit hash values. ``merged`` reads one slice per character, ``separate`` one
     entry per character and function, ``paired`` one slice per two characters; values are equal."""
-    x = items.astype(np.int64, copy=False)
-    if layout == "paired":
-        return _paired(x, spec, None)
-    tables = hash_tables(spec.depth, spec.chars, spec.seed)
-    if layout == "merged":
-        out = tables[0][x & 255]
-        for c in range(1, spec.chars):
-            out ^= tables[c][(x >> (8 * c)) & 255]
-        return out
-    out = np.empty((len(x), spec.depth), np.int64)
-    for r in range(spec.depth):
-        lone = np.ascontiguousarray(tables[:, :, r])
-        h = lone[0][x & 255]
-        for c in range(1, spec.chars):
-            h = h ^ lone[c][(x >> (8 * c)) & 255]
-        out[:, r] = h
-    return out
+    return _hashed(items.astype(np.int64, copy=False), spec, layout, None)
 
 
 @lru_cache(maxsize=16)
@@ -114,8 +130,8 @@ def columns(items: np.ndarray, spec: SketchSpec, layout: str = "paired") -> np.n
     if spec.hash_family == "modular":
         x = items.astype(np.int64) & 0xFFFFFFFF
         return np.stack([(a * x + b) % MODULUS % spec.width for a, b in modular_factors(spec.depth, spec.seed)], 1)
-    if layout == "paired" and spec.width < 1 << 32:
-        return _paired(items.astype(np.int64, copy=False), spec, spec.width)
+    if spec.width < 1 << 32:
+        return _hashed(items.astype(np.int64, copy=False), spec, layout, spec.width)
     return hash_values(items, spec, layout) % spec.width
 
 

@@ -13,7 +13,8 @@ def _stages(spark: SparkSession) -> dict:
     sc = spark.sparkContext
     store = sc._jsc.sc().statusStore()
     sc._jsc.sc().listenerBus().waitUntilEmpty()
-    found = store.stageList(None)
+    none = sc._gateway.new_array(sc._jvm.double, 0)
+    found = store.stageList(sc._jvm.java.util.ArrayList(), False, False, none, sc._jvm.java.util.ArrayList())
     return {(found.apply(i).stageId(), found.apply(i).attemptId()): found.apply(i) for i in range(found.size())}
 
 

@@ -78,3 +78,36 @@ def test_stream_state_over_several_files(spark, sf, tmp_path):
 
 def test_cells_of_nothing(spark):
     assert with_cells(spark.createDataFrame([], "item long"), "item", SPEC).count() == 0
+
+
+def test_measured_times_move_the_split(spark):
+    """Slow workers that hash eight times over get less and less of a batch."""
+    from freqsketch.streaming.balance import BalancedBuilder
+
+    builder = BalancedBuilder(spark, SPEC, 1 << 18, pace={"hash": 8})
+    df = spark.range(1 << 18).withColumnRenamed("id", "item")
+    for k in range(4):
+        builder.add(df, "item", k)
+    trace = [r for r in builder.trace_rows().collect() if r.phase == "hash"]
+    assert trace[0].f2s == 1.0 and trace[0].t_slow > 2 * trace[0].t_fast
+    assert all(r.f2s > 1.8 for r in trace[2:])
+    want = build(df.unionByName(df).unionByName(df).unionByName(df), "item", SPEC)
+    got = builder.cells()
+    assert got.exceptAll(want).count() == want.exceptAll(got).count() == 0
+
+
+def test_a_batch_that_comes_again_counts_once(spark):
+    from freqsketch.streaming.balance import BalancedBuilder
+
+    builder = BalancedBuilder(spark, SPEC, 64)
+    df = spark.range(100).withColumnRenamed("id", "item")
+    builder.add(df, "item", 0)
+    builder.add(df, "item", 0)
+    want = build(df, "item", SPEC)
+    assert builder.cells().exceptAll(want).count() == 0
+
+
+def test_controller_freezes_in_the_loop():
+    rows = P.closed_loop(64, warmup=30)
+    held = {(p, s): {f for q, t, k, f, *_ in rows if (q, t) == (p, s) and k >= 30} for p, s, *_ in rows}
+    assert all(len(v) == 1 for v in held.values())

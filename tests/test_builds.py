@@ -124,6 +124,64 @@ def test_planner(frame, items, spark):
     assert build_planned(big.select((F.col("item") % 50).alias("item")), "item", SketchSpec(8, 2003))[1].strategy == "combine_items"
 
 
+def test_one_table_beyond_any_task(frame, items, spark):
+    """2 x 2^26 counters: no task may allocate the table, an owner has 2^22 of them."""
+    spec = SketchSpec(2, 1 << 26)
+    assert cells(B.build(frame, "item", spec, "row_owned", segments=16)) == reference(items, spec)
+    wide = SketchSpec(8, 20071)
+    built, plan = build_planned(frame, "item", wide, task_budget=1 << 19)
+    assert plan.strategy == "row_owned" and cells(built) == reference(items, wide)
+
+
+def test_row_owned_has_one_exchange(frame, capsys):
+    B.build(frame, "item", SPEC, "row_owned", segments=3).explain()
+    plan = capsys.readouterr().out.split("repartition")[0]
+    assert plan.count("Exchange") <= 2  # the owners', and the fixture's own
+
+
+@pytest.mark.parametrize("split", [(1.8, 1.0), (1.0, 0.0), (4.0, 1.0)])
+@pytest.mark.parametrize("depth,segments", [(4, 1), (5, 3)])
+def test_balanced_pairs_update_everything_once(frame, items, split, depth, segments):
+    spec = SketchSpec(depth, 61)
+    assert cells(B.build(frame, "item", spec, "row_owned_balanced", split=split, segments=segments, batch=100)) == reference(items, spec)
+
+
+def test_costs_are_measured(frame):
+    from freqsketch.operators.costs import COST_SCHEMA, spark_costs
+
+    names = [c.split()[0] for c in COST_SCHEMA.split(", ")]
+    got = dict(zip(names, spark_costs(B.build(frame, "item", SPEC, "row_owned"))))
+    assert got["shuffle_write_bytes"] > 0 and got["stages"] >= 2 and got["tasks"] >= 5 and got["seconds"] > 0
+
+
+def test_packed_sketch_keeps_its_identity():
+    dense = np.arange(8).reshape(2, 4)
+    raw = A.pack(dense, SketchSpec(2, 4, hash_family="modular"))
+    back, spec = A.unpack(raw)
+    assert spec.hash_family == "modular" and A.packed_total(raw) == 6
+    with pytest.raises(IncompatibleSketch):
+        SketchSpec(2, 4).require_same(spec)
+
+
+def test_groups_of_any_size(spark):
+    from freqsketch.sqlapi import sketch_per_group
+
+    df = spark.range(3000).selectExpr("id % 3 AS g", "CASE WHEN id % 3 = 0 THEN 'a' END AS h", "id % 50 AS item")
+    got = {r.g: A.unpack(bytes(r.sketch))[0] for r in sketch_per_group(df, ["g", "h"], "item", SPEC).collect()}
+    for g in range(3):
+        want = reference([x % 50 for x in range(g, 3000, 3)])
+        assert {(r, c): v for r, row in enumerate(got[g].tolist()) for c, v in enumerate(row) if v} == want
+
+
+def test_ranks_and_tiles(spark):
+    from freqsketch.operators.ranks import tiles
+
+    df = spark.range(103).selectExpr("(id * 37) % 103 AS k", "id % 4 AS v")
+    got = {r.k: r.part for r in tiles(df, ["v", "k"], 10, "part").collect()}
+    want = {r.k: r.part for r in df.selectExpr("k", "ntile(10) OVER (ORDER BY v, k) AS part").collect()}
+    assert got == want
+
+
 def test_scan_is_pruned(spark, sf, capsys):
     from freqsketch.workloads.relational import filter_then_sketch
 
