@@ -1,7 +1,8 @@
 """Headline queries at $BENCH_SF_DIR on local[$BENCH_CPUS]; prints one JSON line.
 
 ``queries`` are seconds of one warm execution each. ``items_per_sec`` are millions of items a
-second of sketch construction over generated streams, by strategy, skew and sketch size.
+second of sketch construction over generated streams, by strategy, skew and sketch size, mean of
+RUNS; beside them what Spark spends on each construction, and hashing alone by layout.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ from freqsketch.operators.build import build
 from freqsketch.operators.measures import throughput, timed
 from freqsketch.sources.generators import power_law_items
 from freqsketch.spec import SketchSpec
-from freqsketch.workloads import QUERIES
+from freqsketch.workloads import QUERIES, grid
 
 HEADLINE = [
     "build_serial", "build_partials", "build_partials_merged", "build_relational", "build_row_owned", "build_balanced",
@@ -31,6 +32,8 @@ HEADLINE = [
 ]
 #: Items and universe of the generated streams: those of the two smaller machines.
 N, UNIVERSE = 1 << 25, 1 << 20
+RUNS = 3
+COSTS = ("seconds", "task_seconds", "shuffle_write_bytes", "spilled_bytes", "peak_execution_bytes")
 
 
 def main() -> None:
@@ -61,11 +64,18 @@ def main() -> None:
             spec = SketchSpec.preset(size)
             plans = {"row_owned": {}, "partials": {"layout": "paired"}, "combine_items": {}}
             if size == "small" and label == "zipf_1.1":
-                plans |= {"partials_merged": {"layout": "merged"}, "partials_separate": {"layout": "separate"}}
+                plans |= {"partials_merged": {"layout": "merged"}, "partials_separate": {"layout": "separate"}, "row_owned_balanced": {}}
             for plan, options in plans.items():
                 strategy = "partials" if plan.startswith("partials") else plan
-                t = timed(lambda: build(items, "item", spec, strategy, **options))
+                t = timed(lambda: build(items, "item", spec, strategy, **options), RUNS)
                 rates[f"{label}/{size}/{plan}"] = round(throughput(N, t), 2)
+            if size == "small" and alpha:
+                # all but one worker stand still
+                t = timed(lambda: build(items.coalesce(1), "item", spec, "row_owned"))
+                rates[f"{label}/{size}/row_owned/one_worker"] = round(throughput(N, t), 2)
+    loose = {f"{r.method}/{r.workers}/{r.alpha}": round(r.million_items_per_sec, 2) for r in grid.owned_against_relaxed(spark, runs=RUNS).collect()}
+    costs = {f"{r.method}/{r['size']}": {k: round(r[k], 2) for k in COSTS} for r in grid.strategy_costs(spark, sizes=("small", "large")).collect()}
+    layouts = {f"{layout}/{depth}": ns for depth, layout, ns in grid.layout_times(runs=RUNS, depths=(8,))}
     began = time.time()
     spark.stop()
     print(
@@ -78,6 +88,9 @@ def main() -> None:
                 "sf": sf.rsplit("sf", 1)[-1],
                 "cpus": cpus,
                 "items_per_sec_millions": rates,
+                "owned_against_relaxed_millions": loose,
+                "costs": costs,
+                "hash_ns_per_item": layouts,
                 "stop_sec": round(time.time() - began, 2),
             }
         )
