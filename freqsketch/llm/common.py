@@ -98,6 +98,26 @@ def scratch(spark: SparkSession, everything: bool = False) -> Iterator[None]:
         spark.sparkContext._jvm.System.gc()
 
 
+#: Folders that the last stage of a pipeline kept for its result.
+_LEFT: list[str] = []
+
+
+@contextmanager
+def stage_scratch(spark: SparkSession) -> Iterator[None]:
+    """``scratch`` for the stages of a pipeline, whose results are written before the next stage begins:
+    what a stage keeps for its result goes when the next one begins."""
+    while _LEFT:
+        drop_dir(spark, _LEFT.pop())
+    outer: tuple[list[str], list[str]] = ([], [])
+    _SCRATCH.append(outer)
+    try:
+        with scratch(spark):
+            yield
+    finally:
+        _SCRATCH.remove(outer)
+        _LEFT.extend(outer[1])
+
+
 def written(df: DataFrame, tag: str, keep: bool = False) -> DataFrame:
     """Columnar, compressed lineage cut: a Parquet table in the shared folder."""
     return df.sparkSession.read.schema(df.schema).parquet(saved(df, tag, keep))

@@ -8,11 +8,13 @@ from functools import cache
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import mix64, numbered, read_table, segment_hash, settled, tidy, written
+from .common import mix64, new_shared_dir, numbered, read_table, segment_hash, settled, tidy, written
 from .positions import with_positions, write_positions
+from .shared_files import atomic_writer, open_store
 from .sharding import byte_prefix_shards
 from .tokens import encoder, id_type, tokenizer_path, with_ids
 
@@ -66,24 +68,38 @@ def document_terms(ids: np.ndarray, lengths: np.ndarray, marks: np.ndarray) -> t
     return pair >> TERM_BITS, pair & ((1 << TERM_BITS) - 1), times
 
 
-def document_frequencies(tokens: DataFrame, path: str) -> np.ndarray:
-    """Number of documents of the whole corpus that hold each hashed term.
+class _Frequencies:
+    """Counts, in one task, of documents by the terms they hold; a file of (term, count) at the end."""
 
-    Tasks count into a vector of fixed length; at most 2^TERM_BITS sums reach the driver."""
+    def __init__(self, folder: str, path: str):
+        self.folder, self.marks = folder, _word_marks(path)
+        self.counts = np.zeros(1 << TERM_BITS, np.int64)
 
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        marks, kind = _word_marks(path), id_type(path)
+    def add(self, ids: np.ndarray, lengths: np.ndarray) -> None:
+        self.counts += np.bincount(document_terms(ids, lengths, self.marks)[1], minlength=len(self.counts))
+
+    def close(self) -> None:
+        at = np.flatnonzero(self.counts)
+        with atomic_writer(f"{self.folder}/{TaskContext.get().partitionId()}.bin") as out:
+            out.write(np.stack([at, self.counts[at]]).astype("<i8").tobytes())
+
+
+def document_frequencies(spark: SparkSession, folder: str) -> np.ndarray:
+    """Number of documents of the whole corpus that hold each hashed term, from the tasks' files.
+
+    They are added by tasks; at most 2^TERM_BITS sums reach the driver."""
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         df = np.zeros(1 << TERM_BITS, np.int64)
         for b in batches:
-            values = b.column(0).to_pylist()
-            for lo in range(0, len(values), 512):
-                part = values[lo : lo + 512]
-                lengths = np.array([len(v) // kind.itemsize for v in part], np.int64)
-                df += np.bincount(document_terms(np.frombuffer(b"".join(part), kind), lengths, marks)[1], minlength=len(df))
+            for raw in b.column(0).to_pylist():
+                term, n = np.frombuffer(raw, "<i8").reshape(2, -1)
+                df[term] += n
         at = np.flatnonzero(df)
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(df[at])], ["term", "n"])
 
-    sums = tokens.select("ids").mapInArrow(tidy(count), "term int, n long").groupBy("term").agg(F.sum("n").alias("n")).toArrow()
+    files = spark.read.format("binaryFile").option("pathGlobFilter", "*.bin").load(folder).select("content")
+    sums = files.mapInArrow(tidy(add), "term int, n long").groupBy("term").agg(F.sum("n").alias("n")).toArrow()
     out = np.zeros(1 << TERM_BITS, np.int64)
     out[sums.column("term").to_numpy()] = sums.column("n").to_numpy()
     return out
@@ -294,14 +310,18 @@ def pack_documents(
     """
     spark = df.sparkSession
     schema = PIECE_SCHEMA + (", ids binary" if ids_too else "")
-    coded = with_ids(df.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("_t")), "_t", ["doc_id"], path)
+    counted = new_shared_dir(spark, "packing-terms")
+    store, where = open_store(counted)
+    store.create_dir(where, recursive=True)
+    texts = df.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("_t"))
+    coded = with_ids(texts, "_t", ["doc_id"], path, watch=lambda: _Frequencies(counted, path))
     tokens = numbered(coded, "_n", "packing-ids", keep=True)
     width = id_type(path).itemsize
     stats = tokens.agg(F.count("*").alias("n"), F.sum(F.length("ids") / width + 1).alias("ids")).first()
     n_docs, n_ids = stats["n"], int(stats["ids"] or 0)
     if not n_docs:
         return spark.createDataFrame([], schema)
-    counts = document_frequencies(tokens, path)
+    counts = document_frequencies(spark, counted)
     idf = spark.sparkContext.broadcast(np.log1p((n_docs - counts + 0.5) / (counts + 0.5)).astype(np.float32))
     mean_length = n_ids / n_docs
     folder = write_positions(deal_by_content(tokens, path, counts, idf, mean_length, n_docs, n_ids, shard_docs), "packing-shards")

@@ -215,9 +215,10 @@ def id_type(path: str) -> np.dtype:
     return np.dtype("<u2") if encoder(path).words.get_vocab_size() <= 1 << 16 else np.dtype("<u4")
 
 
-def with_ids(df, text: str, keep: list[str], path: str, slice_bytes: int = 500_000):
+def with_ids(df, text: str, keep: list[str], path: str, slice_bytes: int = 500_000, watch=None):
     """Columns of ``keep`` and ``ids``: each whole text's ids, raw little-endian, two bytes an
-    id where the vocabulary allows it, else four. Null texts have no ids."""
+    id where the vocabulary allows it, else four. Null texts have no ids. ``watch()`` makes, in each
+    task, an object whose ``add(ids, counts)`` sees all of its ids and whose ``close()`` ends it."""
     import pyarrow as pa
     from pyspark.sql import functions as F
 
@@ -229,15 +230,20 @@ def with_ids(df, text: str, keep: list[str], path: str, slice_bytes: int = 500_0
 
     def run(batches):
         enc, kind = encoder(path), id_type(path)
+        seen = watch() if watch else None
         for b in batches:
             col = b.column(b.schema.get_field_index("_text"))
             _, off = text_buffer(col)
             for lo, hi in byte_slices(off, slice_bytes):
                 part = b.slice(lo, hi - lo)
                 ids, counts = enc.encode([t or "" for t in col.slice(lo, hi - lo).to_pylist()])
+                if seen:
+                    seen.add(ids, counts)
                 yield pa.RecordBatch.from_arrays(
                     [part.column(part.schema.get_field_index(f.name)) for f in fields] + [binary_array(ids.astype(kind), counts)],
                     [f.name for f in fields] + ["ids"],
                 )
+        if seen:
+            seen.close()
 
     return picked.mapInArrow(tidy(run), schema)
