@@ -3,7 +3,8 @@
 Each stage reads what its predecessor kept, as Parquet. All but the last return the columns of
 ``documents``. Every stage decides by row, through written row numbers, never by ``doc_id``: rows
 whose ``doc_id`` is null or repeated have verdicts and masks of their own. An empty table passes
-through all stages. The input's other columns, if any, are passed on as they are.
+through all stages. The input's other columns, if any, are passed on as they are. A stage's result is
+to be written before the next stage is called, for then the tables it rests on go.
 """
 
 from __future__ import annotations
@@ -11,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from freqsketch.llm.common import numbered, scratch, ship_package, written
+from freqsketch.llm.common import drop_dir, numbered, saved, ship_package, stage_scratch, written
 from freqsketch.llm.minhash import near_duplicate_classes
 from freqsketch.llm.mixing import mix_repetitions, word_count
 from freqsketch.llm.packing import pack_documents
@@ -31,7 +32,7 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     languages and sources are groups of their own; equal rows share their verdict; a very long text
     is judged like others."""
     ship_package(spark)
-    with scratch(spark):
+    with stage_scratch(spark):
         verdicts = quality_verdicts(with_statistics(docs, "text", docs.columns))
     return verdicts.where("kept").select(docs.columns)
 
@@ -42,7 +43,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     Of repeated rows one stays, also where they share an id; rows with a null id or a text without
     words stand alone and stay. Ties go to the first row in the order of the input."""
     ship_package(spark)
-    with scratch(spark):
+    with stage_scratch(spark):
         rows = numbered(docs, "_row", "near-duplicate-rows", keep=True)
         classes = near_duplicate_classes(rows, "text", "doc_id", words=SHINGLE_WORDS, row="_row")
         extra = write_positions(classes.where("not first").select("row", F.lit(1).alias("extra")), "extra-copies")
@@ -55,7 +56,7 @@ def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     Null and empty texts stay as they are; a null source is one owner; ``n_chars`` follows the text
     and stays where the text is null; equal rows are masked alike."""
     ship_package(spark)
-    with scratch(spark):
+    with stage_scratch(spark):
         out = redacted(docs, "text", "source", pair_key("source", "lang"))
     n_chars = F.coalesce(F.char_length("text").cast("long"), F.col("n_chars"))
     return out.withColumn("n_chars", n_chars).select(docs.columns)
@@ -67,7 +68,7 @@ def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     Null sources form one source, the last in order; texts without words have size 0: they come as
     often as their source comes whole, and half-way cases come once more. Equal rows are told apart by their row
     numbers."""
-    with scratch(spark):
+    with stage_scratch(spark):
         rows = numbered(docs, "_row", "mixing-rows", keep=True)
         sized = rows.select("_row", "doc_id", "source", word_count(F.col("text")).alias("size"))
         times = mix_repetitions(written(sized, "sizes"), row="_row").select("_row", F.col("whole").alias("_times"))
@@ -81,7 +82,7 @@ def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     Null and empty texts are documents of the end id alone; rows with equal or null ids are packed
     each for itself; a text longer than a sequence goes on in the next."""
     ship_package(spark)
-    with scratch(spark):
+    with stage_scratch(spark):
         return pack_documents(docs, "text", "doc_id", tokenizer_path())
 
 
@@ -98,8 +99,13 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over ``documents``."""
-    df = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    """All stages over ``documents``. A stage's result goes as soon as the next one's is written."""
+    df, before = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
     for name, stage in STAGES[:-1]:
-        df = written(stage(spark, df, sf_dir), f"stage-{name}")
+        out = stage(spark, df, sf_dir)
+        path = saved(out, f"stage-{name}")
+        df = spark.read.schema(out.schema).parquet(path)
+        if before:
+            drop_dir(spark, before)
+        before = path
     return STAGES[-1][1](spark, df, sf_dir)
