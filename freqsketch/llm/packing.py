@@ -29,7 +29,7 @@ TERM_BITS = 20
 SHARD_DOCS = 1024
 SHARD_IDS = 4 << 20
 #: Dimensions in which documents are placed by their words, the leaves of the tree that orders
-#: places, and the groups, a bounded sample, that the tree is fitted to.
+#: places, and the groups, a bounded sample of about so many, that the tree is fitted to.
 PLACE_DIMS = 8
 LEAVES = 256
 FIT_GROUPS = 16384
@@ -275,7 +275,10 @@ def deal_by_content(tokens: DataFrame, path: str, counts: np.ndarray, idf, mean_
     schema = "_n long, _near long, _len long, " + ", ".join(f"{d} float" for d in dims)
     keyed = written(tokens.select("_n", "ids").mapInArrow(tidy(keys), schema), "packing-keys")
     groups = written(keyed.groupBy("_near").agg(*[F.avg(d).alias(d) for d in dims]), "packing-groups")
-    sample = groups.orderBy(F.xxhash64("_near")).limit(FIT_GROUPS).select(*dims).toArrow()
+    # about FIT_GROUPS of the groups, by a hash; the order that follows holds all of them
+    share = min(1.0, FIT_GROUPS / max(1, groups.count()))
+    drawn = F.xxhash64(F.lit(7), "_near").bitwiseAND((1 << 30) - 1) < int(share * (1 << 30))
+    sample = groups.where(drawn).toArrow().sort_by("_near")
     nodes = fit_tree(np.stack([sample.column(d).to_numpy() for d in dims], 1), LEAVES)
 
     def leaves(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
