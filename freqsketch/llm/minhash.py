@@ -263,7 +263,9 @@ def _family_links(lists: DataFrame, sets: DataFrame, sigs: DataFrame, matches: i
         a, b = _links_between(*sides, matches, percent)
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
-    return base.unionByName(ask.select(base.columns)).groupBy("family", "base", "asker").applyInArrow(tidy(compare), "a long, b long")
+    # dealt anew by all three: a partitioning by family alone would do for the groups, and hold a family in one task
+    dealt = base.unionByName(ask.select(base.columns)).repartition("family", "base", "asker")
+    return dealt.groupBy("family", "base", "asker").applyInArrow(tidy(compare), "a long, b long")
 
 
 def near_duplicate_classes(
