@@ -105,10 +105,21 @@ def document_frequencies(spark: SparkSession, folder: str) -> np.ndarray:
     return out
 
 
-#: A factor modulo 2^TERM_BITS and its inverse, by which terms of equal frequency are
-#: put in an order of their own.
-SCATTER = 0x9E375
-GATHER = pow(SCATTER, -1, 1 << TERM_BITS)
+#: Rank of a term that no two documents share.
+LONE = 1 << 30
+#: How much more a rare term counts than a common one in the choice of a document's group.
+RARITY = 4
+
+
+def term_ranks(counts: np.ndarray, n_docs: int) -> np.ndarray:
+    """A fixed random order of the terms in which rare ones tend to come first: of the terms of a
+    document the first is a weighted min-hash, so two documents have the same first term with a
+    chance that is their shared weight. Terms that no two documents share have the rank LONE."""
+    u = ((mix64(np.arange(len(counts), dtype=np.uint64) + np.uint64(99)) >> np.uint64(11)).astype(np.float64) + 0.5) / 2**53
+    late = -np.log(u) / np.log1p((n_docs - counts + 0.5) / (counts + 0.5)) ** RARITY
+    rank = np.empty(len(counts), np.int32)
+    rank[np.argsort(late, kind="stable")] = np.arange(len(counts), dtype=np.int32)
+    return np.where(counts > 1, rank, LONE).astype(np.int32)
 
 
 @cache
@@ -118,20 +129,17 @@ def _term_signs() -> np.ndarray:
     return (1 - 2 * ((bits[:, None] >> np.arange(PLACE_DIMS, dtype=np.uint64)) & np.uint64(1)).astype(np.int8)).astype(np.float32)
 
 
-def content_keys(row: np.ndarray, term: np.ndarray, weight: np.ndarray, counts: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Where documents belong: (near, place). ``near`` is the term that a document shares with the
-    fewest others, ties by a fixed order of the terms, -1 where it shares none. ``place`` is the
-    direction of its weighted terms in PLACE_DIMS random dimensions."""
+def content_keys(row: np.ndarray, term: np.ndarray, weight: np.ndarray, ranks: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Where documents belong: (near, place). ``near`` is the rank of a document's first shared term
+    in the order of ``term_ranks``, -1 where it shares none. ``place`` is the direction of its
+    weighted terms in PLACE_DIMS random dimensions."""
     near, place = np.full(n, -1, np.int64), np.zeros((n, PLACE_DIMS), np.float32)
     if not len(row):
         return near, place
     begin = np.flatnonzero(np.diff(row, prepend=-1))
     own = row[begin]
-    df = counts[term]
-    scattered = (term * SCATTER) & ((1 << TERM_BITS) - 1)
-    none = np.int64(1) << 62
-    least = np.minimum.reduceat(np.where(df > 1, (df.astype(np.int64) << TERM_BITS) | scattered, none), begin)
-    near[own] = np.where(least < none, ((least & ((1 << TERM_BITS) - 1)) * GATHER) & ((1 << TERM_BITS) - 1), -1)
+    least = np.minimum.reduceat(ranks[term], begin)
+    near[own] = np.where(least < LONE, least, -1)
     place[own] = np.add.reduceat(_term_signs()[term] * weight[:, None].astype(np.float32), begin)
     return near, place / np.maximum(np.sqrt((place * place).sum(1, keepdims=True)), 1e-12)
 
@@ -251,12 +259,12 @@ def _slices(values: list[bytes], kind: np.dtype, docs: int = 512) -> Iterator[tu
 def deal_by_content(tokens: DataFrame, path: str, counts: np.ndarray, idf, mean_length: float, n_docs: int, n_ids: int, shard_docs: int = SHARD_DOCS) -> DataFrame:
     """(_n, shard) of every document: like documents meet in one shard of bounded size.
 
-    Documents whose rarest shared term is the same form a group; a group's mean place says which
-    leaf of a principal-axis tree it is in. Documents in the order of leaf, group and number are
+    Documents with the same weighted min-hash of their shared terms form a group; a group's mean
+    place says which leaf of a principal-axis tree it is in. Documents in the order of leaf, group and number are
     cut into contiguous shards of at most about ``shard_docs`` documents and SHARD_IDS ids. A group
     of any size is cut like the rest. Only narrow rows travel here."""
     spark = tokens.sparkSession
-    sent = spark.sparkContext.broadcast(counts.astype(np.int32))
+    sent = spark.sparkContext.broadcast(term_ranks(counts, n_docs))
     dims = [f"_v{i}" for i in range(PLACE_DIMS)]
 
     def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
