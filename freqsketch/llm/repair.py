@@ -25,7 +25,7 @@ FILE_BYTES = 256 << 20
 #: occurrence saves a symbol of 16 bits or more.
 LEAST_COUNT = 5
 #: A pass replaces the pairs that occur at least this share as often as its most frequent one.
-PASS_SHARE = 0.1
+PASS_SHARE = 0.05
 SLOT_BITS = 18
 MAGIC = b"RPR2"
 HEAD = struct.Struct("<4sIQQQIII")
