@@ -176,6 +176,14 @@ def test_secrets(spark, awkward):
     assert bag(got.collect()) == bag(want)
 
 
+def test_base_counts_of_texts_with_spans(spark, awkward):
+    """The tables of sf0.001 have no span at all; here every kind has some."""
+    got = QUERIES["secret_base_counts"](spark, awkward)
+    assert got.where("n_assign > 0").count() and got.where("n_access > 0").count() and got.where("n_hex > 0").count()
+    want = duckdb.sql(ORACLES["secret_base_counts"].replace("FROM documents", f"FROM '{awkward}/documents.parquet/*.parquet'"))
+    assert bag(got.select(*want.columns).collect()) == bag(want.fetchall())
+
+
 def test_repositories_count(spark):
     rows = [(i, "token=within_one_owner1", "big", f"r{i % 5}") for i in range(10)] + [(20 + i, "token=in_two_places_22", "big", f"r{i}") for i in range(2)]
     rows += [(30, "token=null_or_not_333", None, "x"), (31, "token=null_or_not_333", "x", None)]
