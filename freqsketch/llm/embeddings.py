@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 import math
 from collections.abc import Iterator
 
@@ -10,22 +11,31 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import numbered, read_table, settled, tidy, written
+from .common import new_shared_dir, numbered, read_table, settled, tidy, written
 from .components import connected_components, settle
+from .positions import Positions, write_positions
 from .sharding import byte_prefix_shards
+from .shared_files import atomic_writer, open_store, read_whole
 
 COSINE = 0.95
 #: Leading principal dimensions of the grid.
 GRID_DIMS = 8
+#: Leading principal dimensions that a pair is looked at in before all of them.
+HEAD_DIMS = 23
+#: What single precision may take from a cosine of the leading dimensions.
+SLACK = 1e-5
 #: Vectors in an interval of the sequence that a task holds, and in the smallest interval
 #: that is compared as a whole.
 BLOCK = 4096
-LEAF = 128
+LEAF = 256
 #: Boxes under a node of the tree over the intervals.
 FAN = 256
+#: Intervals on each side that a task joins at most, and bytes of those it keeps.
+TILE = 16
+TILE_BYTES = 64 << 20
 
 
-def _matrix(column: pa.Array, dim: int) -> tuple[np.ndarray, np.ndarray]:
+def _matrix(column: pa.Array, dim: int, scaled: bool = True) -> tuple[np.ndarray, np.ndarray]:
     """Rows as doubles, zero-padded to ``dim``, and whether each can link at all."""
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
@@ -41,6 +51,8 @@ def _matrix(column: pa.Array, dim: int) -> tuple[np.ndarray, np.ndarray]:
     # the largest component becomes 1, so that no square overflows or vanishes
     scale = np.abs(out).max(1, initial=0.0)
     good &= scale > 0
+    if not scaled:
+        return out, good
     return out / np.where(scale > 0, scale, 1.0)[:, None], good
 
 
@@ -118,6 +130,24 @@ def _leaf_edges(mask: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return node, label[node]
 
 
+def _leaf_mask(x: dict, a: slice, y: dict, b: slice, cosine: float) -> np.ndarray | None:
+    """Which vectors of two leaves are linked (rows x columns); None if none are.
+
+    The cosine of the leading dimensions and the lengths of what is left is never below the true one,
+    so pairs that fall short there are done; few are left, unless the leaves are full of links."""
+    near = x["h"][a] @ y["h"][b].T >= np.float32(cosine - SLACK)
+    n = np.count_nonzero(near)
+    if not n:
+        return None
+    if n * 16 > near.size:
+        near = x["u"][a] @ y["u"][b].T >= cosine
+    else:
+        r, c = np.nonzero(near)
+        near[r, c] = (x["u"][a][r] * y["u"][b][c]).sum(1) >= cosine
+    near &= x["dim"][a, None] == y["dim"][None, b]
+    return near
+
+
 def join_blocks(x: dict, y: dict, same: bool, eps: float, cosine: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Links between two blocks, or inside one: (id, links, root) of vectors that have any."""
     nx = len(x["id"])
@@ -133,8 +163,9 @@ def join_blocks(x: dict, y: dict, same: bool, eps: float, cosine: float) -> tupl
     for i, j in interval_join(lo, hi, left, right, eps):
         j -= right[0]
         a0, a1, b0, b1 = cx[i], min(cx[i] + LEAF, nx), cy[j], min(cy[j] + LEAF, len(y["id"]))
-        mask = x["u"][a0:a1] @ y["u"][b0:b1].T >= cosine
-        mask &= x["dim"][a0:a1, None] == y["dim"][None, b0:b1]
+        mask = _leaf_mask(x, slice(a0, a1), y, slice(b0, b1), cosine)
+        if mask is None:
+            continue
         inside = same and i == j
         if inside:
             np.fill_diagonal(mask, False)
@@ -150,15 +181,29 @@ def join_blocks(x: dict, y: dict, same: bool, eps: float, cosine: float) -> tupl
     if not ea:
         z = np.zeros(0, np.int64)
         return z, z, z
+    return _classes(ids, degree, np.concatenate(ea), np.concatenate(eb))
+
+
+def _classes(ids: np.ndarray, degree: np.ndarray, ea: np.ndarray, eb: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(id, links, root) of vectors with links, from edges between places."""
     order = np.argsort(ids, kind="stable")
     rank = np.empty(len(ids), np.int64)
     rank[order] = np.arange(len(ids))
-    parent = settle(np.arange(len(ids)), rank[np.concatenate(ea)], rank[np.concatenate(eb)])
+    parent = settle(np.arange(len(ids)), rank[ea], rank[eb])
     root = ids[order][parent[rank]]
     have = degree > 0
     return ids[have], degree[have], root[have]
 
 
+def _together(found: list[tuple]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """What several pairs of blocks gave, as one row for each vector."""
+    ids, links, roots = (np.concatenate(c) for c in zip(*found))
+    names, at = np.unique(np.concatenate([ids, roots]), return_inverse=True)
+    degree = np.zeros(len(names), np.int64)
+    np.add.at(degree, at[: len(ids)], links)
+    return _classes(names, degree, at[: len(ids)], at[len(ids) :])
+
+
 def _block_pairs(blocks: DataFrame, n_blocks: int, n_axes: int, eps: float) -> DataFrame:
     """(i, j), i <= j, of the blocks whose boxes are within ``eps``: a tree of boxes, FAN to a node,
     is joined level by level from its root. A task sees the boxes under two nodes, and pairs of
@@ -204,9 +249,13 @@ def vector_links(df: DataFrame, key: str, vector: str, cosine: float = COSINE, n
     Unit vectors are sorted by their grid cells (side: the distance that the cosine stands
     for) on the leading principal axes of all vectors; the sequence is cut into intervals,
     and a recursive join over a tree of their bounding boxes keeps the pairs of intervals that can
-    hold links; a task joins one such pair, recursing further. Distances on the axes never
+    hold links; a task joins such pairs, recursing further. Distances on the axes never
     exceed true ones, so no link is lost. Equal vectors are joined as one and counted.
 
+    The sequence is made of row numbers and cells. Vectors as given are shuffled once, to the file of
+    their interval in the shared folder, which the tasks that join it read: what is shuffled and kept grows
+    with the table, however many pairs of intervals there are.
+
     Tasks return each vector's number of links and a root of its local class, never the links
     themselves, so that a group of copies costs its size. Vectors that are null, empty, zero
     or hold null or non-finite components link with nothing, nor do vectors of different
@@ -216,84 +265,111 @@ def vector_links(df: DataFrame, key: str, vector: str, cosine: float = COSINE, n
     spark = df.sparkSession
     eps = math.sqrt(max(0.0, 2 - 2 * cosine)) + 1e-9
     src = df.select(F.col(key).cast("long").alias("id"), F.col(vector).alias("v"))
-    digest = F.md5(F.concat_ws(",", F.transform("v", lambda x: F.coalesce(x.cast("string"), F.lit("~")))))
-    ok = F.col("v").isNotNull() & F.col("id").isNotNull() & (F.size("v") > 0)
-    rows = numbered(src.withColumn("_d", F.when(ok, digest)), "_r", "vectors", keep=True)
+    kind = src.schema["v"].dataType.simpleString()
+
+    def identify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            lens = b.column(1).value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
+            m, good = _matrix(b.column(1), max(int(lens.max(initial=0)), 1), scaled=False)
+            good &= b.column(0).is_valid().to_numpy(zero_copy_only=False)
+            digests = [hashlib.blake2b(r[:n].tobytes(), digest_size=16).digest() if ok else None for r, n, ok in zip(m, lens.tolist(), good.tolist())]
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(digests, pa.binary())], ["id", "v", "_d"])
+
+    rows = numbered(src.mapInArrow(tidy(identify), f"id long, v {kind}, _d binary"), "_r", "vectors", keep=True)
     heads = rows.where("_d is not null").groupBy("_d").agg(F.min("_r").alias("head"), F.count("*").alias("times"), F.min("id").alias("least"))
     heads = written(heads, "vector-heads", keep=True)
-    ones = rows.join(heads.select(F.col("head").alias("_r"), "times"), "_r").select(F.col("_r").alias("id"), "v", "times")
-    dim = rows.agg(F.max(F.size("v"))).first()[0] or 0
-    dim = max(int(dim), 1)
+    times_of = write_positions(heads.select("head", "times"), "vector-times")
+    dim = max(int(rows.agg(F.max(F.size("v"))).first()[0] or 0), 1)
     n_axes = min(n_axes, dim)
-    axes = spark.sparkContext.broadcast(principal_axes(ones, dim, n_axes))
+
+    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        times = Positions(times_of)
+        for b in batches:
+            n = times.of(b.column(0).to_numpy())
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(n)], ["_r", "v", "times"]).filter(pa.array(n > 0))
+
+    ones = rows.select("_r", "v").mapInArrow(tidy(first), f"_r long, v {kind}, times int")
+    axes = spark.sparkContext.broadcast(principal_axes(ones, dim, min(max(n_axes, HEAD_DIMS), dim)))
+
+    def on_axes(v: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        u = _unit(_matrix(v, dim)[0])
+        return u, u @ axes.value
+
+    cell_of = lambda p: np.floor(p[:, :n_axes] / eps).astype(np.int32)
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            m, good = _matrix(b.column(1), dim)
-            u = _unit(m[good])
-            p = u @ axes.value
-            keep = pa.array(good)
-            packed = np.ascontiguousarray(u)
-            yield pa.RecordBatch.from_arrays(
-                [b.column(0).filter(keep), b.column(2).filter(keep), b.column(1).filter(keep).value_lengths().cast(pa.int32()),
-                 pa.array([r.tobytes() for r in packed], pa.binary()),
-                 pa.array(list(np.floor(p / eps).astype(np.int32)), pa.list_(pa.int32())),
-                 pa.array([r.tobytes() for r in np.ascontiguousarray(p)], pa.binary())],
-                ["id", "times", "dim", "u", "cell", "p"],
-            )
-
-    placed = written(ones.mapInArrow(tidy(place), "id long, times long, dim int, u binary, cell array<int>, p binary"), "vector-places", keep=True)
-    n = placed.count()
-    n_blocks = max(1, -(-n // block))
-    keep = {c: F.col(c) for c in ("id", "times", "dim", "u", "p")}
-    sequence = byte_prefix_shards(placed, [F.get("cell", F.lit(i)) for i in range(n_axes)], F.lit(1), n_blocks, keep)
+            cells = cell_of(on_axes(b.column(1))[1])
+            offsets = pa.array(np.arange(len(b) + 1, dtype=np.int32) * n_axes)
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.ListArray.from_arrays(offsets, pa.array(cells.ravel()))], ["id", "cell"])
+
+    placed = written(ones.mapInArrow(tidy(place), "id long, cell array<int>"), "vector-places")
+    n_blocks = max(1, -(-placed.count() // block))
+    sequence = byte_prefix_shards(placed, [F.get("cell", F.lit(i)) for i in range(n_axes)], F.lit(1), n_blocks, {"id": F.col("id")})
+    block_of = write_positions(sequence.select("id", "shard"), "vector-shards")
+    spark.sparkContext._jvm.System.gc()  # shuffles of the sequence go before vectors are shuffled
+    folder = new_shared_dir(spark, "vector-files", keep=True)
+    store, where = open_store(folder)
+    store.create_dir(where, recursive=True)
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at = Positions(block_of)
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(at.of(b.column(0).to_numpy()))], ["_r", "v", "times", "block"])
 
     def pack(table: pa.Table) -> pa.Table:
-        table = table.sort_by("slot")
-        p = np.frombuffer(b"".join(table.column("p").to_pylist())).reshape(-1, n_axes)
-        join = lambda c: b"".join(table.column(c).to_pylist())
-        raw = lambda c, t: table.column(c).to_numpy().astype(t).tobytes()
-        return pa.table(
-            {"block": [table.column("shard")[0].as_py()], "lo": [p.min(0).tolist()], "hi": [p.max(0).tolist()],
-             "id": [raw("id", "<i8")], "times": [raw("times", "<i8")], "dim": [raw("dim", "<i4")], "u": [join("u")], "p": [join("p")]},
-            schema=pa.schema([("block", pa.int32()), ("lo", pa.list_(pa.float64())), ("hi", pa.list_(pa.float64())), ("id", pa.binary()),
-                              ("times", pa.binary()), ("dim", pa.binary()), ("u", pa.binary()), ("p", pa.binary())]),
-        )
+        number, p = table.column("block")[0].as_py(), on_axes(table.column("v"))[1]
+        table = table.take(np.lexsort(cell_of(p).T[::-1])).select(["_r", "v", "times"])
+        sink = pa.BufferOutputStream()
+        with pa.ipc.new_file(sink, table.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as out:
+            out.write_table(table)
+        with atomic_writer(f"{folder}/{number}") as f:
+            f.write(sink.getvalue())
+        p = p[:, :n_axes]
+        return pa.table({"block": pa.array([number], pa.int32()), "lo": [p.min(0).tolist()], "hi": [p.max(0).tolist()]})
 
     blocks = written(
-        sequence.groupBy("shard").applyInArrow(tidy(pack), "block int, lo array<double>, hi array<double>, id binary, times binary, dim binary, u binary, p binary"),
+        ones.mapInArrow(tidy(deal), f"_r long, v {kind}, times int, block int").groupBy("block").applyInArrow(tidy(pack), "block int, lo array<double>, hi array<double>"),
         "vector-blocks",
     )
+    spark.sparkContext._jvm.System.gc()
     pairs = _block_pairs(blocks, n_blocks, n_axes, eps)
-    sides = pairs.select("i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
-
-    def unpack(table: pa.Table, at: int) -> dict:
-        get = lambda c, t: np.frombuffer(table.column(c)[at].as_py(), t)
-        n = len(get("id", "<i8"))
-        return {"id": get("id", "<i8"), "times": get("times", "<i8"), "dim": get("dim", "<i4"),
-                "u": get("u", "<f8").reshape(n, -1), "p": get("p", "<f8").reshape(n, -1)}
+    tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    side = max(1, min(TILE, n_blocks // math.isqrt(6 * tasks), TILE_BYTES // (block * dim * 8)))
+    tasks = max(tasks, min((n_blocks // side) ** 2 // 8, 100 * tasks))
+    tile = [F.floor(F.col(c) / side).cast("int").alias(f"_{c}") for c in ("i", "j")]
+
+    def load(number: int) -> dict:
+        t = pa.ipc.open_file(pa.py_buffer(read_whole(f"{folder}/{number}"))).read_all().combine_chunks()
+        v = t.column("v").combine_chunks()
+        u, p = on_axes(v)
+        h = p[:, :HEAD_DIMS]
+        h = np.column_stack([h, np.sqrt(np.maximum(0.0, 1 - (h * h).sum(1)))]).astype(np.float32)
+        return {"id": t.column("_r").to_numpy(), "times": t.column("times").to_numpy().astype(np.int64), "u": u, "h": h, "p": np.ascontiguousarray(p[:, :n_axes]),
+                "dim": v.value_lengths().to_numpy(zero_copy_only=False)}
 
     def join(table: pa.Table) -> pa.Table:
-        table = table.sort_by("block")
-        x = unpack(table, 0)
-        same = table.num_rows == 1
-        got = join_blocks(x, x if same else unpack(table, 1), same, eps, cosine)
-        return pa.table(dict(zip(("id", "links", "root"), map(pa.array, got))))
+        left, found, y, last = {}, [(np.zeros(0, np.int64),) * 3], None, None
+        for i, j in sorted(zip(table.column("i").to_pylist(), table.column("j").to_pylist()), key=lambda p: (p[1], p[0])):
+            if j != last:
+                y, last = left[j] if j in left else load(j), j
+            if i not in left:
+                left[i] = y if i == j else load(i)
+            found.append(join_blocks(left[i], y, i == j, eps, cosine))
+        return pa.table(dict(zip(("id", "links", "root"), map(pa.array, _together(found)))))
 
     found = written(
-        sides.join(blocks.select("block", "id", "times", "dim", "u", "p"), "block").groupBy("i", "j").applyInArrow(tidy(join), "id long, links long, root long"),
+        pairs.select("i", "j", *tile).repartition(tasks, "_i", "_j").groupBy("_i", "_j").applyInArrow(tidy(join), "id long, links long, root long"),
         "vector-links", keep=True,
     )
     degrees = found.groupBy(F.col("id").alias("head")).agg(F.sum("links").alias("links"))
     classes = connected_components(found.select(F.col("id").alias("a"), F.col("root").alias("b"))).select(F.col("node").alias("head"), "component")
-    usable = placed.select(F.col("id").alias("head"), F.lit(True).alias("_ok"))
-    by_head = heads.join(usable, "head", "left").join(degrees, "head", "left").join(classes, "head", "left")
-    by_head = by_head.withColumn("_c", F.coalesce("component", "head"))
-    names = by_head.where("_ok").groupBy(F.col("_c").alias("_k")).agg(F.min("least").alias("_least"))
+    by_head = heads.join(degrees, "head", "left").join(classes, "head", "left").withColumn("_c", F.coalesce("component", "head"))
+    names = by_head.groupBy(F.col("_c").alias("_k")).agg(F.min("least").alias("_least"))
     by_head = by_head.join(names, F.col("_c") == F.col("_k"), "left").select(
-        F.col("_d").alias("_hd"), F.when(F.col("_ok"), F.coalesce("links", F.lit(0)) + F.col("times") - 1).alias("_n"), F.when(F.col("_ok"), F.col("_least")).alias("_c")
+        F.col("_d").alias("_hd"), (F.coalesce("links", F.lit(0)) + F.col("times") - 1).alias("_n"), F.col("_least").alias("_c")
     )
-    return rows.join(by_head, F.col("_d") == F.col("_hd"), "left").select(
+    return rows.select("id", "_d").join(by_head, F.col("_d") == F.col("_hd"), "left").select(
         "id", F.coalesce("_n", F.lit(0)).cast("long").alias("n_links"), F.coalesce("_c", "id").alias("component_id")
     )
 

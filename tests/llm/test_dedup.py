@@ -176,3 +176,14 @@ def test_vectors(spark, monkeypatch, block, leaf, fan):
     assert {k: r.n_links for k, r in got.items()} == n
     assert {k: r.component_id for k, r in got.items()} == c
     assert embeddings.vector_links(df.where("vec_id < 0"), "vec_id", "embedding").count() == 0
+
+
+def test_vectors_are_shuffled_once_however_many_pairs(spark):
+    """40 blocks make 820 pairs; what is shuffled stays a few times the vectors."""
+    from freqsketch.operators.costs import _stages
+
+    v = np.random.default_rng(7).normal(size=(480, 64)).astype(np.float32)
+    df = spark.createDataFrame([(n, x.tolist()) for n, x in enumerate(v)], "vec_id long, embedding array<float>").repartition(2).localCheckpoint()
+    before = set(_stages(spark))
+    assert embeddings.vector_links(df, "vec_id", "embedding", block=12).count() == 480
+    assert sum(int(s.shuffleWriteBytes()) for k, s in _stages(spark).items() if k not in before) < 6 * v.nbytes
