@@ -41,3 +41,13 @@ def test_entry_point(spark):
 
     assert set(e.oracle_sql()) <= set(e.queries())
     assert e.entry(spark).where("excess < 0").count() == 0
+
+
+#: Queries that once made their data up.
+READS = ["rebalance_trace"]
+
+
+@pytest.mark.parametrize("name", READS)
+def test_query_reads_a_table(spark, tmp_path, name):
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        QUERIES[name](spark, str(tmp_path)).collect()
