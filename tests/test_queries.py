@@ -44,7 +44,7 @@ def test_entry_point(spark):
 
 
 #: Queries that once made their data up.
-READS = ["dynamic_schedule", "rebalance_step", "f2s_convergence", "f2s_by_phase", "f2s_frozen", "rebalance_trace"]
+READS = ["static_schedule", "dynamic_schedule", "rebalance_step", "f2s_convergence", "f2s_by_phase", "f2s_frozen", "rebalance_trace"]
 
 
 @pytest.mark.parametrize("name", READS)
