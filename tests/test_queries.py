@@ -44,7 +44,7 @@ def test_entry_point(spark):
 
 
 #: Queries that once made their data up.
-READS = ["spec_catalog", "lookup_cost", "memory_model", "schedule_makespan", "static_schedule", "dynamic_schedule", "rebalance_step", "f2s_convergence", "f2s_by_phase", "f2s_frozen", "rebalance_trace"]
+READS = ["hash_table", "spec_catalog", "lookup_cost", "memory_model", "schedule_makespan", "static_schedule", "dynamic_schedule", "rebalance_step", "f2s_convergence", "f2s_by_phase", "f2s_frozen", "rebalance_trace"]
 
 
 @pytest.mark.parametrize("name", READS)
